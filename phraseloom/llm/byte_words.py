@@ -74,29 +74,45 @@ def slices(offsets: np.ndarray, most: int = 4 << 20):
         row = end
 
 
-def words(raw: np.ndarray, offsets: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def _pieces(raw: np.ndarray, table: np.ndarray, most: int) -> list[tuple[int, int]]:
+    """Cut a long buffer in front of bytes outside words, so that scratch arrays stay small."""
+    cuts = [0]
+    while len(raw) - cuts[-1] > most:
+        at = cuts[-1] + most
+        while at < len(raw) and table[raw[at]]:
+            outside = np.flatnonzero(~table[raw[at : at + most]])
+            at += int(outside[0]) if len(outside) else most
+        cuts.append(min(at, len(raw)))
+    return list(zip(cuts, [*cuts[1:], len(raw)], strict=True))
+
+
+def words(raw: np.ndarray, offsets: np.ndarray, table: np.ndarray, most: int = 8 << 20) -> tuple[np.ndarray, np.ndarray]:
     """Hash of every word (A-Z folded), and the n+1 offsets of each row's words."""
-    if not len(raw):
-        return np.zeros(0, np.uint64), np.zeros(len(offsets), np.int64)
+    values, places = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+    for low, high in _pieces(raw, table, most):
+        if low < high:
+            cut = offsets[(offsets > low) & (offsets < high)] - low
+            value, start = _words(raw[low:high], np.unique(cut), table)
+            values.append(value)
+            places.append(start + low)
+    return np.concatenate(values), np.searchsorted(np.concatenate(places), offsets)
+
+
+def _words(raw: np.ndarray, cut: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     inside = table[raw]
-    before = np.empty_like(inside)
+    before, after = np.empty_like(inside), np.empty_like(inside)
     before[0], before[1:] = False, inside[:-1]
-    cut = offsets[1:-1]
-    cut = cut[cut < len(raw)]
-    starts_mask = inside & ~before
-    starts_mask[cut] |= inside[cut]
-    starts = np.flatnonzero(starts_mask)
-    after = np.empty_like(inside)
     after[-1], after[:-1] = False, inside[1:]
-    ends_mask = inside & ~after
-    ends_mask[cut[cut > 0] - 1] |= inside[cut[cut > 0] - 1]
-    ends = np.flatnonzero(ends_mask) + 1
+    starts_mask, ends_mask = inside & ~before, inside & ~after
+    starts_mask[cut] = inside[cut]
+    ends_mask[cut - 1] = inside[cut - 1]
+    starts, ends = np.flatnonzero(starts_mask), np.flatnonzero(ends_mask) + 1
     up, down = _powers(len(raw) + 1)
     total = np.empty(len(raw) + 1, np.uint64)
     total[0] = 0
     np.cumsum((FOLD[raw].astype(np.uint64) + np.uint64(1)) * up[: len(raw)], out=total[1:])
     value = (total[ends] - total[starts]) * down[starts]
-    return mix(value + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)), np.searchsorted(starts, offsets)
+    return mix(value + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)), starts
 
 
 def shingles(hashes: np.ndarray, at: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
