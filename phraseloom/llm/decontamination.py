@@ -29,7 +29,7 @@ from phraseloom.llm import byte_words as bw
 
 WINDOW = 10
 BLOCK_BYTES = 16 << 20
-SHARD_BYTES = 6 << 20
+SHARD_BYTES = 4 << 20
 SHARD_WORDS = 2 << 20
 REPORT = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, longest_match long, longest_at long"
 

@@ -1,11 +1,11 @@
 """N-gram Jaccard join: size-banded tiles, hashed bitmap signatures, exact sorted-array intersection.
 
 1. Every text becomes its set of distinct word shingles (64-bit values). Equal sets share one node, named by a 64-bit
-   digest; copies are never compared with each other. The same pass
-   counts how many texts hold each of 2^20 shingle buckets, over all documents, in tables of a fixed size.
+   digest; copies are never compared with each other. The same pass counts how many texts hold each of 2^20 shingle
+   buckets, over all documents, in tables of a fixed size.
 2. Under the order (bucket frequency, value) two linked sets must meet in the prefixes of ``n - ceil(t n) + 1``
-   shingles. Prefix entries are dealt by shingle; frequent shingles are salted; each tile (shingle, size band) keeps its
-   count and least node from partial aggregates. Only tiles with company survive.
+   shingles. Prefix entries are dealt by shingle once, frequent shingles salted, and entries that stand alone go. Each
+   tile (shingle, size band) keeps its least node from partial aggregates.
 3. Members first pair with the leaders of their own and the next lower band. A pair passes when the prefix hits that it
    shares leave room for the needed overlap, then when the bit count of its XORed bitmaps does, and is then verified by
    intersecting the sorted arrays. Verified links give components.
@@ -25,7 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from phraseloom.llm import byte_words as bw
@@ -35,7 +35,7 @@ from phraseloom.llm.components import components
 BUCKET_BITS = 20
 SALTS = 64
 FILTER_BITS = 23
-SLICE = 4 << 20
+SLICE = 1 << 20
 
 
 def _needed(n_a: Column, n_b: Column, percent: int) -> Column:
@@ -118,18 +118,18 @@ def _band(percent: int) -> Column:
 
 def _tiles(prefixes: DataFrame, percent: int, parts: int) -> DataFrame:
     """Prefix entries that share their shingle with another node of a near size, with the tile leaders they may meet."""
-    entry = prefixes.select("node", "n", _band(percent).alias("band"), F.explode("keys").alias("key"))
-    salt = F.when(F.shiftrightunsigned("key", 56) != 0, F.pmod("node", F.lit(SALTS))).otherwise(F.lit(0)).cast("int")
-    dealt = entry.withColumn("salt", salt).repartition(parts, "key", "salt")
-    tile = dealt.groupBy("key", "salt", "band").agg(F.min(F.struct("node", "n")).alias("lead"), F.max("node").alias("top"))
-    tile = tile.groupBy("key", "band").agg(F.min("lead").alias("lead"), F.max("top").alias("top"))
-    shared = tile.groupBy("key").agg(F.collect_list(F.struct("band", "lead", "top")).alias("bands"), F.min("lead.node").alias("low"), F.max("top").alias("high")).where("low != high")
-    salts = F.when(F.shiftrightunsigned("key", 56) != 0, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
-    shared = shared.select("key", "bands", F.explode(salts).alias("salt"))
+    frequent = F.shiftrightunsigned("key", 56) != 0
+    entry = prefixes.select("node", "n", F.explode("keys").alias("key"))
+    dealt = entry.withColumn("salt", F.when(frequent, F.pmod("node", F.lit(SALTS))).otherwise(F.lit(0)).cast("int")).repartition(parts, "key", "salt")
+    beside = Window.partitionBy("key", "salt").orderBy("node")
+    dealt = dealt.select("key", "node", "n", F.lag("node").over(beside).alias("before"), F.lead("node").over(beside).alias("after"))
+    kept = dealt.where((frequent | F.col("before").isNotNull() | F.col("after").isNotNull()) & (F.col("before").isNull() | (F.col("before") != F.col("node"))))
+    kept = durable(kept.select("key", "node", "n", _band(percent).alias("band")))
+    tile = kept.groupBy("key", "band").agg(F.min(F.struct("node", "n")).alias("lead"), F.max("node").alias("top"))
+    shared = tile.groupBy("key").agg(F.collect_list(F.struct("band", "lead", "top")).alias("bands"), F.min("lead.node").alias("low"), F.max("top").alias("high")).where("low != high").drop("low", "high")
     near = F.filter("bands", lambda b: F.abs(b["band"] - F.col("band")) <= 1)
-    met = dealt.join(shared, ["key", "salt"]).select("key", "node", "n", near.alias("near"))
     company = F.exists("near", lambda b: (b["lead"]["node"] != F.col("node")) | (b["top"] != F.col("node")))
-    return met.where(company)
+    return kept.join(shared, "key").select("key", "node", "n", near.alias("near")).where(company)
 
 
 def _bounded(pairs: DataFrame, percent: int) -> DataFrame:
