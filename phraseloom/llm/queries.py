@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phraseloom.llm import decontamination, jaccard_join, packing, quality_rules, sharding, url_filter
+from phraseloom.llm import decontamination, jaccard_join, packing, quality_classifier, quality_rules, sharding, token_counts, url_filter
 from phraseloom.llm.common import table
 
 
@@ -22,6 +22,15 @@ def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
 
 
+def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_counts.count_tokens(table(spark, sf_dir, "documents"))
+
+
+def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return quality_classifier.score(docs, quality_classifier.train(docs, table(spark, sf_dir, "labels")))
+
+
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(table(spark, sf_dir, "pages"))
 
@@ -35,5 +44,5 @@ def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")
 
 
-QUERIES = {"op1_sharding": op1_sharding, "op2_packing": op2_packing, "op4_decontamination": op4_decontamination, "op7_url_filter": op7_url_filter, "op9_quality_rules": op9_quality_rules, "op10_ngram_jaccard_join": op10_ngram_jaccard_join}
+QUERIES = {"op1_sharding": op1_sharding, "op2_packing": op2_packing, "op4_decontamination": op4_decontamination, "op5_token_counts": op5_token_counts, "op6_quality_classifier": op6_quality_classifier, "op7_url_filter": op7_url_filter, "op9_quality_rules": op9_quality_rules, "op10_ngram_jaccard_join": op10_ngram_jaccard_join}
 ORACLES: dict[str, str] = {}
