@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phraseloom.llm import decontamination, jaccard_join, packing, quality_classifier, quality_rules, sharding, token_counts, url_filter
+from phraseloom.llm import decontamination, jaccard_join, line_dedup, packing, quality_classifier, quality_rules, sharding, token_counts, url_filter
 from phraseloom.llm.common import table
 
 
@@ -35,6 +35,10 @@ def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(table(spark, sf_dir, "pages"))
 
 
+def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.line_report(table(spark, sf_dir, "documents"))
+
+
 def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     judged = quality_rules.judge(table(spark, sf_dir, "documents"))
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
@@ -44,5 +48,5 @@ def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")
 
 
-QUERIES = {"op1_sharding": op1_sharding, "op2_packing": op2_packing, "op4_decontamination": op4_decontamination, "op5_token_counts": op5_token_counts, "op6_quality_classifier": op6_quality_classifier, "op7_url_filter": op7_url_filter, "op9_quality_rules": op9_quality_rules, "op10_ngram_jaccard_join": op10_ngram_jaccard_join}
+QUERIES = {"op1_sharding": op1_sharding, "op2_packing": op2_packing, "op4_decontamination": op4_decontamination, "op5_token_counts": op5_token_counts, "op6_quality_classifier": op6_quality_classifier, "op7_url_filter": op7_url_filter, "op8_line_dedup": op8_line_dedup, "op9_quality_rules": op9_quality_rules, "op10_ngram_jaccard_join": op10_ngram_jaccard_join}
 ORACLES: dict[str, str] = {}
