@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phraseloom.llm import decontamination, jaccard_join, line_dedup, packing, quality_classifier, quality_rules, sharding, token_counts, url_filter
+from phraseloom.llm import decontamination, html_extraction, jaccard_join, line_dedup, packing, quality_classifier, quality_rules, sharding, token_counts, url_filter
 from phraseloom.llm.common import table
 
 
@@ -17,6 +17,10 @@ def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"))
 
 
+def op3_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extraction.extract_pages(table(spark, sf_dir, "pages"))
+
+
 def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontamination.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     return found.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
@@ -48,5 +52,5 @@ def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")
 
 
-QUERIES = {"op1_sharding": op1_sharding, "op2_packing": op2_packing, "op4_decontamination": op4_decontamination, "op5_token_counts": op5_token_counts, "op6_quality_classifier": op6_quality_classifier, "op7_url_filter": op7_url_filter, "op8_line_dedup": op8_line_dedup, "op9_quality_rules": op9_quality_rules, "op10_ngram_jaccard_join": op10_ngram_jaccard_join}
+QUERIES = {"op1_sharding": op1_sharding, "op2_packing": op2_packing, "op3_html_extraction": op3_html_extraction, "op4_decontamination": op4_decontamination, "op5_token_counts": op5_token_counts, "op6_quality_classifier": op6_quality_classifier, "op7_url_filter": op7_url_filter, "op8_line_dedup": op8_line_dedup, "op9_quality_rules": op9_quality_rules, "op10_ngram_jaccard_join": op10_ngram_jaccard_join}
 ORACLES: dict[str, str] = {}
