@@ -40,6 +40,24 @@ def let(value: Column, body: Callable[[Column], Column]) -> Column:
     return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
+#: Bits of the fixed-size sets that tell which rows of a scan may be wanted.
+FILTER_BITS = 23
+
+
+def bit_set(hashes: DataFrame) -> Column:
+    """A scalar bit set of a fixed size over the only (long) column of ``hashes``; false positives only."""
+    slots = hashes.select(F.pmod(F.col(hashes.columns[0]), F.lit(1 << FILTER_BITS)).alias("slot"))
+    words = slots.groupBy(F.expr("slot div 64").alias("id")).agg(F.expr("bit_or(shiftleft(1L, cast(slot % 64 as int)))").alias("bits"))
+    every = hashes.sparkSession.range(1 << (FILTER_BITS - 6)).join(words, "id", "left").select("id", F.coalesce("bits", F.lit(0).cast("long")).alias("bits"))
+    return durable(every.agg(F.transform(F.array_sort(F.collect_list(F.struct("id", "bits"))), lambda e: e["bits"]).alias("bits"))).scalar()
+
+
+def is_lit(bits: Column, value: Column) -> Column:
+    slot = F.pmod(value, F.lit(1 << FILTER_BITS))
+    word = F.get(bits, (slot / 64).cast("int"))
+    return F.call_function("shiftrightunsigned", word, F.pmod(slot, F.lit(64)).cast("int")).bitwiseAND(F.lit(1).cast("long")) == 1
+
+
 def text_or_empty(column: str = "text") -> Column:
     return F.coalesce(F.col(column), F.lit(""))
 

@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from phraseloom.llm import byte_words as bw
-from phraseloom.llm.common import durable
+from phraseloom.llm.common import bit_set, durable, is_lit
 from phraseloom.llm.components import components
 
 BUCKET_BITS = 20
@@ -239,3 +239,25 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 85, key: str
     full = own.where("n > 0").join(named, "node").select("doc_id", "text_hash", F.col("n").alias("n_shingles"), "component_id", "group")
     alone = own.where("n = 0").select("doc_id", "text_hash", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"), F.lit(None).cast("long").alias("group"))
     return full.unionByName(alone)
+
+
+def keep_one_per_group(docs: DataFrame, size: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """The rows of ``docs``, all columns kept, with one document of each group: the one of the least key.
+
+    Rows without shingles all stay. Only rows of groups with more than one row are shuffled with their text.
+    """
+    found = near_duplicates(docs, size, percent, key, text)
+    groups = found.where(F.col("group").isNotNull()).groupBy("group").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "text_hash")).alias("stay"), F.count(F.lit(1)).alias("members"))
+    many = groups.where("members > 1").select("group", "stay")
+    ruled = found.join(many, "group").select("doc_id", "text_hash", "group", ((F.col("doc_id").eqNullSafe(F.col("stay.doc_id"))) & (F.col("text_hash") == F.col("stay.text_hash"))).alias("stays"))
+    ruled = durable(ruled.distinct())
+    lit = bit_set(ruled.select("text_hash"))
+    body = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
+    marked = docs.withColumns({"_id": F.col(key).cast("long"), "_h": body})
+    touched = is_lit(lit, F.col("_h"))
+    rule = ruled.select(F.col("doc_id").alias("_rid"), F.col("text_hash").alias("_rh"), "group", "stays")
+    judged = marked.where(touched).join(rule, F.col("_h").eqNullSafe(F.col("_rh")) & F.col("_id").eqNullSafe(F.col("_rid")), "left")
+    free = judged.where(F.col("group").isNull()).select(*docs.columns)
+    kept = judged.where("stays").dropDuplicates(["group"]).select(*docs.columns)
+    return marked.where(~touched).select(*docs.columns).unionByName(free).unionByName(kept)
+

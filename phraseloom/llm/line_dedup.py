@@ -24,13 +24,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from phraseloom.llm.common import SPACE_CLASS, durable, let
+from phraseloom.llm.common import SPACE_CLASS, bit_set, durable, is_lit, let
 
 BUCKET_BITS = 18
 FREQUENT = 511
 CLASS_STEP = 4
 LEAST = -(1 << 63)
-FILTER_BITS = 23
 
 
 def _words(text: Column) -> Column:
@@ -91,26 +90,12 @@ def _passes(percent: int) -> Column:
     return length & (reach >= _needed(m, m2, percent)) & room
 
 
-def _bitmap(values: DataFrame) -> Column:
-    """A scalar bit set of a fixed size over the only (hash) column of ``values``."""
-    slots = values.select(F.pmod(F.col(values.columns[0]), F.lit(1 << FILTER_BITS)).alias("slot"))
-    words = slots.groupBy(F.expr("slot div 64").alias("id")).agg(F.expr("bit_or(shiftleft(1L, cast(slot % 64 as int)))").alias("bits"))
-    every = values.sparkSession.range(1 << (FILTER_BITS - 6)).join(words, "id", "left").select("id", F.coalesce("bits", F.lit(0).cast("long")).alias("bits"))
-    return durable(every.agg(F.transform(F.array_sort(F.collect_list(F.struct("id", "bits"))), lambda e: e["bits"]).alias("bits"))).scalar()
-
-
-def _lit(bits: Column, value: Column) -> Column:
-    slot = F.pmod(value, F.lit(1 << FILTER_BITS))
-    word = F.get(bits, (slot / 64).cast("int"))
-    return F.call_function("shiftrightunsigned", word, F.pmod(slot, F.lit(64)).cast("int")).bitwiseAND(F.lit(1).cast("long")) == 1
-
-
 def _verified(docs: DataFrame, pairs: DataFrame, firsts: DataFrame, classes: Column, percent: int) -> DataFrame:
     """Class ids that an earlier class matches, among candidate pairs ``(cid, cid2)``."""
     pairs = durable(pairs.select(F.least("cid", "cid2").alias("cid"), F.greatest("cid", "cid2").alias("cid2")).distinct())
     nodes = pairs.select("cid").unionByName(pairs.select(F.col("cid2").alias("cid"))).distinct()
     wanted = firsts.join(nodes, "cid", "left_semi").select("rh")
-    lines = _split(docs).withColumn("rh", F.xxhash64("line")).where(_lit(_bitmap(wanted), F.col("rh")))
+    lines = _split(docs).withColumn("rh", F.xxhash64("line")).where(is_lit(bit_set(wanted), F.col("rh")))
     sets = _line_sets(lines.dropDuplicates(["rh", "line"]).select("line"), classes).select("words").where(F.size("words") > 0)
     sets = sets.withColumn("cid", F.xxhash64("words")).dropDuplicates(["cid"]).join(firsts.select("cid", "first"), "cid")
     sets = durable(sets)
@@ -172,7 +157,7 @@ def deduplicate_lines(docs: DataFrame, percent: int = 80, key: str = "doc_id", t
     """The rows of ``docs``, all columns kept, with the text's removed lines taken out. Untouched rows are not shuffled."""
     gone = durable(_per_document(removed_lines(docs, percent, key, text)).select(F.col("doc").alias("_doc"), F.col("th").alias("_th"), "_gone"))
     marked = docs.withColumns(_identity(key, text))
-    touched = _lit(_bitmap(gone.select("_th")), F.col("_th"))
+    touched = is_lit(bit_set(gone.select("_th")), F.col("_th"))
     numbers = lambda lines: F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("_gone"))
     stays = let(F.split(text, "\n"), lambda lines: F.array_join(F.transform(numbers(lines), lambda i: F.get(lines, i)), "\n"))
     kept = F.when(F.col("_gone").isNull(), F.col(text)).otherwise(stays)
