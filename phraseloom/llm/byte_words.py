@@ -88,17 +88,24 @@ def _pieces(raw: np.ndarray, table: np.ndarray, most: int) -> list[tuple[int, in
 
 def words(raw: np.ndarray, offsets: np.ndarray, table: np.ndarray, most: int = 8 << 20) -> tuple[np.ndarray, np.ndarray]:
     """Hash of every word (A-Z folded), and the n+1 offsets of each row's words."""
-    values, places = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+    values, at, _ = words_and_sizes(raw, offsets, table, most)
+    return values, at
+
+
+def words_and_sizes(raw: np.ndarray, offsets: np.ndarray, table: np.ndarray, most: int = 8 << 20) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """As ``words``, and each word's bytes."""
+    values, places, sizes = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
     for low, high in _pieces(raw, table, most):
         if low < high:
             cut = offsets[(offsets > low) & (offsets < high)] - low
-            value, start = _words(raw[low:high], np.unique(cut), table)
+            value, start, size = _words(raw[low:high], np.unique(cut), table)
             values.append(value)
             places.append(start + low)
-    return np.concatenate(values), np.searchsorted(np.concatenate(places), offsets)
+            sizes.append(size)
+    return np.concatenate(values), np.searchsorted(np.concatenate(places), offsets), np.concatenate(sizes)
 
 
-def _words(raw: np.ndarray, cut: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def _words(raw: np.ndarray, cut: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     inside = table[raw]
     before, after = np.empty_like(inside), np.empty_like(inside)
     before[0], before[1:] = False, inside[:-1]
@@ -112,11 +119,15 @@ def _words(raw: np.ndarray, cut: np.ndarray, table: np.ndarray) -> tuple[np.ndar
     total[0] = 0
     np.cumsum((FOLD[raw].astype(np.uint64) + np.uint64(1)) * up[: len(raw)], out=total[1:])
     value = (total[ends] - total[starts]) * down[starts]
-    return mix(value + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)), starts
+    return mix(value + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)), starts, ends - starts
+
 
+def shingles(hashes: np.ndarray, at: np.ndarray, size: int, sizes: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct shingles, sorted inside each row, and their n+1 offsets. A shorter row that has words is one shingle.
 
-def shingles(hashes: np.ndarray, at: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct shingles, sorted inside each row, and their n+1 offsets. A shorter row that has words is one shingle."""
+    With word sizes, a shingle's value leads with its length in six bits, long ones first: long shingles are rare ones,
+    so the order of values is an order of rarity that needs no table.
+    """
     counts = np.diff(at)
     rows = len(counts)
     out = np.zeros(len(hashes), np.uint64)
@@ -135,7 +146,13 @@ def shingles(hashes: np.ndarray, at: np.ndarray, size: int) -> tuple[np.ndarray,
             for h in hashes[at[r] : at[r + 1]]:
                 value = mix(np.array([value ^ h]))[0]
             out[at[r]], keep[at[r]] = value, True
-    values, row = mix(out[keep]), row[keep]
+    values = mix(out[keep])
+    if sizes is not None:
+        long = np.concatenate([[0], np.cumsum(sizes)])
+        place = np.flatnonzero(keep)
+        length = np.minimum(long[np.minimum(place + size, at[1:][row[keep]])] - long[place], 63)
+        values = ((63 - length).astype(np.uint64) << np.uint64(58)) | (values >> np.uint64(6))
+    row = row[keep]
     bounds = np.searchsorted(row, np.arange(rows + 1))
     return distinct_sorted(values, bounds)
 

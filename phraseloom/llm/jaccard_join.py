@@ -1,14 +1,14 @@
 """N-gram Jaccard join: size-banded tiles, hashed bitmap signatures, exact sorted-array intersection.
 
 1. Every text becomes its set of distinct word shingles (64-bit values). Equal sets share one node, named by a 64-bit
-   digest; copies are never compared with each other. The same pass counts how many texts hold each of 2^20 shingle
-   buckets, over all documents, in tables of a fixed size.
-2. Under the order (bucket frequency, value) two linked sets must meet in the prefixes of ``n - ceil(t n) + 1``
-   shingles. Prefix entries are dealt by shingle once, frequent shingles salted, and entries that stand alone go. Each
-   tile (shingle, size band) keeps its least node from partial aggregates.
-3. Members first pair with the leaders of their own and the next lower band. A pair passes when the prefix hits that it
-   shares leave room for the needed overlap, then when the bit count of its XORed bitmaps does, and is then verified by
-   intersecting the sorted arrays. Verified links give components.
+   digest; copies are never compared with each other. The same pass counts
+   recurring shingles over all documents; the most frequent ones, a list of a fixed size, serve the order only.
+2. Shingles are ordered by rarity: frequent ones last, the longer shingle first. Under any such order two linked sets
+   must meet in the prefixes of ``n - ceil(t n) + 1`` shingles. Prefix entries are dealt by shingle once, frequent shingles salted, and entries that stand alone go. A tile
+   is a shingle and a size band with its neighbours; entries without company in their tile go too.
+3. In a few rounds members outside a tile's main component pair with a leader of it, another one each round. A pair
+   passes when the prefix hits that it shares leave room for the needed overlap, then when the bit count of its XORed
+   bitmaps does, and is then verified by intersecting the sorted arrays. Verified links give components.
 4. What is left to look at are pairs inside a tile whose members lie in different components: all of those run through
    the same bounds and the same verification, so no link is lost, and the members of a large group of near copies, which
    one leader has already joined, are not expanded into pairs.
@@ -32,7 +32,10 @@ from phraseloom.llm import byte_words as bw
 from phraseloom.llm.common import bit_set, durable, is_lit
 from phraseloom.llm.components import components
 
-BUCKET_BITS = 20
+FREQUENT = 1 << 18
+FOLD_AT = 4 << 20
+RECURS = 4
+ROUNDS = 3
 SALTS = 64
 FILTER_BITS = 23
 SLICE = 1 << 20
@@ -47,42 +50,73 @@ def _sets(column: pa.Array, size: int):
     """Per slice of a text column: first row, distinct sorted shingles, their bounds, and each row's digest."""
     raw, offsets = bw.buffers(column)
     for first, last in bw.slices(offsets, SLICE):
-        hashes, at = bw.words(raw[offsets[first] : offsets[last]], offsets[first : last + 1] - offsets[first], bw.NOT_SPACE)
-        values, bounds = bw.shingles(hashes, at, size)
+        hashes, at, sizes = bw.words_and_sizes(raw[offsets[first] : offsets[last]], offsets[first : last + 1] - offsets[first], bw.NOT_SPACE)
+        values, bounds = bw.shingles(hashes, at, size, sizes)
         total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(bw.mix(values + np.uint64(0x2545F4914F6CDD1D)))])
         yield first, values, bounds, bw.mix(total[bounds[1:]] - total[bounds[:-1]]).view(np.int64)
 
 
+class _Counts:
+    """Shingles that recur in a task, with their counts, in bounded memory: what is seen once is dropped at each fold."""
+
+    def __init__(self) -> None:
+        self.values, self.hits = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+        self.waiting: list[np.ndarray] = []
+        self.held = 0
+
+    def add(self, values: np.ndarray) -> None:
+        self.waiting.append(values)
+        self.held += len(values)
+        if self.held >= FOLD_AT:
+            self.fold()
+
+    def fold(self) -> None:
+        values, hits = np.unique(np.concatenate([*self.waiting, np.zeros(0, np.uint64)]), return_counts=True)
+        merged, where = np.unique(np.concatenate([self.values, values[hits > 1]]), return_inverse=True)
+        counts = np.bincount(where, np.concatenate([self.hits, hits[hits > 1]]), minlength=len(merged)).astype(np.int64)
+        if len(merged) > FREQUENT:
+            keep = np.sort(np.argsort(-counts, kind="stable")[:FREQUENT])
+            merged, counts = merged[keep], counts[keep]
+        self.values, self.hits, self.waiting, self.held = merged, counts, [], 0
+
+
 def _profile(docs: DataFrame, size: int) -> DataFrame:
-    """``(doc_id, text_hash, n, node)`` per row, and ``(bucket, hits)`` rows where a bucket stands out in a task."""
+    """``(doc_id, text_hash, n, node)`` per row, and ``(shingle, hits)`` rows for what recurs in a task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = np.zeros(1 << BUCKET_BITS, np.int64)
-        fields = ["doc_id", "text_hash", "n", "node", "bucket", "hits"]
+        counts = _Counts()
+        fields = ["doc_id", "text_hash", "n", "node", "shingle", "hits"]
         null = lambda n: pa.nulls(n, pa.int64())
         for batch in batches:
             sizes, nodes = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
             for _, values, bounds, digest in _sets(batch.column(1), size):
-                counts += np.bincount((values >> np.uint64(64 - BUCKET_BITS)).astype(np.int64), minlength=len(counts))
+                counts.add(values)
                 sizes.append(np.diff(bounds))
                 nodes.append(digest)
             n = batch.num_rows
             yield pa.record_batch([batch.column(0), batch.column(2), pa.array(np.concatenate(sizes)), pa.array(np.concatenate(nodes)), null(n), null(n)], names=fields)
-        mean = counts.mean()
-        loud = np.flatnonzero(counts > mean + 5 * math.sqrt(mean) + 4)
+        counts.fold()
+        loud = np.flatnonzero(counts.hits >= RECURS)
         if len(loud):
-            yield pa.record_batch([*[null(len(loud))] * 4, pa.array(loud), pa.array(counts[loud])], names=fields)
+            yield pa.record_batch([*[null(len(loud))] * 4, pa.array(counts.values[loud].view(np.int64)), pa.array(counts.hits[loud])], names=fields)
 
-    return docs.mapInArrow(run, "doc_id long, text_hash long, n long, node long, bucket long, hits long")
+    return docs.mapInArrow(run, "doc_id long, text_hash long, n long, node long, shingle long, hits long")
 
 
-def _frequency(profile: DataFrame) -> np.ndarray:
-    """Log-scaled frequency of each bucket, 0 for quiet ones; at most 2^20 rows of two numbers reach the driver."""
-    seen = profile.where(F.col("bucket").isNotNull()).groupBy("bucket").agg(F.sum("hits").alias("hits")).toArrow()
-    table = np.zeros(1 << BUCKET_BITS, np.uint8)
-    if seen.num_rows:
-        table[seen.column("bucket").to_numpy()] = np.clip(np.log2(seen.column("hits").to_numpy()) * 6, 1, 255).astype(np.uint8)
-    return table
+def _frequency(profile: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """The most frequent shingles, sorted, and their log-scaled frequencies: at most ``FREQUENT`` rows of two numbers."""
+    seen = profile.where(F.col("shingle").isNotNull()).groupBy("shingle").agg(F.sum("hits").alias("hits")).orderBy(F.desc("hits"), "shingle").limit(FREQUENT).toArrow()
+    values, hits = seen.column("shingle").to_numpy().view(np.uint64), seen.column("hits").to_numpy()
+    order = np.argsort(values)
+    return values[order], np.clip(np.log2(np.maximum(hits[order], 1)) * 6, 1, 255).astype(np.uint64)
+
+
+def _loudness(values: np.ndarray, frequency: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    known, level = frequency
+    if not len(known):
+        return np.zeros(len(values), np.uint64)
+    at = np.minimum(np.searchsorted(known, values), len(known) - 1)
+    return np.where(known[at] == values, level[at], np.uint64(0))
 
 
 def _prefixes(docs: DataFrame, size: int, percent: int, frequency) -> DataFrame:
@@ -92,7 +126,7 @@ def _prefixes(docs: DataFrame, size: int, percent: int, frequency) -> DataFrame:
         table, seen = frequency.value, set()
         for batch in batches:
             for _, values, bounds, digest in _sets(batch.column(1), size):
-                order = (table[(values >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)].astype(np.uint64) << np.uint64(56)) | (values & np.uint64((1 << 56) - 1))
+                order = (_loudness(values, table) << np.uint64(56)) | (values >> np.uint64(8))
                 nodes, sizes, keys = [], [], []
                 for r in range(len(digest)):
                     low, high = int(bounds[r]), int(bounds[r + 1])
@@ -117,7 +151,7 @@ def _band(percent: int) -> Column:
 
 
 def _tiles(prefixes: DataFrame, percent: int, parts: int) -> DataFrame:
-    """Prefix entries that share their shingle with another node of a near size, with the tile leaders they may meet."""
+    """Prefix entries ``(key, node, n)`` that share their shingle with another node of a near size."""
     frequent = F.shiftrightunsigned("key", 56) != 0
     entry = prefixes.select("node", "n", F.explode("keys").alias("key"))
     dealt = entry.withColumn("salt", F.when(frequent, F.pmod("node", F.lit(SALTS))).otherwise(F.lit(0)).cast("int")).repartition(parts, "key", "salt")
@@ -125,11 +159,10 @@ def _tiles(prefixes: DataFrame, percent: int, parts: int) -> DataFrame:
     dealt = dealt.select("key", "node", "n", F.lag("node").over(beside).alias("before"), F.lead("node").over(beside).alias("after"))
     kept = dealt.where((frequent | F.col("before").isNotNull() | F.col("after").isNotNull()) & (F.col("before").isNull() | (F.col("before") != F.col("node"))))
     kept = durable(kept.select("key", "node", "n", _band(percent).alias("band")))
-    tile = kept.groupBy("key", "band").agg(F.min(F.struct("node", "n")).alias("lead"), F.max("node").alias("top"))
-    shared = tile.groupBy("key").agg(F.collect_list(F.struct("band", "lead", "top")).alias("bands"), F.min("lead.node").alias("low"), F.max("top").alias("high")).where("low != high").drop("low", "high")
-    near = F.filter("bands", lambda b: F.abs(b["band"] - F.col("band")) <= 1)
-    company = F.exists("near", lambda b: (b["lead"]["node"] != F.col("node")) | (b["top"] != F.col("node")))
-    return kept.join(shared, "key").select("key", "node", "n", near.alias("near")).where(company)
+    tile = kept.groupBy("key", "band").agg(F.min("node").alias("low"), F.max("node").alias("high"))
+    shared = tile.groupBy("key").agg(F.collect_list(F.struct("band", "low", "high")).alias("bands"), F.min("low").alias("low"), F.max("high").alias("high")).where("low != high").select("key", "bands")
+    company = F.exists("bands", lambda b: (F.abs(b["band"] - F.col("band")) <= 1) & ((b["low"] != F.col("node")) | (b["high"] != F.col("node"))))
+    return kept.join(shared, "key").where(company).select("key", "node", "n")
 
 
 def _bounded(pairs: DataFrame, percent: int) -> DataFrame:
@@ -205,26 +238,43 @@ def _verified(docs: DataFrame, pairs: DataFrame, profile: DataFrame, size: int,
     return durable(both.select("a", "b", "set_a", "set_b").mapInArrow(run, "a long, b long"))
 
 
+def _mixed(tiles: DataFrame, links: DataFrame | None) -> DataFrame:
+    """Entries ``(key, node, n, root, main)`` of the tiles that hold several components; main is the largest there."""
+    labelled = tiles.select("key", "node", "n", F.col("node").alias("root"))
+    if links is not None:
+        labelled = tiles.select("key", "node", "n").join(components(links), "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
+    labelled = durable(labelled)
+    held = labelled.groupBy("key", "root").agg(F.count(F.lit(1)).alias("held"))
+    mixed = held.groupBy("key").agg(F.max_by("root", F.struct("held", "root")).alias("main"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 != r1").select("key", "main")
+    return labelled.join(mixed, "key")
+
+
+def _led(entries: DataFrame, turn: int, percent: int) -> DataFrame:
+    """One candidate partner for each entry outside its tile's main component: the leader, new each turn, it meets most often."""
+    rank = F.xxhash64("node", F.lit(turn))
+    lead = entries.where("root = main").groupBy("key").agg(F.max(F.struct(rank.alias("rank"), "node", "n")).alias("lead"))
+    met = entries.where("root != main").join(lead, "key").groupBy(F.col("node").alias("a"), F.col("lead.node").alias("b"), F.col("n").alias("n_a"), F.col("lead.n").alias("n_b")).agg(F.count(F.lit(1)).alias("hits"))
+    # Hits with a leader that does not lead every tile it shares are too few; what a low count hides is looked at later.
+    likely = _bounded(met.withColumn("hits", 3 * F.col("hits")), percent)
+    return likely.groupBy("a").agg(F.max(F.struct("hits", "b", "n_a", "n_b")).alias("m")).select("a", "m.n_a", "m.b", "m.n_b", "m.hits")
+
+
 def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 85, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``(doc_id, text_hash, n_shingles, component_id, group)`` per row; ``group`` names the component even without ids."""
     spark = docs.sparkSession
     rows = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("text_hash"))
     profile = durable(_profile(rows, size))
     frequency = spark.sparkContext.broadcast(_frequency(profile))
-    own = profile.where(F.col("bucket").isNull()).select("doc_id", "text_hash", "n", "node")
+    own = profile.where(F.col("shingle").isNull()).select("doc_id", "text_hash", "n", "node")
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     tiles = durable(_tiles(_prefixes(rows, size, percent, frequency), percent, parts))
 
-    star = tiles.select("node", "n", F.explode("near.lead").alias("lead")).where("lead.node != node")
-    star = star.groupBy(F.col("node").alias("a"), F.col("lead.node").alias("b")).agg(F.count(F.lit(1)).alias("hits"), F.first("n").alias("n_a"), F.first("lead.n").alias("n_b"))
-    links = _verified(rows, _bounded(star, percent), own, size, percent)
-    joined = components(links)
+    links = None
+    for turn in range(ROUNDS):
+        found = _verified(rows, _led(_mixed(tiles, links), turn, percent), own, size, percent)
+        links = found if links is None else links.unionByName(found)
 
-    labelled = tiles.select("key", "node", "n").join(joined, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
-    labelled = durable(labelled)
-    held = labelled.groupBy("key", "root").agg(F.count(F.lit(1)).alias("held"))
-    mixed = held.groupBy("key").agg(F.max_by("root", F.struct("held", "root")).alias("main"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 != r1").select("key", "main")
-    open_ = labelled.join(mixed, "key")
+    open_ = _mixed(tiles, links)
     minor = open_.where("root != main").select("key", F.col("node").alias("a"), F.col("n").alias("n_a"), F.col("root").alias("root_a"))
     other = open_.select("key", F.col("node").alias("b"), F.col("n").alias("n_b"), F.col("root").alias("root_b"), (F.col("root") == F.col("main")).alias("is_main"))
     fits = (F.col("root_a") != F.col("root_b")) & (F.col("is_main") | (F.col("a") < F.col("b"))) & (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
