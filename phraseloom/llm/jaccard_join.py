@@ -10,8 +10,8 @@
    passes when the prefix hits that it shares leave room for the needed overlap, then when the bit count of its XORed
    bitmaps does, and is then verified by intersecting the sorted arrays. Verified links give components.
 4. What is left to look at are pairs inside a tile whose members lie in different components: all of those run through
-   the same bounds and the same verification, so no link is lost, and the members of a large group of near copies, which
-   one leader has already joined, are not expanded into pairs.
+   the same bounds, and every one of them is verified unless links found meanwhile have joined its components. So no
+   component is missed, and a large group of near copies, which leaders have joined, is not expanded into pairs.
 
 Defined cases: null and empty texts have no shingles and stand alone; shorter texts than a shingle are one shingle;
 repeated rows share their node; null keys take part and never become a component's id unless all of its keys are null;
@@ -36,8 +36,10 @@ FREQUENT = 1 << 18
 FOLD_AT = 4 << 20
 RECURS = 4
 ROUNDS = 3
+LEADERS = 8
+#: Pairs that a node brings to each of the last rounds; the final one takes all that are left.
+LAST_ROUNDS = (1, 8, None)
 SALTS = 64
-FILTER_BITS = 23
 SLICE = 1 << 20
 
 
@@ -176,20 +178,12 @@ def _bounded(pairs: DataFrame, percent: int) -> DataFrame:
 def _signed_sets(docs: DataFrame, wanted: DataFrame, profile: DataFrame, size: int) -> DataFrame:
     """``(node, bits, shingles)`` for the wanted nodes: one document of each is found by a filter of a fixed size."""
     ids = profile.where("n > 0").groupBy("node").agg(F.min("text_hash").alias("h")).join(wanted, "node").select("h")
-    slots = ids.select(F.pmod("h", F.lit(1 << FILTER_BITS)).alias("slot"))
-    lit = slots.groupBy(F.expr("slot div 64").alias("word")).agg(F.expr("bit_or(shiftleft(1L, cast(slot % 64 as int)))").alias("bits")).toArrow()
-    table = np.zeros(1 << (FILTER_BITS - 6), np.int64)
-    table[lit.column("word").to_numpy()] = lit.column("bits").to_numpy()
-    mask = docs.sparkSession.sparkContext.broadcast(np.unpackbits(table.view(np.uint8), bitorder="little"))
+    wanted_docs = docs.where(is_lit(bit_set(ids), F.col("text_hash")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set = set()
         for batch in batches:
-            hashes = batch.column(2).to_numpy(zero_copy_only=False)
-            take = np.flatnonzero(mask.value[hashes % (1 << FILTER_BITS)])
-            if not len(take):
-                continue
-            for _, values, bounds, digest in _sets(batch.column(1).take(pa.array(take)), size):
+            for _, values, bounds, digest in _sets(batch.column(1), size):
                 rows = []
                 for r in range(len(digest)):
                     if bounds[r] < bounds[r + 1] and int(digest[r]) not in seen:
@@ -205,7 +199,7 @@ def _signed_sets(docs: DataFrame, wanted: DataFrame, profile: DataFrame, size: i
                 sets = [values[bounds[r] : bounds[r + 1]].view(np.int64) for r in rows]
                 yield pa.record_batch([pa.array(digest[rows] if rows else [], pa.int64()), pa.array(bits, pa.list_(pa.int64())), pa.array(sets, pa.list_(pa.int64()))], names=["node", "bits", "shingles"])
 
-    return durable(docs.mapInArrow(run, "node long, bits array<long>, shingles array<long>").dropDuplicates(["node"]))
+    return durable(wanted_docs.mapInArrow(run, "node long, bits array<long>, shingles array<long>").dropDuplicates(["node"]))
 
 
 def _fold(bits: Column, width: Column) -> Column:
@@ -250,13 +244,31 @@ def _mixed(tiles: DataFrame, links: DataFrame | None) -> DataFrame:
 
 
 def _led(entries: DataFrame, turn: int, percent: int) -> DataFrame:
-    """One candidate partner for each entry outside its tile's main component: the leader, new each turn, it meets most often."""
-    rank = F.xxhash64("node", F.lit(turn))
-    lead = entries.where("root = main").groupBy("key").agg(F.max(F.struct(rank.alias("rank"), "node", "n")).alias("lead"))
-    met = entries.where("root != main").join(lead, "key").groupBy(F.col("node").alias("a"), F.col("lead.node").alias("b"), F.col("n").alias("n_a"), F.col("lead.n").alias("n_b")).agg(F.count(F.lit(1)).alias("hits"))
-    # Hits with a leader that does not lead every tile it shares are too few; what a low count hides is looked at later.
-    likely = _bounded(met.withColumn("hits", 3 * F.col("hits")), percent)
-    return likely.groupBy("a").agg(F.max(F.struct("hits", "b", "n_a", "n_b")).alias("m")).select("a", "m.n_a", "m.b", "m.n_b", "m.hits")
+    """Candidate partners for the entries outside their tile's main component: leaders of that component, new ones each turn.
+
+    A tile's leaders are its members of the least rank, so near tiles share their leaders and hits with them add up.
+    """
+    ranked = Window.partitionBy("key").orderBy(F.xxhash64("node", F.lit(turn)))
+    lead = entries.where("root = main").withColumn("place", F.row_number().over(ranked)).where(F.col("place") <= LEADERS).select("key", F.col("node").alias("b"), F.col("n").alias("n_b"))
+    met = entries.where("root != main").select("key", F.col("node").alias("a"), F.col("n").alias("n_a")).join(lead, "key").groupBy("a", "b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("hits"))
+    # Hits with what does not lead every tile it shares are too few; what a low count hides is looked at later.
+    return _closest(_bounded(met.withColumn("hits", 2 * F.col("hits")), percent), 2)
+
+
+def _closest(pairs: DataFrame, most: int | None) -> DataFrame:
+    """Each first node's pairs of most hits."""
+    if most is None:
+        return pairs
+    order = Window.partitionBy("a").orderBy(F.desc("hits"), "b")
+    return pairs.withColumn("place", F.row_number().over(order)).where(F.col("place") <= most).drop("place")
+
+
+def _across(pairs: DataFrame, links: DataFrame) -> DataFrame:
+    """The pairs whose nodes lie in different components."""
+    roots = durable(components(links))
+    for side in "ab":
+        pairs = pairs.join(roots.select(F.col("node").alias(side), F.col("root").alias(f"root_{side}")), side, "left").withColumn(f"root_{side}", F.coalesce(f"root_{side}", side))
+    return pairs.where("root_a != root_b").drop("root_a", "root_b")
 
 
 def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 85, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -280,8 +292,11 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 85, key: str
     fits = (F.col("root_a") != F.col("root_b")) & (F.col("is_main") | (F.col("a") < F.col("b"))) & (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
     rest = minor.join(other, "key").where(fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(F.col("a") < F.col("b"), F.col("n_a")).otherwise(F.col("n_b")).alias("n_a"), F.when(F.col("a") < F.col("b"), F.col("n_b")).otherwise(F.col("n_a")).alias("n_b"))
     rest = rest.groupBy("a", "b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("hits"))
-    more = _verified(rows, _bounded(rest, percent), own, size, percent)
-    roots = components(links.unionByName(more))
+    rest = durable(_bounded(rest, percent))
+    for most in LAST_ROUNDS:
+        rest = durable(_across(rest, links))
+        links = links.unionByName(_verified(rows, _closest(rest, most), own, size, percent))
+    roots = components(links)
 
     least = own.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("least")).join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("group"))
     names = least.groupBy("group").agg(F.min("least").alias("component_id"))
