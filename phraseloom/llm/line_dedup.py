@@ -5,13 +5,13 @@ Jaccard similarity of at least ``percent`` / 100 with it, whether or not that ea
 word always stay.
 
 1. Word frequencies over all texts, in 2^18 buckets, give the rarity order (frequency class, word hash).
-2. Equal sets form one class, represented by its first line; only representatives are joined.
+2. Equal lines count once, at their first place.
 3. Prefix filter: similar sets meet in their ``m - ceil(t m) + 1`` rarest words, and in two of the next-longer prefix.
    So rare words of the prefix are keys by themselves, frequent ones only in pairs, and no tile of a rare word is larger
    than the frequency limit.
 4. Inside a tile the length filter, the positional filter and a 64-bit parity signature (differing bits never exceed
-   differing words) drop pairs before any set is fetched. First every line meets its tile's earliest line; lines whose
-   removal that proves leave the join, the rest meet all members.
+   differing words) drop pairs before any set is fetched. In a tile of frequent words, which near copies may fill, lines
+   first meet a leader for a few rounds; lines whose removal that proves leave, the rest meet all members.
 5. What passes is verified on the full sets.
 
 Defined cases: null texts have no lines to lose and stay null; rows with equal key and text are one document and get the
@@ -30,6 +30,8 @@ BUCKET_BITS = 18
 FREQUENT = 511
 CLASS_STEP = 4
 LEAST = -(1 << 63)
+SALTS = 16
+ROUNDS = 3
 
 
 def _words(text: Column) -> Column:
@@ -67,13 +69,13 @@ def _split(docs: DataFrame) -> DataFrame:
 
 
 def _keys(words: Column, m: Column, percent: int) -> Column:
-    """``(key, at)`` of a line: rare prefix words, and pairs of frequent words of the longer prefix."""
+    """``(key, at, single)`` of a line: rare prefix words, and pairs of frequent words of the longer prefix."""
     limit = 1 + ((FREQUENT + 1).bit_length() - 1) * CLASS_STEP
     prefix = (m - F.ceil(F.lit(percent) * m / 100 - 1e-9) + 1).cast("int")
-    entries = F.transform(F.slice(words, 1, prefix + 1), lambda w, i: F.struct(w.alias("key"), i.cast("int").alias("at")))
+    entries = F.transform(F.slice(words, 1, prefix + 1), lambda w, i: F.struct(w.alias("key"), i.cast("int").alias("at"), F.lit(True).alias("single")))
     frequent = lambda e: F.shiftright(e["key"], 56) >= limit
     single = F.filter(entries, lambda e: (e["at"] < prefix) & (~frequent(e) | (m == 1)))
-    pairs = let(F.filter(entries, frequent), lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: F.struct(F.xxhash64(x["key"], y["key"]).alias("key"), x["at"].alias("at"))))))
+    pairs = let(F.filter(entries, frequent), lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: F.struct(F.xxhash64(x["key"], y["key"]).alias("key"), x["at"].alias("at"), F.lit(False).alias("single"))))))
     return F.concat(single, pairs)
 
 
@@ -82,7 +84,7 @@ def _needed(a: Column, b: Column, percent: int) -> Column:
 
 
 def _passes(percent: int) -> Column:
-    """Length, positional and signature filters for entries ``(m, at, sig)`` and ``(m2, at2, sig2)``."""
+    """Length, positional, and signature filters for entries ``(m, at, sig)`` and ``(m2, at2, sig2)``."""
     m, m2 = F.col("m"), F.col("m2")
     length = 100 * F.least(m, m2) >= percent * F.greatest(m, m2)
     reach = F.least(m - F.col("at"), m2 - F.col("at2")) + F.least("at", "at2")
@@ -90,19 +92,57 @@ def _passes(percent: int) -> Column:
     return length & (reach >= _needed(m, m2, percent)) & room
 
 
+def _other(entries: DataFrame, *extra: str) -> DataFrame:
+    return entries.select("key", *extra, F.col("rh").alias("rh2"), F.col("m").alias("m2"), F.col("at").alias("at2"), F.col("sig").alias("sig2"))
+
+
+def _entries(docs: DataFrame, classes: Column, percent: int, parts: int) -> DataFrame:
+    """``(key, salt, rh, m, at, sig)``, dealt by key and free of repeated rows; salt is -1 for single words.
+
+    Pairs of frequent words are salted, so that a line that very many documents repeat is counted down in many tasks.
+    """
+    sets = _line_sets(_split(docs).withColumn("rh", F.xxhash64("line")), classes).where(F.size("words") > 0)
+    parity = F.aggregate("words", F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(w, F.lit(61)).cast("int"))))
+    m = F.size("words")
+    each = sets.select("th", "rh", m.alias("m"), parity.alias("sig"), F.explode(_keys(F.col("words"), m, percent)).alias("e"))
+    salt = F.when(F.col("e.single"), F.lit(-1)).otherwise(F.pmod("th", F.lit(SALTS)).cast("int"))
+    dealt = each.select("e.key", salt.alias("salt"), "rh", "m", "e.at", "sig").repartition(parts, "key", "salt")
+    return dealt.groupBy("key", "salt", "rh", "m", "at", "sig").agg(F.lit(1).alias("_one")).drop("_one")
+
+
+def _candidates(docs: DataFrame, classes: Column, percent: int, parts: int) -> tuple[DataFrame, DataFrame]:
+    """Pairs ``(rh, rh2)`` that meet in a rare word, and the entries of the tiles of frequent pairs."""
+    entries = _entries(docs, classes, percent, parts)
+    mine, other = entries.where("salt = -1"), _other(entries.where("salt = -1"), "salt")
+    met = mine.join(other, ["key", "salt"]).where((F.col("rh") < F.col("rh2")) & _passes(percent))
+    nothing = F.lit(None)
+    rare = met.select("rh", "rh2", nothing.cast("long").alias("key"), *[nothing.cast(t).alias(c) for c, t in (("m", "int"), ("at", "int"), ("sig", "long"))])
+    frequent = entries.where("salt >= 0").select("rh", nothing.cast("long").alias("rh2"), "key", "m", "at", "sig")
+    both = durable(rare.unionByName(frequent))
+    pairs = both.where("rh2 is not null").select("rh", "rh2").distinct()
+    tiles = both.where("rh2 is null").select("key", "rh", "m", "at", "sig").distinct()
+    return pairs, durable(tiles)
+
+
+def _led(tiles: DataFrame, gone: DataFrame | None, turn: int, percent: int) -> DataFrame:
+    """Each remaining line with its tile's leader, another one each turn."""
+    left = tiles if gone is None else tiles.join(gone, "rh", "left_anti")
+    lead = left.groupBy("key").agg(F.max(F.struct(F.xxhash64("rh", F.lit(turn)).alias("rank"), "rh", "m", "at", "sig")).alias("l"))
+    lead = lead.select("key", F.col("l.rh").alias("rh2"), F.col("l.m").alias("m2"), F.col("l.at").alias("at2"), F.col("l.sig").alias("sig2"))
+    return left.join(lead, "key").where((F.col("rh") != F.col("rh2")) & _passes(percent)).select("rh", "rh2")
+
+
 def _verified(docs: DataFrame, pairs: DataFrame, firsts: DataFrame, classes: Column, percent: int) -> DataFrame:
-    """Class ids that an earlier class matches, among candidate pairs ``(cid, cid2)``."""
-    pairs = durable(pairs.select(F.least("cid", "cid2").alias("cid"), F.greatest("cid", "cid2").alias("cid2")).distinct())
-    nodes = pairs.select("cid").unionByName(pairs.select(F.col("cid2").alias("cid"))).distinct()
-    wanted = firsts.join(nodes, "cid", "left_semi").select("rh")
-    lines = _split(docs).withColumn("rh", F.xxhash64("line")).where(is_lit(bit_set(wanted), F.col("rh")))
-    sets = _line_sets(lines.dropDuplicates(["rh", "line"]).select("line"), classes).select("words").where(F.size("words") > 0)
-    sets = sets.withColumn("cid", F.xxhash64("words")).dropDuplicates(["cid"]).join(firsts.select("cid", "first"), "cid")
-    sets = durable(sets)
-    other = sets.select(F.col("cid").alias("cid2"), F.col("words").alias("words2"), F.col("first").alias("first2"))
+    """Lines ``rh`` that an earlier line matches, among candidate pairs ``(rh, rh2)``."""
+    pairs = durable(pairs.select(F.least("rh", "rh2").alias("rh"), F.greatest("rh", "rh2").alias("rh2")).distinct())
+    nodes = pairs.select("rh").unionByName(pairs.select(F.col("rh2").alias("rh"))).distinct()
+    wanted = is_lit(bit_set(nodes), F.col("rh"))
+    lines = _split(docs).withColumn("rh", F.xxhash64("line")).where(wanted).dropDuplicates(["rh"]).select("rh", "line")
+    sets = durable(_line_sets(lines, classes).select("rh", "words").join(firsts, "rh"))
+    other = sets.select(F.col("rh").alias("rh2"), F.col("words").alias("words2"), F.col("first").alias("first2"))
     common = F.size(F.array_intersect("words", "words2"))
-    close = pairs.join(sets, "cid").join(other, "cid2").where(100 * common >= percent * (F.size("words") + F.size("words2") - common))
-    return durable(close.select(F.when(F.col("first") < F.col("first2"), F.col("cid2")).otherwise(F.col("cid")).alias("cid")).distinct())
+    close = pairs.join(sets, "rh").join(other, "rh2").where(100 * common >= percent * (F.size("words") + F.size("words2") - common))
+    return durable(close.select(F.when(F.col("first") < F.col("first2"), F.col("rh2")).otherwise(F.col("rh")).alias("rh")).distinct())
 
 
 def removed_lines(docs: DataFrame, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -110,30 +150,19 @@ def removed_lines(docs: DataFrame, percent: int = 80, key: str = "doc_id", text:
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     docs = docs.where(F.col(text).isNotNull()).select(F.coalesce(F.col(key).cast("long"), F.lit(LEAST)).alias("doc"), F.xxhash64(text).alias("th"), F.col(text).alias("_text"))
     classes = _frequency_classes(docs)
-    sets = _line_sets(_split(docs).withColumn("rh", F.xxhash64("line")), classes).where(F.size("words") > 0)
-    parity = F.aggregate("words", F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(w, F.lit(61)).cast("int"))))
-    m = F.size("words")
-    lines = durable(sets.select("doc", "th", "pos", "rh", F.xxhash64("words").alias("cid"), m.alias("m"), parity.alias("sig"), _keys(F.col("words"), m, percent).alias("keys")))
-
-    first = lines.groupBy("cid").agg(F.min(F.struct("doc", "th", "pos")).alias("first"))
-    own = F.struct("doc", "th", "pos") == F.col("first")
-    narrow = durable(lines.select("doc", "th", "pos", "rh", "cid").join(first, "cid").withColumn("own", own))
-    firsts = narrow.where("own").select("cid", "first", "rh").dropDuplicates(["cid"])
-    one = lines.join(narrow.where("own").select("doc", "th", "pos"), ["doc", "th", "pos"], "left_semi")
-    entries = one.select("cid", "m", "sig", F.explode("keys").alias("e"), F.struct("doc", "th", "pos").alias("first")).select("cid", "m", "sig", "first", "e.key", "e.at")
-    entries = entries.dropDuplicates(["key", "cid"])
-
-    lead = entries.groupBy("key").agg(F.min(F.struct("first", "cid", "m", "sig", "at")).alias("l"), F.count(F.lit(1)).alias("held")).where("held > 1")
-    met = durable(entries.join(lead, "key").select("key", "cid", "m", "sig", "at", "first", "l"))
-    to_lead = met.select("cid", "m", "sig", "at", F.col("l.cid").alias("cid2"), F.col("l.m").alias("m2"), F.col("l.sig").alias("sig2"), F.col("l.at").alias("at2")).where(F.col("cid") != F.col("cid2"))
-    gone = _verified(docs, to_lead.where(_passes(percent)), firsts, classes, percent)
-
-    left = met.select("key", "cid", "m", "sig", "at", "first").join(gone, "cid", "left_anti")
-    earlier = met.select("key", F.col("cid").alias("cid2"), F.col("m").alias("m2"), F.col("sig").alias("sig2"), F.col("at").alias("at2"), F.col("first").alias("first2"))
-    rest = left.join(earlier, "key").where((F.col("first2") < F.col("first")) & _passes(percent))
+    lines = durable(_split(docs).where(F.col("line").rlike(r"[^\x20\x09-\x0D]")).select("doc", "th", "pos", F.xxhash64("line").alias("rh")).distinct())
+    firsts = lines.groupBy("rh").agg(F.min(F.struct("doc", "th", "pos")).alias("first"))
+    pairs, tiles = _candidates(docs, classes, percent, parts)
+
+    gone = _verified(docs, pairs.unionByName(_led(tiles, None, 0, percent)), firsts, classes, percent)
+    for turn in range(1, ROUNDS):
+        gone = durable(gone.unionByName(_verified(docs, _led(tiles, gone, turn, percent), firsts, classes, percent)).distinct())
+    left = tiles.join(gone, "rh", "left_anti")
+    rest = left.join(_other(tiles), "key").where((F.col("rh") != F.col("rh2")) & _passes(percent)).select("rh", "rh2")
     gone = gone.unionByName(_verified(docs, rest, firsts, classes, percent)).distinct()
-    late = narrow.join(gone.withColumn("_gone", F.lit(True)), "cid", "left").where(~F.col("own") | F.col("_gone"))
-    return late.select("doc", "th", "pos").distinct()
+
+    late = lines.join(firsts, "rh").join(gone.withColumn("_gone", F.lit(True)), "rh", "left")
+    return late.where((F.struct("doc", "th", "pos") != F.col("first")) | F.col("_gone")).select("doc", "th", "pos")
 
 
 def _per_document(removed: DataFrame) -> DataFrame:
