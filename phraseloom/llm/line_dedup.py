@@ -24,12 +24,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from phraseloom.llm.common import SPACE_CLASS, bit_set, durable, is_lit, let
+from phraseloom.llm.common import SPACE_CLASS, bit_set, durable, is_lit, let, written
 
 BUCKET_BITS = 18
 FREQUENT = 511
 CLASS_STEP = 4
 LEAST = -(1 << 63)
+#: Lines of more words carry a longer signature, of this many slots.
+LONG_LINE = 110
+LONG_SLOTS = 256
 SALTS = 16
 ROUNDS = 3
 
@@ -55,80 +58,90 @@ def _frequency_classes(docs: DataFrame) -> Column:
     return F.lit(joined.first()[0].encode("ascii"))
 
 
-def _line_sets(lines: DataFrame, classes: Column) -> DataFrame:
-    """Add ``words``: the line's distinct words as longs in the order of rarity."""
-    hashed = lines.withColumn("_h", F.array_distinct(F.transform(_words(F.col("line")), lambda w: F.xxhash64(w))))
+def _set(line: Column, classes: Column) -> Column:
+    """The line's distinct words as longs in the order of rarity."""
     low = F.lit((1 << 56) - 1)
     kind = lambda h: F.ascii(F.substring(classes, (_bucket(h) + 1).cast("int"), F.lit(1)).cast("string")).cast("long")
-    packed = F.transform("_h", lambda h: F.shiftleft(kind(h), 56).bitwiseOR(h.bitwiseAND(low)))
-    return hashed.withColumn("words", F.sort_array(F.array_distinct(packed))).drop("_h")
+    hashes = F.transform(_words(line), lambda w: F.xxhash64(w))
+    return F.sort_array(F.array_distinct(F.transform(hashes, lambda h: F.shiftleft(kind(h), 56).bitwiseOR(h.bitwiseAND(low)))))
+
+
+def _parity(words: Column, slots: int, part: Column | None = None) -> Column:
+    """Parities of the words' slots as bits of a long (of the 64 slots of one part)."""
+    flip = lambda acc, w: acc.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(F.pmod(w, F.lit(slots)), F.lit(64)).cast("int")))
+    own = words if part is None else F.filter(words, lambda w: F.floor(F.pmod(w, F.lit(slots)) / 64) == part)
+    return F.aggregate(own, F.lit(0).cast("long"), flip)
 
 
 def _split(docs: DataFrame) -> DataFrame:
     return docs.select("doc", "th", F.posexplode(F.split("_text", "\n")).alias("pos", "line"))
 
 
-def _keys(words: Column, m: Column, percent: int) -> Column:
-    """``(key, at, single)`` of a line: rare prefix words, and pairs of frequent words of the longer prefix."""
+def _keys(words: Column, percent: int) -> Column:
+    """Entries ``(key, at, single, m, sig, long_sig)`` of a line: rare prefix words, and pairs of frequent words of the longer prefix."""
     limit = 1 + ((FREQUENT + 1).bit_length() - 1) * CLASS_STEP
+    m = F.size(words)
     prefix = (m - F.ceil(F.lit(percent) * m / 100 - 1e-9) + 1).cast("int")
-    entries = F.transform(F.slice(words, 1, prefix + 1), lambda w, i: F.struct(w.alias("key"), i.cast("int").alias("at"), F.lit(True).alias("single")))
-    frequent = lambda e: F.shiftright(e["key"], 56) >= limit
-    single = F.filter(entries, lambda e: (e["at"] < prefix) & (~frequent(e) | (m == 1)))
-    pairs = let(F.filter(entries, frequent), lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: F.struct(F.xxhash64(x["key"], y["key"]).alias("key"), x["at"].alias("at"), F.lit(False).alias("single"))))))
-    return F.concat(single, pairs)
+    frequent = lambda w: F.shiftright(w, 56) >= limit
+    entry = lambda key, at, single: F.struct(key.alias("key"), at.cast("int").alias("at"), F.lit(single).alias("single"))
+
+    def of(ordered: Column) -> Column:
+        single = F.filter(F.transform(F.slice(ordered, 1, prefix), lambda w, i: F.when(~frequent(w) | (m == 1), entry(w, i, True))), lambda e: e.isNotNull())
+        often = F.filter(F.transform(ordered, lambda w, i: F.struct(w.alias("w"), i.alias("i"))), lambda e: frequent(e["w"]))
+        pairs = let(often, lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: entry(F.xxhash64(x["w"], y["w"]), x["i"], False)))))
+        return F.concat(single, pairs)
+
+    parts = F.transform(F.sequence(F.lit(0), F.lit(LONG_SLOTS // 64 - 1)), lambda k: _parity(words, LONG_SLOTS, k))
+    signed = F.struct(m.alias("m"), _parity(words, 61).alias("sig"), F.when(m > LONG_LINE, parts).alias("long_sig"))
+    whole = lambda g: F.transform(of(F.slice(words, 1, prefix + 1)), lambda e: F.struct(e["key"].alias("key"), e["at"].alias("at"), e["single"].alias("single"), g["m"].alias("m"), g["sig"].alias("sig"), g["long_sig"].alias("long_sig")))
+    return F.when(m > 0, let(signed, whole))
 
 
 def _needed(a: Column, b: Column, percent: int) -> Column:
     return F.ceil(F.lit(percent) * (a + b) / F.lit(100.0 + percent) - 1e-9)
 
 
-def _passes(percent: int) -> Column:
-    """Length, positional, and signature filters for entries ``(m, at, sig)`` and ``(m2, at2, sig2)``."""
-    m, m2 = F.col("m"), F.col("m2")
+def _passes(percent: int, side: str = "") -> Column:
+    """Length, positional, and signature filters for entries ``(m, at, sig)`` (names end in ``side``) and ``(m2, at2, sig2)``."""
+    m, m2, at, sig, long_sig = F.col(f"m{side}"), F.col("m2"), F.col(f"at{side}"), F.col(f"sig{side}"), F.col(f"long_sig{side}")
     length = 100 * F.least(m, m2) >= percent * F.greatest(m, m2)
-    reach = F.least(m - F.col("at"), m2 - F.col("at2")) + F.least("at", "at2")
-    room = (m + m2 - F.bit_count(F.col("sig").bitwiseXOR(F.col("sig2")))) >= 2 * _needed(m, m2, percent)
-    return length & (reach >= _needed(m, m2, percent)) & room
+    reach = F.least(m - at, m2 - F.col("at2")) + F.least(at, F.col("at2"))
+    room = lambda apart: (m + m2 - apart) >= 2 * _needed(m, m2, percent)
+    short = room(F.bit_count(sig.bitwiseXOR(F.col("sig2"))))
+    long = room(F.aggregate(F.zip_with(long_sig, "long_sig2", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda acc, x: acc + x))
+    return length & (reach >= _needed(m, m2, percent)) & short & F.coalesce(long, F.lit(True))
 
 
-def _other(entries: DataFrame, *extra: str) -> DataFrame:
-    return entries.select("key", *extra, F.col("rh").alias("rh2"), F.col("m").alias("m2"), F.col("at").alias("at2"), F.col("sig").alias("sig2"))
+def _other(entries: DataFrame, side: int = 2) -> DataFrame:
+    return entries.select("key", *[F.col(c).alias(f"{c}{side}") for c in ("rh", "m", "at", "sig", "long_sig")])
 
 
 def _entries(docs: DataFrame, classes: Column, percent: int, parts: int) -> DataFrame:
-    """``(key, salt, rh, m, at, sig)``, dealt by key and free of repeated rows; salt is -1 for single words.
+    """``(key, salt, rh, m, at, sig, long_sig)``, dealt by key and free of repeated rows; salt is -1 for single words.
 
     Pairs of frequent words are salted, so that a line that very many documents repeat is counted down in many tasks.
     """
-    sets = _line_sets(_split(docs).withColumn("rh", F.xxhash64("line")), classes).where(F.size("words") > 0)
-    parity = F.aggregate("words", F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(w, F.lit(61)).cast("int"))))
-    m = F.size("words")
-    each = sets.select("th", "rh", m.alias("m"), parity.alias("sig"), F.explode(_keys(F.col("words"), m, percent)).alias("e"))
+    lines = _split(docs).select("th", F.xxhash64("line").alias("rh"), _set(F.col("line"), classes).alias("words"))
+    each = lines.select("th", "rh", F.explode(let(F.col("words"), lambda w: _keys(w, percent))).alias("e"))
     salt = F.when(F.col("e.single"), F.lit(-1)).otherwise(F.pmod("th", F.lit(SALTS)).cast("int"))
-    dealt = each.select("e.key", salt.alias("salt"), "rh", "m", "e.at", "sig").repartition(parts, "key", "salt")
-    return dealt.groupBy("key", "salt", "rh", "m", "at", "sig").agg(F.lit(1).alias("_one")).drop("_one")
+    dealt = each.select("e.key", salt.alias("salt"), "rh", "e.m", "e.at", "e.sig", "e.long_sig").repartition(parts, "key", "salt")
+    return dealt.groupBy("key", "salt", "rh", "m", "at", "sig", "long_sig").agg(F.lit(1).alias("_one")).drop("_one")
 
 
 def _candidates(docs: DataFrame, classes: Column, percent: int, parts: int) -> tuple[DataFrame, DataFrame]:
     """Pairs ``(rh, rh2)`` that meet in a rare word, and the entries of the tiles of frequent pairs."""
-    entries = _entries(docs, classes, percent, parts)
-    mine, other = entries.where("salt = -1"), _other(entries.where("salt = -1"), "salt")
-    met = mine.join(other, ["key", "salt"]).where((F.col("rh") < F.col("rh2")) & _passes(percent))
-    nothing = F.lit(None)
-    rare = met.select("rh", "rh2", nothing.cast("long").alias("key"), *[nothing.cast(t).alias(c) for c, t in (("m", "int"), ("at", "int"), ("sig", "long"))])
-    frequent = entries.where("salt >= 0").select("rh", nothing.cast("long").alias("rh2"), "key", "m", "at", "sig")
-    both = durable(rare.unionByName(frequent))
-    pairs = both.where("rh2 is not null").select("rh", "rh2").distinct()
-    tiles = both.where("rh2 is null").select("key", "rh", "m", "at", "sig").distinct()
-    return pairs, durable(tiles)
+    entries = written(_entries(docs, classes, percent, parts))
+    rare = entries.where("salt = -1")
+    # Both sides are renamed alike, so that their plans are equal and one exchange serves both.
+    met = _other(rare, 1).join(_other(rare, 2), "key").where((F.col("rh1") < F.col("rh2")) & _passes(percent, "1"))
+    return durable(met.select(F.col("rh1").alias("rh"), "rh2").distinct()), durable(entries.where("salt >= 0").select("key", "rh", "m", "at", "sig", "long_sig").distinct())
 
 
 def _led(tiles: DataFrame, gone: DataFrame | None, turn: int, percent: int) -> DataFrame:
     """Each remaining line with its tile's leader, another one each turn."""
     left = tiles if gone is None else tiles.join(gone, "rh", "left_anti")
-    lead = left.groupBy("key").agg(F.max(F.struct(F.xxhash64("rh", F.lit(turn)).alias("rank"), "rh", "m", "at", "sig")).alias("l"))
-    lead = lead.select("key", F.col("l.rh").alias("rh2"), F.col("l.m").alias("m2"), F.col("l.at").alias("at2"), F.col("l.sig").alias("sig2"))
+    lead = left.groupBy("key").agg(F.max(F.struct(F.xxhash64("rh", F.lit(turn)).alias("rank"), "rh", "m", "at", "sig", "long_sig")).alias("l"))
+    lead = lead.select("key", F.col("l.rh").alias("rh2"), F.col("l.m").alias("m2"), F.col("l.at").alias("at2"), F.col("l.sig").alias("sig2"), F.col("l.long_sig").alias("long_sig2"))
     return left.join(lead, "key").where((F.col("rh") != F.col("rh2")) & _passes(percent)).select("rh", "rh2")
 
 
@@ -138,7 +151,7 @@ def _verified(docs: DataFrame, pairs: DataFrame, firsts: DataFrame, classes: Col
     nodes = pairs.select("rh").unionByName(pairs.select(F.col("rh2").alias("rh"))).distinct()
     wanted = is_lit(bit_set(nodes), F.col("rh"))
     lines = _split(docs).withColumn("rh", F.xxhash64("line")).where(wanted).dropDuplicates(["rh"]).select("rh", "line")
-    sets = durable(_line_sets(lines, classes).select("rh", "words").join(firsts, "rh"))
+    sets = durable(lines.select("rh", _set(F.col("line"), classes).alias("words")).join(firsts, "rh"))
     other = sets.select(F.col("rh").alias("rh2"), F.col("words").alias("words2"), F.col("first").alias("first2"))
     common = F.size(F.array_intersect("words", "words2"))
     close = pairs.join(sets, "rh").join(other, "rh2").where(100 * common >= percent * (F.size("words") + F.size("words2") - common))
