@@ -21,6 +21,8 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from phraseloom.llm.common import durable
+
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 AFTER_SCHEME = r"(?s)^.*?://([^/?#]*)([^?#]*)"
 
@@ -63,7 +65,7 @@ def _shape(path: Column, max_depth: int) -> Column:
 
 def template_rates(shapes: DataFrame, max_depth: int = 4, z_least: float = 2.576, prior_weight: float = 5.0) -> DataFrame:
     """Add ``template`` and its smoothed ``purity`` (share of rejects) to distinct shapes ``(host, shape, n, lab, bad)``."""
-    tree = shapes.withColumn("_at", F.col("host"))
+    tree = durable(shapes.withColumn("_at", F.col("host")))
     for level in range(1, max_depth + 1):
         child = F.get("shape", F.lit(level - 1))
         grown = tree.withColumn("_child", child)
@@ -75,10 +77,10 @@ def template_rates(shapes: DataFrame, max_depth: int = 4, z_least: float = 2.576
         apart = (F.col("lab_c") > 0) & (rest > 0) & (F.abs(gap) > z_least * spread)
         own = branches.join(parents, "_at").where(apart).select("_at", "_child", F.lit(True).alias("_own"))
         named = F.when(F.col("_child").isNull(), F.col("_at")).otherwise(F.concat_ws("/", "_at", F.when(F.col("_own"), F.col("_child")).otherwise("*")))
-        tree = grown.join(own, ["_at", "_child"], "left").select("host", "shape", "n", "lab", "bad", named.alias("_at"))
+        tree = durable(grown.join(own, ["_at", "_child"], "left").select("host", "shape", "n", "lab", "bad", named.alias("_at")))
     tree = tree.withColumnRenamed("_at", "template")
     every = tree.agg(((F.sum("bad") + 1) / (F.sum("lab") + 2)).alias("rate_all"))
-    by_host = tree.groupBy("host").agg(F.sum("lab").alias("lab_h"), F.sum("bad").alias("bad_h")).join(F.broadcast(every))
+    by_host = tree.groupBy("host").agg(F.sum("lab").alias("lab_h"), F.sum("bad").alias("bad_h")).join(F.broadcast(every))  # one row
     by_host = by_host.select("host", ((F.col("bad_h") + prior_weight * F.coalesce("rate_all", F.lit(0.5))) / (F.col("lab_h") + prior_weight)).alias("rate_h"))
     by_template = tree.groupBy("host", "template").agg(F.sum("lab").alias("lab_t"), F.sum("bad").alias("bad_t")).join(by_host, "host")
     rate = (F.col("bad_t") + prior_weight * F.col("rate_h")) / (F.col("lab_t") + prior_weight)
