@@ -250,7 +250,7 @@ def fn_strings(spark: SparkSession, d: str) -> DataFrame:
 
 @query("fn_dates", "SELECT date_trunc('day', ts) AS day, event_type, count(*) AS events, max(epoch_us(ts)) AS last_us FROM events GROUP BY 1, 2")
 def fn_dates(spark: SparkSession, d: str) -> DataFrame:
-    return src.table(spark, d, "events").groupBy(F.date_trunc("day", "ts").alias("day"), "event_type").agg(F.count(F.lit(1)).alias("events"), F.max(F.unix_micros(F.col("ts").cast("timestamp"))).alias("last_us"))
+    return src.table(spark, d, "events").groupBy(F.date_trunc("day", "ts").alias("day"), "event_type").agg(F.count(F.lit(1)).alias("events"), F.max(F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01', cast(ts as timestamp_ntz))")).alias("last_us"))
 
 
 @query("fn_math", "SELECT doc_id, round(cbrt(n_chars), 6) AS cube_root, CAST(ceil(log2(n_chars + 1)) AS BIGINT) AS bits, bit_count(n_chars) AS ones, n_chars % 7 AS rest FROM documents")

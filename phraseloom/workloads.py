@@ -135,7 +135,8 @@ def compression_ratio(spark: SparkSession, d: str) -> DataFrame:
 @query("forest_depths", o.phrases(o.PARTS, "SELECT sid, max(n) - max(n) + 1 AS node, count(*) AS depth FROM w GROUP BY sid"))
 def forest_depths(spark: SparkSession, d: str) -> DataFrame:
     reaches = ph.reach(ph.lpf_by_grams(src.part_names(spark, d)))
-    return ph.forest_depths(reaches, 128).where("node = 1").select("sid", F.col("node").cast("long").alias("node"), "depth")
+    longest = src.part_names(spark, d).agg(F.coalesce(F.max(F.char_length("body")), F.lit(1))).first()[0]
+    return ph.forest_depths(reaches, longest).where("node = 1").select("sid", F.col("node").cast("long").alias("node"), "depth")
 
 
 @query("forest_ancestor", o.lpf(o.PARTS, "SELECT sid, pos AS node, reach[reach[reach[pos]]] AS ancestor FROM r, LATERAL (SELECT unnest(range(1, n + 1)) AS pos) WHERE reach[reach[reach[pos]]] IS NOT NULL"))
@@ -427,3 +428,62 @@ _ROOT = "(SELECT CAST(ceil(sqrt(count(*))) AS BIGINT) AS r FROM a)"
 def ov_sizes(spark: SparkSession, d: str) -> DataFrame:
     a, b = _sets(spark, d)
     return ov.sizes(b, a, _D).select("u", "n", "dictionary_symbols", "query_symbols", "substitutions")
+
+
+# --- streams, and one string by position ranges -------------------------------------------------------------------
+
+@query("stream_sliding_counts", ORACLES["sliding_phrase_count"])
+def stream_sliding_counts(spark: SparkSession, d: str) -> DataFrame:
+    from phraseloom.streaming import stream
+
+    return stream.sliding_counts(spark, d)
+
+
+_DAYS = "SELECT user_id * 1000000 + CAST(epoch_us(date_trunc('day', ts)) // 86400000000 AS BIGINT) AS sid, string_agg(substr(event_type, 1, 1), '' ORDER BY ts, event_id) AS body FROM {events} GROUP BY user_id, date_trunc('day', ts)"
+_WINDOW = "SELECT sid // 1000000 AS user_id, (sid % 1000000) * 86400000000 AS start_us, CAST(max(n) AS BIGINT) AS n, count(*) AS phrases FROM w GROUP BY sid"
+
+
+@query("stream_tumbling", o.phrases(_DAYS.format(events="events"), _WINDOW))
+def stream_tumbling(spark: SparkSession, d: str) -> DataFrame:
+    from phraseloom.streaming import stream
+
+    return stream.window_counts(spark, d, "tumbling")
+
+
+@query("stream_sliding_windows", o.phrases(_DAYS.format(events="(SELECT user_id, ts - INTERVAL 1 DAY * back AS day, ts, event_id, event_type FROM events, range(0, 2) t(back))").replace("date_trunc('day', ts)", "date_trunc('day', day)"), _WINDOW))
+def stream_sliding_windows(spark: SparkSession, d: str) -> DataFrame:
+    from phraseloom.streaming import stream
+
+    return stream.window_counts(spark, d, "sliding")
+
+
+_SESSIONS = """SELECT user_id * 100000 + s AS sid, string_agg(c, '' ORDER BY ts, event_id) AS body, min(ts) AS start FROM (SELECT *, sum(CASE WHEN gap IS NULL OR gap > INTERVAL 1 DAY THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s
+  FROM (SELECT user_id, ts, event_id, substr(event_type, 1, 1) AS c, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS gap FROM events)) GROUP BY user_id, s"""
+
+
+@query("stream_sessions", o.phrases(_SESSIONS, "SELECT w.sid // 100000 AS user_id, epoch_us(min(start)) AS start_us, CAST(max(n) AS BIGINT) AS n, count(*) AS phrases FROM w JOIN s USING (sid) GROUP BY w.sid"))
+def stream_sessions(spark: SparkSession, d: str) -> DataFrame:
+    from phraseloom.streaming import stream
+
+    return stream.window_counts(spark, d, "session")
+
+
+@query("huge_suffix_ranks", "WITH e AS (SELECT row_number() OVER (ORDER BY event_id) AS pos, substr(event_type, 1, 1) AS sym FROM events), b AS (SELECT string_agg(sym, '' ORDER BY pos) AS body FROM e) SELECT pos, row_number() OVER (ORDER BY substr(body, CAST(pos AS INTEGER))) AS rank FROM e, b")
+def huge_suffix_ranks(spark: SparkSession, d: str) -> DataFrame:
+    """Suffix array of one string given as rows: event ids are dense, so they number the positions."""
+    from phraseloom.plans import huge_string
+
+    events = src.table(spark, d, "events")
+    low = events.agg(F.min("event_id")).first()[0]
+    return huge_string.suffix_ranks(events.select((F.col("event_id") - low + 1).alias("pos"), F.substring("event_type", 1, 1).alias("sym")), parts=8)
+
+
+@query("huge_root_path", o.phrases(o.USERS, "SELECT sid, ord, lo, hi FROM w WHERE sid = (SELECT min(user_id) FROM events)"))
+def huge_root_path(spark: SparkSession, d: str) -> DataFrame:
+    """The parse of one user's string from its position table, in blocks of 16 places."""
+    from phraseloom.plans import huge_string
+
+    users = src.user_strings(spark, d)
+    least = users.agg(F.min("sid")).first()[0]
+    reaches = ph.reach(ph.lpf(users.where(F.col("sid") == least)))
+    return huge_string.root_path(reaches, block=16).select(F.lit(least).alias("sid"), "ord", "lo", "hi")
