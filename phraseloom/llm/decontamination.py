@@ -26,11 +26,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from phraseloom.llm import byte_words as bw
+from phraseloom.llm.common import tidy
 
 WINDOW = 10
 BLOCK_BYTES = 16 << 20
-SHARD_BYTES = 4 << 20
-SHARD_WORDS = 2 << 20
+SHARD_BYTES = 2 << 20
+ROWS = 1024
+SHARD_WORDS = 1 << 20
 REPORT = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, longest_match long, longest_at long"
 
 
@@ -194,7 +196,7 @@ def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_by
     blocks = _test_blocks(benchmark, window, block_bytes, item_key, item_text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tidy(batches):
             rows = list(scan_rows(batch.column(1), [b.value for b in blocks]))
             words, hits, counts, names, longest, place = zip(*rows, strict=True) if rows else ([],) * 6
             digests = [hashlib.sha256(",".join(sorted(x)).encode()).hexdigest() for x in names]
@@ -212,8 +214,10 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, b
     place = docs.columns.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            clean = [hits == 0 for _, hits, *_ in scan_rows(batch.column(place), [b.value for b in blocks])]
-            yield batch.filter(pa.array(clean, pa.bool_()))
+        for batch in tidy(batches):
+            for low in range(0, batch.num_rows, ROWS):
+                part = batch.slice(low, ROWS)
+                clean = [hits == 0 for _, hits, *_ in scan_rows(part.column(place), [b.value for b in blocks])]
+                yield part.filter(pa.array(clean, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

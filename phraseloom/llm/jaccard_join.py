@@ -29,18 +29,18 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from phraseloom.llm import byte_words as bw
-from phraseloom.llm.common import bit_set, durable, is_lit
+from phraseloom.llm.common import bit_set, durable, is_lit, release_memory, tidy
 from phraseloom.llm.components import components
 
 FREQUENT = 1 << 18
-FOLD_AT = 4 << 20
+FOLD_AT = 1 << 20
 RECURS = 4
 ROUNDS = 3
 LEADERS = 8
 #: Pairs that a node brings to each of the last rounds; the final one takes all that are left.
 LAST_ROUNDS = (1, 8, None)
 SALTS = 64
-SLICE = 1 << 20
+SLICE = 1 << 19
 
 
 def _needed(n_a: Column, n_b: Column, percent: int) -> Column:
@@ -89,7 +89,7 @@ def _profile(docs: DataFrame, size: int) -> DataFrame:
         counts = _Counts()
         fields = ["doc_id", "text_hash", "n", "node", "shingle", "hits"]
         null = lambda n: pa.nulls(n, pa.int64())
-        for batch in batches:
+        for batch in tidy(batches):
             sizes, nodes = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
             for _, values, bounds, digest in _sets(batch.column(1), size):
                 counts.add(values)
@@ -110,6 +110,8 @@ def _frequency(profile: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     seen = profile.where(F.col("shingle").isNotNull()).groupBy("shingle").agg(F.sum("hits").alias("hits")).orderBy(F.desc("hits"), "shingle").limit(FREQUENT).toArrow()
     values, hits = seen.column("shingle").to_numpy().view(np.uint64), seen.column("hits").to_numpy()
     order = np.argsort(values)
+    del seen
+    release_memory()
     return values[order], np.clip(np.log2(np.maximum(hits[order], 1)) * 6, 1, 255).astype(np.uint64)
 
 
@@ -126,7 +128,7 @@ def _prefixes(docs: DataFrame, size: int, percent: int, frequency) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, seen = frequency.value, set()
-        for batch in batches:
+        for batch in tidy(batches):
             for _, values, bounds, digest in _sets(batch.column(1), size):
                 order = (_loudness(values, table) << np.uint64(56)) | (values >> np.uint64(8))
                 nodes, sizes, keys = [], [], []
@@ -182,7 +184,7 @@ def _signed_sets(docs: DataFrame, wanted: DataFrame, profile: DataFrame, size: i
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set = set()
-        for batch in batches:
+        for batch in tidy(batches):
             for _, values, bounds, digest in _sets(batch.column(1), size):
                 rows = []
                 for r in range(len(digest)):
@@ -221,7 +223,7 @@ def _verified(docs: DataFrame, pairs: DataFrame, profile: DataFrame, size: int,
     both = close.join(sets.select(F.col("node").alias("a"), F.col("shingles").alias("set_a")), "a").join(sets.select(F.col("node").alias("b"), F.col("shingles").alias("set_b")), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tidy(batches):
             keep = []
             for x, y in zip(batch.column(2), batch.column(3), strict=True):
                 left, right = (v.values.to_numpy().view(np.uint64) for v in (x, y))

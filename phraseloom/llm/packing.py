@@ -22,6 +22,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from phraseloom.llm.common import tidy
 
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, sequence_length long"
 CAPACITY, END_ID = 2048, 1
@@ -129,7 +132,7 @@ def pack_documents(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str =
             held = 0
             return pa.record_batch([pa.array(c, type=f.type) for c, f in zip(columns, kinds, strict=True)], schema=kinds)
 
-        for batch in batches:
+        for batch in tidy(batches):
             for k, t in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 got = np.array([*encode(t.as_py() or ""), end_id], dtype="<u4")
                 keys.append(k)
@@ -140,6 +143,4 @@ def pack_documents(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str =
         if keys:
             yield flush()
 
-    from pyspark.sql import functions as F
-
     return docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, SCHEMA)

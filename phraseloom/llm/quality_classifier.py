@@ -24,12 +24,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from phraseloom.llm import byte_words as bw
+from phraseloom.llm.common import release_memory, tidy
 
 FOLDS = 5
 THRESHOLD = 0.3
 MAX_POSITIVE = 10_000
 MAX_UNLABELLED = 20_000
-SLICE = 2 << 20
+SLICE = 1 << 19
+ROWS = 1024
 
 #: Byte classes by members; a byte of none of them is of class 0 (controls), from 0x80 on of the last.
 CLASSES = ("abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789", " \t", "\n\r", ".,;:", "!?", "'\"`", "#*$%&|<>", "@^~_=+\\/", "()[]{}", "-")
@@ -122,14 +124,17 @@ def train(docs: DataFrame, labels: DataFrame, max_positive: int = MAX_POSITIVE,
     chosen = positive.select("id", F.lit(1).alias("_p")).unionByName(rest.select("id", F.lit(0).alias("_p"))).groupBy("id").agg(F.max("_p").alias("_p"), F.min("_p").alias("_u"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tidy(batches):
             x = features(batch.column(1))
             yield pa.record_batch([batch.column(0), batch.column(2), batch.column(3), pa.FixedSizeListArray.from_arrays(pa.array(x.reshape(-1)), N_FEATURES).cast(pa.list_(pa.float32()))], names=["id", "_p", "_u", "x"])
 
     texts = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("_text")).join(F.broadcast(chosen), "id")  # at most max_positive + max_unlabelled keys
     rows = texts.select("id", "_text", "_p", "_u").mapInArrow(run, "id long, _p int, _u int, x array<float>").dropDuplicates(["id"]).toArrow().sort_by("id")
     x = rows.column("x").combine_chunks().flatten().to_numpy().reshape(-1, N_FEATURES)
-    return fit(x[rows.column("_p").to_numpy() == 1], x[rows.column("_u").to_numpy() == 0], prior)
+    model = fit(x[rows.column("_p").to_numpy() == 1], x[rows.column("_u").to_numpy() == 0], prior)
+    del x, rows
+    release_memory()
+    return model
 
 
 def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -137,7 +142,7 @@ def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD, key: str
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tidy(batches):
             got = sent.value.scores(features(batch.column(1)))
             yield pa.record_batch([batch.column(0), batch.column(2), pa.array(got), pa.array((got >= threshold).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
@@ -150,7 +155,9 @@ def keep_accepted(docs: DataFrame, model: Model, threshold: float = THRESHOLD, t
     place = docs.columns.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            yield batch.filter(pa.array(sent.value.scores(features(batch.column(place))) >= threshold))
+        for batch in tidy(batches):
+            for low in range(0, batch.num_rows, ROWS):
+                part = batch.slice(low, ROWS)
+                yield part.filter(pa.array(sent.value.scores(features(part.column(place))) >= threshold))
 
     return docs.mapInArrow(run, docs.schema)
