@@ -6,8 +6,8 @@
 2. Shingles are ordered by rarity: frequent ones last, the longer shingle first. Under any such order two linked sets
    must meet in the prefixes of ``n - ceil(t n) + 1`` shingles. Prefix entries are dealt by shingle once, frequent shingles salted, and entries that stand alone go. A tile
    is a shingle and a size band with its neighbours; entries without company in their tile go too.
-3. In a few rounds members outside a tile's main component pair with a leader of it, another one each round. A pair
-   passes when the prefix hits that it shares leave room for the needed overlap, then when the bit count of its XORed
+3. To begin with, sets that agree on a band of least hashes pair with the band's leader, then members outside a tile's
+   main component with leaders of it. A pair of a tile passes when the prefix hits that it shares leave room for the needed overlap, then when the bit count of its XORed
    bitmaps does, and is then verified by intersecting the sorted arrays. Verified links give components.
 4. What is left to look at are pairs inside a tile whose members lie in different components: all of those run through
    the same bounds, and every one of them is verified unless links found meanwhile have joined its components. So no
@@ -35,8 +35,9 @@ from phraseloom.llm.components import components
 FREQUENT = 1 << 18
 FOLD_AT = 1 << 20
 RECURS = 4
-ROUNDS = 3
+ROUNDS = 1
 LEADERS = 8
+BANDS, BAND_ROWS = 16, 4
 #: Pairs that a node brings to each of the last rounds; the final one takes all that are left.
 LAST_ROUNDS = (1, 8, None)
 SALTS = 64
@@ -124,14 +125,14 @@ def _loudness(values: np.ndarray, frequency: tuple[np.ndarray, np.ndarray]) -> n
 
 
 def _prefixes(docs: DataFrame, size: int, percent: int, frequency) -> DataFrame:
-    """``(node, n, keys)`` with the rarest shingles of each distinct set that a task sees."""
+    """``(node, n, keys, bands)``: the rarest shingles, and the least-hash bands, of each distinct set that a task sees."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, seen = frequency.value, set()
         for batch in tidy(batches):
             for _, values, bounds, digest in _sets(batch.column(1), size):
                 order = (_loudness(values, table) << np.uint64(56)) | (values >> np.uint64(8))
-                nodes, sizes, keys = [], [], []
+                nodes, sizes, keys, bands = [], [], [], []
                 for r in range(len(digest)):
                     low, high = int(bounds[r]), int(bounds[r + 1])
                     n = high - low
@@ -141,13 +142,33 @@ def _prefixes(docs: DataFrame, size: int, percent: int, frequency) -> DataFrame:
                     most = n - -(-percent * n // 100) + 1
                     part = order[low:high]
                     keys.append(np.partition(part, most - 1)[:most] if most < n else part)
+                    bands.append(_bands(values[low:high]))
                     nodes.append(name[0])
                     sizes.append(n)
                 flat = np.concatenate(keys).view(np.int64) if keys else np.zeros(0, np.int64)
                 ends = np.cumsum([0, *map(len, keys)])
-                yield pa.record_batch([pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat))], names=["node", "n", "keys"])
+                yield pa.record_batch([pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat)), pa.array(bands, pa.list_(pa.int64()))], names=["node", "n", "keys", "bands"])
 
-    return docs.mapInArrow(run, "node long, n long, keys array<long>")
+    return docs.mapInArrow(run, "node long, n long, keys array<long>, bands array<long>")
+
+
+def _bands(values: np.ndarray) -> np.ndarray:
+    """Hashes of groups of bucket minima: sets that agree on a group are likely near copies."""
+    hashed = np.sort(bw.mix(values ^ np.uint64(0x5851F42D4C957F2D)))
+    first = np.searchsorted(hashed, np.arange(BANDS * BAND_ROWS, dtype=np.uint64) << np.uint64(64 - (BANDS * BAND_ROWS).bit_length() + 1))
+    least = hashed[first % len(hashed)]  # an empty bucket takes the next one's
+    out = np.arange(BANDS, dtype=np.uint64)
+    for r in range(BAND_ROWS):
+        out = bw.mix(out * np.uint64(31) + least[r::BAND_ROWS])
+    return out.view(np.int64)
+
+
+def _alike(prefixes: DataFrame, percent: int) -> DataFrame:
+    """Candidate pairs of each node with the leaders of its bands."""
+    banded = prefixes.select("node", "n", F.explode("bands").alias("band"))
+    lead = banded.groupBy("band").agg(F.min("node").alias("b"), F.max("node").alias("other"), F.min(F.struct("node", "n")).alias("l")).where("b != other").select("band", "b", F.col("l.n").alias("n_b"))
+    met = banded.join(lead, "band").where((F.col("node") != F.col("b")) & (100 * F.least("n", "n_b") >= percent * F.greatest("n", "n_b")))
+    return met.select(F.col("node").alias("a"), "b", F.col("n").alias("n_a"), "n_b").distinct()
 
 
 def _band(percent: int) -> Column:
@@ -234,12 +255,9 @@ def _verified(docs: DataFrame, pairs: DataFrame, profile: DataFrame, size: int,
     return durable(both.select("a", "b", "set_a", "set_b").mapInArrow(run, "a long, b long"))
 
 
-def _mixed(tiles: DataFrame, links: DataFrame | None) -> DataFrame:
+def _mixed(tiles: DataFrame, links: DataFrame) -> DataFrame:
     """Entries ``(key, node, n, root, main)`` of the tiles that hold several components; main is the largest there."""
-    labelled = tiles.select("key", "node", "n", F.col("node").alias("root"))
-    if links is not None:
-        labelled = tiles.select("key", "node", "n").join(components(links), "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
-    labelled = durable(labelled)
+    labelled = durable(tiles.join(components(links), "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root")))
     held = labelled.groupBy("key", "root").agg(F.count(F.lit(1)).alias("held"))
     mixed = held.groupBy("key").agg(F.max_by("root", F.struct("held", "root")).alias("main"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 != r1").select("key", "main")
     return labelled.join(mixed, "key")
@@ -281,12 +299,11 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 85, key: str
     frequency = spark.sparkContext.broadcast(_frequency(profile))
     own = profile.where(F.col("shingle").isNull()).select("doc_id", "text_hash", "n", "node")
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    tiles = durable(_tiles(_prefixes(rows, size, percent, frequency), percent, parts))
-
-    links = None
+    prefixes = durable(_prefixes(rows, size, percent, frequency))
+    tiles = durable(_tiles(prefixes, percent, parts))
+    links = _verified(rows, _alike(prefixes, percent), own, size, percent)
     for turn in range(ROUNDS):
-        found = _verified(rows, _led(_mixed(tiles, links), turn, percent), own, size, percent)
-        links = found if links is None else links.unionByName(found)
+        links = links.unionByName(_verified(rows, _led(_mixed(tiles, links), turn, percent), own, size, percent))
 
     open_ = _mixed(tiles, links)
     minor = open_.where("root != main").select("key", F.col("node").alias("a"), F.col("n").alias("n_a"), F.col("root").alias("root_a"))

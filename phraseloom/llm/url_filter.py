@@ -2,8 +2,8 @@
 
 The tree works on pre-aggregated shapes. A shape is the host and its path segments, each variable-looking segment
 (numbers, hexadecimal ids, dates) already written as a wildcard class. Level by level, a branch keeps its literal name
-only if its labelled reject rate differs significantly from that of its siblings; all statistically similar branches
-of one parent merge into ``*``. A template's reject rate is smoothed towards its host's, which is smoothed towards the
+only if its labelled reject rate is significantly above that of its siblings; branches significantly below merge into
+``*-``, and all that do not differ from their siblings into ``*``. A template's reject rate is smoothed towards its host's, which is smoothed towards the
 rate of all labelled pages; templates at or above a purity are rejected.
 
 Labels come from the caller (``bad`` true, false or null) or, as in the registered query, from the rules: a URL that a
@@ -75,8 +75,8 @@ def template_rates(shapes: DataFrame, max_depth: int = 4, z_least: float = 2.576
         gap = F.col("bad_c") / F.greatest(F.col("lab_c"), F.lit(1)) - (F.col("bad_p") - F.col("bad_c")) / F.greatest(rest, F.lit(1))
         spread = F.sqrt(pooled * (1 - pooled) * (1 / F.greatest(F.col("lab_c"), F.lit(1)) + 1 / F.greatest(rest, F.lit(1))))
         apart = (F.col("lab_c") > 0) & (rest > 0) & (F.abs(gap) > z_least * spread)
-        own = branches.join(parents, "_at").where(apart).select("_at", "_child", F.lit(True).alias("_own"))
-        named = F.when(F.col("_child").isNull(), F.col("_at")).otherwise(F.concat_ws("/", "_at", F.when(F.col("_own"), F.col("_child")).otherwise("*")))
+        own = branches.join(parents, "_at").where(apart).select("_at", "_child", F.when(gap > 0, F.col("_child")).otherwise("*-").alias("_own"))
+        named = F.when(F.col("_child").isNull(), F.col("_at")).otherwise(F.concat_ws("/", "_at", F.coalesce("_own", F.lit("*"))))
         tree = durable(grown.join(own, ["_at", "_child"], "left").select("host", "shape", "n", "lab", "bad", named.alias("_at")))
     tree = tree.withColumnRenamed("_at", "template")
     every = tree.agg(((F.sum("bad") + 1) / (F.sum("lab") + 2)).alias("rate_all"))
