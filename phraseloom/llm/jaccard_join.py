@@ -125,14 +125,14 @@ def _loudness(values: np.ndarray, frequency: tuple[np.ndarray, np.ndarray]) -> n
 
 
 def _prefixes(docs: DataFrame, size: int, percent: int, frequency) -> DataFrame:
-    """``(node, n, keys, bands)``: the rarest shingles, and the least-hash bands, of each distinct set that a task sees."""
+    """``(node, n, keys, bands, bits)``: the rarest shingles, the least-hash bands, and the bitmap, of each distinct set that a task sees."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, seen = frequency.value, set()
         for batch in tidy(batches):
             for _, values, bounds, digest in _sets(batch.column(1), size):
                 order = (_loudness(values, table) << np.uint64(56)) | (values >> np.uint64(8))
-                nodes, sizes, keys, bands = [], [], [], []
+                nodes, sizes, keys, bands, bits = [], [], [], [], []
                 for r in range(len(digest)):
                     low, high = int(bounds[r]), int(bounds[r + 1])
                     n = high - low
@@ -143,13 +143,22 @@ def _prefixes(docs: DataFrame, size: int, percent: int, frequency) -> DataFrame:
                     part = order[low:high]
                     keys.append(np.partition(part, most - 1)[:most] if most < n else part)
                     bands.append(_bands(values[low:high]))
+                    bits.append(_bitmap(values[low:high]))
                     nodes.append(name[0])
                     sizes.append(n)
                 flat = np.concatenate(keys).view(np.int64) if keys else np.zeros(0, np.int64)
                 ends = np.cumsum([0, *map(len, keys)])
-                yield pa.record_batch([pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat)), pa.array(bands, pa.list_(pa.int64()))], names=["node", "n", "keys", "bands"])
+                yield pa.record_batch([pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat)), pa.array(bands, pa.list_(pa.int64())), pa.array(bits, pa.list_(pa.int64()))], names=["node", "n", "keys", "bands", "bits"])
 
-    return docs.mapInArrow(run, "node long, n long, keys array<long>, bands array<long>")
+    return docs.mapInArrow(run, "node long, n long, keys array<long>, bands array<long>, bits array<long>")
+
+
+def _bitmap(values: np.ndarray) -> np.ndarray:
+    """A bitmap of about two bits a shingle, by size band, as longs."""
+    width = 1 << max(8, min(16, int(len(values) * 2 - 1).bit_length()))
+    own = np.zeros(width, np.uint8)
+    own[(bw.mix(values) % np.uint64(width)).astype(np.int64)] = 1
+    return np.packbits(own, bitorder="little").view(np.int64)
 
 
 def _bands(values: np.ndarray) -> np.ndarray:
@@ -215,10 +224,7 @@ def _signed_sets(docs: DataFrame, wanted: DataFrame, profile: DataFrame, size: i
                 bits = []
                 for r in rows:
                     part = values[bounds[r] : bounds[r + 1]]
-                    width = 1 << max(8, min(16, int(len(part) * 2 - 1).bit_length()))  # by size band: two bits a shingle
-                    own = np.zeros(width, np.uint8)
-                    own[(bw.mix(part) % np.uint64(width)).astype(np.int64)] = 1
-                    bits.append(np.packbits(own, bitorder="little").view(np.int64))
+                    bits.append(_bitmap(part))
                 sets = [values[bounds[r] : bounds[r + 1]].view(np.int64) for r in rows]
                 yield pa.record_batch([pa.array(digest[rows] if rows else [], pa.int64()), pa.array(bits, pa.list_(pa.int64())), pa.array(sets, pa.list_(pa.int64()))], names=["node", "bits", "shingles"])
 
@@ -231,16 +237,20 @@ def _fold(bits: Column, width: Column) -> Column:
     return F.when(F.size(bits) == width, bits).otherwise(folded)
 
 
+def _near(percent: int) -> Column:
+    """Do the bit counts of ``bits_a`` and ``bits_b`` leave room for the needed overlap?"""
+    width = F.least(F.size("bits_a"), F.size("bits_b"))
+    apart = F.aggregate(F.zip_with(_fold(F.col("bits_a"), width), _fold(F.col("bits_b"), width), lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda acc, x: acc + x)
+    return F.floor((F.col("n_a") + F.col("n_b") - apart) / 2) >= _needed(F.col("n_a"), F.col("n_b"), percent)
+
+
 def _verified(docs: DataFrame, pairs: DataFrame, profile: DataFrame, size: int, percent: int) -> DataFrame:
     """Links ``(a, b)`` among candidate pairs: bitmap bound first, then the exact intersection."""
     pairs = durable(pairs)
     nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
     sets = _signed_sets(docs, nodes, profile, size)
     bits_a, bits_b = (sets.select(F.col("node").alias(x), F.col("bits").alias(f"bits_{x}")) for x in "ab")
-    width = F.least(F.size("bits_a"), F.size("bits_b"))
-    apart = F.aggregate(F.zip_with(_fold(F.col("bits_a"), width), _fold(F.col("bits_b"), width), lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda acc, x: acc + x)
-    most = F.floor((F.col("n_a") + F.col("n_b") - apart) / 2)
-    close = pairs.join(bits_a, "a").join(bits_b, "b").where(most >= _needed(F.col("n_a"), F.col("n_b"), percent)).select("a", "b")
+    close = pairs.join(bits_a, "a").join(bits_b, "b").where(_near(percent)).select("a", "b")
     both = close.join(sets.select(F.col("node").alias("a"), F.col("shingles").alias("set_a")), "a").join(sets.select(F.col("node").alias("b"), F.col("shingles").alias("set_b")), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -305,11 +315,15 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 85, key: str
     for turn in range(ROUNDS):
         links = links.unionByName(_verified(rows, _led(_mixed(tiles, links), turn, percent), own, size, percent))
 
-    open_ = _mixed(tiles, links)
-    minor = open_.where("root != main").select("key", F.col("node").alias("a"), F.col("n").alias("n_a"), F.col("root").alias("root_a"))
-    other = open_.select("key", F.col("node").alias("b"), F.col("n").alias("n_b"), F.col("root").alias("root_b"), (F.col("root") == F.col("main")).alias("is_main"))
-    fits = (F.col("root_a") != F.col("root_b")) & (F.col("is_main") | (F.col("a") < F.col("b"))) & (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
-    rest = minor.join(other, "key").where(fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(F.col("a") < F.col("b"), F.col("n_a")).otherwise(F.col("n_b")).alias("n_a"), F.when(F.col("a") < F.col("b"), F.col("n_b")).otherwise(F.col("n_a")).alias("n_b"))
+    open_ = durable(_mixed(tiles, links).drop("n"))
+    bits = prefixes.select("node", "n", "bits").join(open_.select("node").distinct(), "node", "left_semi").dropDuplicates(["node"])
+    open_ = open_.join(bits, "node")
+    minor = open_.where("root != main").select("key", *[F.col(c).alias(f"{c}_a") for c in ("node", "n", "root", "bits")])
+    other = open_.select("key", *[F.col(c).alias(f"{c}_b") for c in ("node", "n", "root", "bits")], (F.col("root") == F.col("main")).alias("is_main"))
+    fits = (F.col("root_a") != F.col("root_b")) & (F.col("is_main") | (F.col("node_a") < F.col("node_b"))) & (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
+    met = minor.join(other, "key").where(fits & _near(percent))
+    first = F.col("node_a") < F.col("node_b")
+    rest = met.select(F.least("node_a", "node_b").alias("a"), F.greatest("node_a", "node_b").alias("b"), F.when(first, F.col("n_a")).otherwise(F.col("n_b")).alias("n_a"), F.when(first, F.col("n_b")).otherwise(F.col("n_a")).alias("n_b"))
     rest = rest.groupBy("a", "b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("hits"))
     rest = durable(_bounded(rest, percent))
     for most in LAST_ROUNDS:
