@@ -6,7 +6,6 @@ import contextlib
 import ctypes
 import gc
 import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -40,14 +39,6 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def written(df: DataFrame) -> DataFrame:
-    """As ``durable``, as compressed Parquet in the same folder: for tables with many rows."""
-    ensure_checkpoint_dir(df.sparkSession)
-    path = f"{df.sparkSession.sparkContext.getCheckpointDir()}/table-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def release_memory() -> None:
     """Give freed buffers back to the system: Python workers live on between stages, beside the executor's heap."""
     gc.collect()

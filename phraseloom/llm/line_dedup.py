@@ -24,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from phraseloom.llm.common import SPACE_CLASS, bit_set, durable, is_lit, let, written
+from phraseloom.llm.common import SPACE_CLASS, bit_set, durable, is_lit, let
 
 BUCKET_BITS = 18
 FREQUENT = 511
@@ -77,23 +77,25 @@ def _split(docs: DataFrame) -> DataFrame:
     return docs.select("doc", "th", F.posexplode(F.split("_text", "\n")).alias("pos", "line"))
 
 
-def _keys(words: Column, percent: int) -> Column:
-    """Entries ``(key, at, single, m, sig, long_sig)`` of a line: rare prefix words, and pairs of frequent words of the longer prefix."""
+def _keys(words: Column, percent: int, pairs_only: bool) -> Column:
+    """Entries ``(key, at, m, sig, long_sig)`` of a line: its rare prefix words, or pairs of frequent words of the longer prefix."""
     limit = 1 + ((FREQUENT + 1).bit_length() - 1) * CLASS_STEP
     m = F.size(words)
     prefix = (m - F.ceil(F.lit(percent) * m / 100 - 1e-9) + 1).cast("int")
     frequent = lambda w: F.shiftright(w, 56) >= limit
-    entry = lambda key, at, single: F.struct(key.alias("key"), at.cast("int").alias("at"), F.lit(single).alias("single"))
+    entry = lambda key, at: F.struct(key.alias("key"), at.cast("int").alias("at"))
 
     def of(ordered: Column) -> Column:
-        single = F.filter(F.transform(F.slice(ordered, 1, prefix), lambda w, i: F.when(~frequent(w) | (m == 1), entry(w, i, True))), lambda e: e.isNotNull())
+        if not pairs_only:
+            return F.filter(F.transform(F.slice(ordered, 1, prefix), lambda w, i: F.when(~frequent(w) | (m == 1), entry(w, i))), lambda e: e.isNotNull())
         often = F.filter(F.transform(ordered, lambda w, i: F.struct(w.alias("w"), i.alias("i"))), lambda e: frequent(e["w"]))
-        pairs = let(often, lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: entry(F.xxhash64(x["w"], y["w"]), x["i"], False)))))
-        return F.concat(single, pairs)
+        return let(often, lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: entry(F.xxhash64(x["w"], y["w"]), x["i"])))))
 
     parts = F.transform(F.sequence(F.lit(0), F.lit(LONG_SLOTS // 64 - 1)), lambda k: _parity(words, LONG_SLOTS, k))
     signed = F.struct(m.alias("m"), _parity(words, 61).alias("sig"), F.when(m > LONG_LINE, parts).alias("long_sig"))
-    whole = lambda g: F.transform(of(F.slice(words, 1, prefix + 1)), lambda e: F.struct(e["key"].alias("key"), e["at"].alias("at"), e["single"].alias("single"), g["m"].alias("m"), g["sig"].alias("sig"), g["long_sig"].alias("long_sig")))
+    whole = lambda g: F.transform(of(F.slice(words, 1, prefix + 1)), lambda e: F.struct(e["key"].alias("key"), e["at"].alias("at"), g["m"].alias("m"), g["sig"].alias("sig"), g["long_sig"].alias("long_sig")))
+    if pairs_only:  # most lines have no pair: look before anything else is computed
+        return F.when(F.size(F.filter(F.slice(words, 1, prefix + 1), frequent)) > 1, let(signed, whole))
     return F.when(m > 0, let(signed, whole))
 
 
@@ -116,25 +118,25 @@ def _other(entries: DataFrame, side: int = 2) -> DataFrame:
     return entries.select("key", *[F.col(c).alias(f"{c}{side}") for c in ("rh", "m", "at", "sig", "long_sig")])
 
 
-def _entries(docs: DataFrame, classes: Column, percent: int, parts: int) -> DataFrame:
-    """``(key, salt, rh, m, at, sig, long_sig)``, dealt by key and free of repeated rows; salt is -1 for single words.
-
-    Pairs of frequent words are salted, so that a line that very many documents repeat is counted down in many tasks.
-    """
+def _entries(docs: DataFrame, classes: Column, percent: int, pairs_only: bool) -> DataFrame:
+    """``(th, rh, key, m, at, sig, long_sig)`` of all lines."""
     lines = _split(docs).select("th", F.xxhash64("line").alias("rh"), _set(F.col("line"), classes).alias("words"))
-    each = lines.select("th", "rh", F.explode(let(F.col("words"), lambda w: _keys(w, percent))).alias("e"))
-    salt = F.when(F.col("e.single"), F.lit(-1)).otherwise(F.pmod("th", F.lit(SALTS)).cast("int"))
-    dealt = each.select("e.key", salt.alias("salt"), "rh", "e.m", "e.at", "e.sig", "e.long_sig").repartition(parts, "key", "salt")
-    return dealt.groupBy("key", "salt", "rh", "m", "at", "sig", "long_sig").agg(F.lit(1).alias("_one")).drop("_one")
+    each = lines.select("th", "rh", F.explode(let(F.col("words"), lambda w: _keys(w, percent, pairs_only))).alias("e"))
+    return each.select("th", "rh", "e.key", "e.m", "e.at", "e.sig", "e.long_sig")
 
 
-def _candidates(docs: DataFrame, classes: Column, percent: int, parts: int) -> tuple[DataFrame, DataFrame]:
-    """Pairs ``(rh, rh2)`` that meet in a rare word, and the entries of the tiles of frequent pairs."""
-    entries = written(_entries(docs, classes, percent, parts))
-    rare = entries.where("salt = -1")
+def _candidates(docs: DataFrame, classes: Column, percent: int) -> tuple[DataFrame, DataFrame]:
+    """Pairs ``(rh, rh2)`` that meet in a rare word, and the entries of the tiles of frequent pairs.
+
+    Pairs of frequent words are counted down per salt first, so that a line that very many documents repeat is spread.
+    """
+    rare = _entries(docs, classes, percent, False)
     # Both sides are renamed alike, so that their plans are equal and one exchange serves both.
     met = _other(rare, 1).join(_other(rare, 2), "key").where((F.col("rh1") < F.col("rh2")) & _passes(percent, "1"))
-    return durable(met.select(F.col("rh1").alias("rh"), "rh2").distinct()), durable(entries.where("salt >= 0").select("key", "rh", "m", "at", "sig", "long_sig").distinct())
+    pairs = durable(met.select(F.col("rh1").alias("rh"), "rh2").distinct())
+    frequent = _entries(docs, classes, percent, True).withColumn("salt", F.pmod("th", F.lit(SALTS)))
+    columns = ["key", "rh", "m", "at", "sig", "long_sig"]
+    return pairs, durable(frequent.select("salt", *columns).distinct().select(*columns).distinct())
 
 
 def _led(tiles: DataFrame, gone: DataFrame | None, turn: int, percent: int) -> DataFrame:
@@ -160,12 +162,11 @@ def _verified(docs: DataFrame, pairs: DataFrame, firsts: DataFrame, classes: Col
 
 def removed_lines(docs: DataFrame, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``(doc, th, pos)`` of every line that goes; ``th`` is the hash of its document's text."""
-    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     docs = docs.where(F.col(text).isNotNull()).select(F.coalesce(F.col(key).cast("long"), F.lit(LEAST)).alias("doc"), F.xxhash64(text).alias("th"), F.col(text).alias("_text"))
     classes = _frequency_classes(docs)
     lines = durable(_split(docs).where(F.col("line").rlike(r"[^\x20\x09-\x0D]")).select("doc", "th", "pos", F.xxhash64("line").alias("rh")).distinct())
     firsts = lines.groupBy("rh").agg(F.min(F.struct("doc", "th", "pos")).alias("first"))
-    pairs, tiles = _candidates(docs, classes, percent, parts)
+    pairs, tiles = _candidates(docs, classes, percent)
 
     gone = _verified(docs, pairs.unionByName(_led(tiles, None, 0, percent)), firsts, classes, percent)
     for turn in range(1, ROUNDS):
