@@ -31,8 +31,8 @@ FREQUENT = 511
 CLASS_STEP = 4
 LEAST = -(1 << 63)
 #: Lines of more words carry a longer signature, of this many slots.
-LONG_LINE = 110
-LONG_SLOTS = 256
+LONG_LINE = 60
+LONG_SLOTS = 128
 SALTS = 16
 ROUNDS = 3
 
