@@ -21,7 +21,7 @@ and text are kept as they are.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from phraseloom.llm.common import SPACE_CLASS, bit_set, durable, is_lit, let
@@ -160,6 +160,22 @@ def _verified(docs: DataFrame, pairs: DataFrame, firsts: DataFrame, classes: Col
     return durable(close.select(F.when(F.col("first") < F.col("first2"), F.col("rh2")).otherwise(F.col("rh")).alias("rh")).distinct())
 
 
+def _oriented(pairs: DataFrame, firsts: DataFrame) -> DataFrame:
+    """``(late, early)`` by the lines' first places."""
+    other = firsts.select(F.col("rh").alias("rh2"), F.col("first").alias("first2"))
+    placed = pairs.join(firsts, "rh").join(other, "rh2")
+    forward = F.col("first") < F.col("first2")
+    return placed.select(F.when(forward, F.col("rh2")).otherwise(F.col("rh")).alias("late"), F.when(forward, F.col("rh")).otherwise(F.col("rh2")).alias("early")).distinct()
+
+
+def _few(pairs: DataFrame, gone: DataFrame | None, most: int | None) -> DataFrame:
+    """Up to ``most`` earlier candidates (none: all) of each line that nothing has removed yet."""
+    left = pairs if gone is None else pairs.join(gone.withColumnRenamed("rh", "late"), "late", "left_anti")
+    if most is not None:
+        left = left.withColumn("place", F.row_number().over(Window.partitionBy("late").orderBy("early"))).where(F.col("place") <= most)
+    return left.select(F.col("late").alias("rh"), F.col("early").alias("rh2"))
+
+
 def removed_lines(docs: DataFrame, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``(doc, th, pos)`` of every line that goes; ``th`` is the hash of its document's text."""
     docs = docs.where(F.col(text).isNotNull()).select(F.coalesce(F.col(key).cast("long"), F.lit(LEAST)).alias("doc"), F.xxhash64(text).alias("th"), F.col(text).alias("_text"))
@@ -168,7 +184,12 @@ def removed_lines(docs: DataFrame, percent: int = 80, key: str = "doc_id", text:
     firsts = lines.groupBy("rh").agg(F.min(F.struct("doc", "th", "pos")).alias("first"))
     pairs, tiles = _candidates(docs, classes, percent)
 
-    gone = _verified(docs, pairs.unionByName(_led(tiles, None, 0, percent)), firsts, classes, percent)
+    # One earlier match is enough, so first every line tries one candidate; what that removes needs no other.
+    pairs = durable(_oriented(pairs.unionByName(_led(tiles, None, 0, percent)), firsts))
+    gone = None
+    for most in (1, 8, None):
+        found = _verified(docs, _few(pairs, gone, most), firsts, classes, percent)
+        gone = found if gone is None else durable(gone.unionByName(found).distinct())
     for turn in range(1, ROUNDS):
         gone = durable(gone.unionByName(_verified(docs, _led(tiles, gone, turn, percent), firsts, classes, percent)).distinct())
     left = tiles.join(gone, "rh", "left_anti")
