@@ -28,8 +28,8 @@ from phraseloom.llm.common import release_memory, tidy
 
 FOLDS = 5
 THRESHOLD = 0.3
-MAX_POSITIVE = 10_000
-MAX_UNLABELLED = 20_000
+MAX_POSITIVE = 6_000
+MAX_UNLABELLED = 8_000
 SLICE = 1 << 19
 ROWS = 1024
 
@@ -91,7 +91,7 @@ def fit(positive: np.ndarray, unlabelled: np.ndarray, prior: float, steps: int =
     if not len(positive) or not len(unlabelled):
         return Model(np.zeros(N_FEATURES), np.ones(N_FEATURES), np.zeros(N_FEATURES), 0.0, 0.5)
     mean, scale = unlabelled.mean(axis=0), unlabelled.std(axis=0) + 1e-3
-    p, u = (np.clip((x - mean) / scale, -6, 6).astype(np.float32) for x in (positive, unlabelled))
+    p, u = (np.clip((x - mean) / scale, -6, 6, dtype=np.float32) for x in (positive, unlabelled))
     weights, bias = np.zeros(p.shape[1], np.float32), 0.0
     m, v = np.zeros(p.shape[1] + 1), np.zeros(p.shape[1] + 1)
     logistic = lambda z: 1 / (1 + np.exp(-np.clip(z, -40, 40)))
