@@ -18,6 +18,12 @@ def strings(table: DataFrame, key: str, body: str) -> DataFrame:
     return table.select(F.col(key).cast("long").alias("sid"), F.col(body).cast("string").alias("body")).where("body is not null")
 
 
+def spread(rows: DataFrame, key: str = "sid") -> DataFrame:
+    """Deal rows to all cores when their scan has fewer partitions (one small file); large scans stay as they are."""
+    cores = rows.sparkSession.sparkContext.defaultParallelism
+    return rows.repartition(4 * cores, key) if rows.rdd.getNumPartitions() < cores else rows
+
+
 def flat_map(rows: DataFrame, kernel: Callable[..., Iterable[tuple]], schema: str) -> DataFrame:
     """Apply ``kernel`` to the columns of each row; its tuples become rows of ``schema``."""
     kind = T._parse_datatype_string(schema)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phraseloom.operators.per_string import strings
+from phraseloom.operators.per_string import spread, strings
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -13,7 +13,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return strings(table(spark, sf_dir, "documents"), "doc_id", "text")
+    return spread(strings(table(spark, sf_dir, "documents"), "doc_id", "text"))
 
 
 def passages(spark: SparkSession, sf_dir: str) -> DataFrame:

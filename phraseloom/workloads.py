@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from phraseloom.operators import changes, orthogonality as ov, phrases as ph, stringology as st
-from phraseloom.operators.per_string import flat_map
+from phraseloom.operators.per_string import flat_map, spread
 from phraseloom.plans import oracles as o
 from phraseloom.sources import tables as src
 
@@ -52,7 +52,7 @@ def quality_vs_ratio(spark: SparkSession, d: str) -> DataFrame:
 def page_parse_stats(spark: SparkSession, d: str) -> DataFrame:
     pages = src.table(spark, d, "pages")
     host = pages.select(F.col("page_id").alias("sid"), F.parse_url("url", F.lit("HOST")).alias("host"))
-    stats = ph.parse_stats(pages.select(F.col("page_id").alias("sid"), F.col("html").alias("body")))
+    stats = ph.parse_stats(spread(pages.select(F.col("page_id").alias("sid"), F.col("html").alias("body"))))
     return stats.join(host, "sid").groupBy("host").agg(F.count(F.lit(1)).alias("pages"), F.sum("n").alias("symbols"), F.sum("phrases").alias("phrases"))
 
 
