@@ -39,6 +39,12 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def drop_finished_shuffles(spark: SparkSession) -> None:
+    """Let Spark's cleaner remove the shuffle files of jobs whose results are checkpointed; it acts on collected garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def release_memory() -> None:
     """Give freed buffers back to the system: Python workers live on between stages, beside the executor's heap."""
     gc.collect()

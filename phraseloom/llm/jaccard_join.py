@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from phraseloom.llm import byte_words as bw
-from phraseloom.llm.common import bit_set, durable, is_lit, release_memory, tidy
+from phraseloom.llm.common import bit_set, drop_finished_shuffles, durable, is_lit, release_memory, tidy
 from phraseloom.llm.components import components
 
 FREQUENT = 1 << 18
@@ -311,6 +311,7 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 85, key: str
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     prefixes = durable(_prefixes(rows, size, percent, frequency))
     tiles = durable(_tiles(prefixes, percent, parts))
+    drop_finished_shuffles(spark)
     links = _verified(rows, _alike(prefixes, percent), own, size, percent)
     for turn in range(ROUNDS):
         links = links.unionByName(_verified(rows, _led(_mixed(tiles, links), turn, percent), own, size, percent))
@@ -326,6 +327,7 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 85, key: str
     rest = met.select(F.least("node_a", "node_b").alias("a"), F.greatest("node_a", "node_b").alias("b"), F.when(first, F.col("n_a")).otherwise(F.col("n_b")).alias("n_a"), F.when(first, F.col("n_b")).otherwise(F.col("n_a")).alias("n_b"))
     rest = rest.groupBy("a", "b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("hits"))
     rest = durable(_bounded(rest, percent))
+    drop_finished_shuffles(spark)
     for most in LAST_ROUNDS:
         rest = durable(_across(rest, links))
         links = links.unionByName(_verified(rows, _closest(rest, most), own, size, percent))

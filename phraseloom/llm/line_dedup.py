@@ -24,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from phraseloom.llm.common import SPACE_CLASS, bit_set, durable, is_lit, let
+from phraseloom.llm.common import SPACE_CLASS, bit_set, drop_finished_shuffles, durable, is_lit, let
 
 BUCKET_BITS = 18
 FREQUENT = 511
@@ -134,6 +134,8 @@ def _candidates(docs: DataFrame, classes: Column, percent: int) -> tuple[DataFra
     # Both sides are renamed alike, so that their plans are equal and one exchange serves both.
     met = _other(rare, 1).join(_other(rare, 2), "key").where((F.col("rh1") < F.col("rh2")) & _passes(percent, "1"))
     pairs = durable(met.select(F.col("rh1").alias("rh"), "rh2").distinct())
+    del met, rare
+    drop_finished_shuffles(docs.sparkSession)
     frequent = _entries(docs, classes, percent, True).withColumn("salt", F.pmod("th", F.lit(SALTS)))
     columns = ["key", "rh", "m", "at", "sig", "long_sig"]
     return pairs, durable(frequent.select("salt", *columns).distinct().select(*columns).distinct())
@@ -183,13 +185,16 @@ def removed_lines(docs: DataFrame, percent: int = 80, key: str = "doc_id", text:
     lines = durable(_split(docs).where(F.col("line").rlike(r"[^\x20\x09-\x0D]")).select("doc", "th", "pos", F.xxhash64("line").alias("rh")).distinct())
     firsts = lines.groupBy("rh").agg(F.min(F.struct("doc", "th", "pos")).alias("first"))
     pairs, tiles = _candidates(docs, classes, percent)
+    drop_finished_shuffles(docs.sparkSession)
 
     # One earlier match is enough, so first every line tries one candidate; what that removes needs no other.
     pairs = durable(_oriented(pairs.unionByName(_led(tiles, None, 0, percent)), firsts))
+    drop_finished_shuffles(docs.sparkSession)
     gone = None
     for most in (1, 8, None):
         found = _verified(docs, _few(pairs, gone, most), firsts, classes, percent)
         gone = found if gone is None else durable(gone.unionByName(found).distinct())
+        drop_finished_shuffles(docs.sparkSession)
     for turn in range(1, ROUNDS):
         gone = durable(gone.unionByName(_verified(docs, _led(tiles, gone, turn, percent), firsts, classes, percent)).distinct())
     left = tiles.join(gone, "rh", "left_anti")
