@@ -1,7 +1,8 @@
 """Orthogonality of Boolean vectors through parse lengths, and the direct join as its baseline.
 
-Vectors are the distinct sign patterns of a table, so the number of vectors is bounded by 2^d whatever the table's size;
-multiplicities carry the counts of all rows.
+Vectors are the distinct sign patterns of a table; multiplicities carry the counts of all rows. ``patterns`` takes the
+first d <= 10 coordinates as an integer, so that at most 2^d vectors come to the driver. ``whole_patterns`` takes every
+coordinate as a string of 0 and 1; its operators (``whole_*``) cut A into blocks and bring nothing to the driver but a count.
 """
 
 from __future__ import annotations
@@ -141,3 +142,105 @@ def direct_join(a: DataFrame, b: DataFrame) -> DataFrame:
     """The baseline: pairs of patterns without a common bit (both sides at most 2^d rows), with the pairs of rows they stand for."""
     left, right = b.select(F.col("bits").alias("u"), F.col("copies").alias("copies_u")), F.broadcast(a.select(F.col("bits").alias("v"), F.col("copies").alias("copies_v")))
     return left.join(right, F.col("u").bitwiseAND(F.col("v")) == 0).groupBy("u").agg(F.count(F.lit(1)).alias("orthogonal"), F.sum(F.col("copies_u") * F.col("copies_v")).alias("row_pairs"))
+
+
+# --- all coordinates, A in blocks -----------------------------------------------------------------------------------
+
+WORD = 32
+
+
+def whole_patterns(vectors: DataFrame, key: str = "vec_id", embedding: str = "embedding") -> tuple[DataFrame, DataFrame]:
+    """``(bits, copies)`` of A (even keys) and B (odd keys), bits a string of the signs of all coordinates."""
+    bits = F.array_join(F.transform(embedding, lambda x: F.when(x > 0, F.lit("1")).otherwise(F.lit("0"))), "")
+    named = vectors.select((F.col(key) % 2).alias("side"), bits.alias("bits"))
+    return tuple(named.where(F.col("side") == side).groupBy("bits").agg(F.count(F.lit(1)).alias("copies")) for side in (0, 1))
+
+
+def _packed(bits: str) -> Column:
+    """The string as an array of longs of 32 coordinates each."""
+    starts = F.sequence(F.lit(0), F.floor((F.char_length(bits) - 1) / WORD).cast("int"))
+    return F.transform(starts, lambda k: F.conv(F.substring(F.col(bits), k * WORD + 1, F.lit(WORD)), 2, 10).cast("long"))
+
+
+def whole_join(a: DataFrame, b: DataFrame) -> DataFrame:
+    """The baseline on all coordinates: for every u of B the patterns of A without a common bit (also none), and the pairs of rows."""
+    left = b.select(F.col("bits").alias("u"), F.col("copies").alias("copies_u"), _packed("bits").alias("words_u"))
+    right = a.select(F.col("bits").alias("v"), F.col("copies").alias("copies_v"), _packed("bits").alias("words_v"))
+    apart = F.forall(F.zip_with("words_u", "words_v", lambda x, y: x.bitwiseAND(y)), lambda w: w == 0)
+    return left.join(right, apart, "left").groupBy("u").agg(F.count("v").alias("orthogonal"), F.coalesce(F.sum(F.col("copies_u") * F.col("copies_v")), F.lit(0)).alias("row_pairs"))
+
+
+def _blocks(a: DataFrame, b: DataFrame, size: int) -> DataFrame:
+    """``(u, own)``: every pattern of B with every block of about ``size`` patterns of A."""
+    count = max(1, -(-a.count() // size))
+    own = a.groupBy(F.pmod(F.xxhash64("bits"), F.lit(count)).alias("block")).agg(F.array_sort(F.collect_list("bits")).alias("own"))
+    cores = a.sparkSession.sparkContext.defaultParallelism
+    # both sides are dealt out: either may be the one that is streamed
+    return b.select(F.col("bits").alias("u")).repartition(4 * cores, "u").crossJoin(own.repartition(4 * cores, "block").select("own"))
+
+
+def _squared(own: list[str], d: int) -> list[int]:
+    root = isqrt(len(own) - 1) + 1
+    return [int(v, 2) for v in own] + [(1 << d) - 1] * (root * root - len(own))
+
+
+def whole_phrase_counts(a: DataFrame, b: DataFrame, size: int = 9) -> DataFrame:
+    """``(u, v, phrases, orthogonal)`` for all pairs of patterns: d + 1 phrases cover an orthogonal vector's block, d + 2 another's."""
+
+    def kernel(u: str, own: list[str]) -> list[tuple]:
+        d = len(u)
+        counts = phrases_per_vector(_squared(own, d), int(u, 2), d)
+        return [(u, v, c, c == d + 1) for v, c in zip(own, counts, strict=False)]
+
+    return flat_map(_blocks(a, b, size), kernel, "u string, v string, phrases long, orthogonal boolean")
+
+
+def whole_decide(a: DataFrame, b: DataFrame, size: int = 9) -> DataFrame:
+    """Per query pattern: phrases over all of A, orthogonal patterns, and whether there is one."""
+    per_block = whole_phrase_counts(a, b, size)
+    return per_block.groupBy("u").agg(F.sum("phrases").alias("phrases"), F.count_if("orthogonal").alias("orthogonal"), F.bool_or("orthogonal").alias("has_orthogonal"))
+
+
+def whole_pair_gadget(a: DataFrame, b: DataFrame, size: int = 256) -> DataFrame:
+    """The single-pair construction for all pairs: d phrases cover an orthogonal vector's gadget, d + 1 another's."""
+
+    def kernel(u: str, own: list[str]) -> list[tuple]:
+        d, fresh, out = len(u), g.Fresh(), []
+        head = g.simple_dictionary(d, fresh) + fresh() + g.simple_query(_vector(int(u, 2), d), fresh) + fresh()
+        for v in own:
+            text, at, count = head + g.simple_vector(_vector(int(v, 2), d)), len(head), 0
+            while at < len(text):
+                at, count = at + max(1, k.earlier_factor(text, at)[0]), count + 1
+            out.append((u, v, count))
+        return out
+
+    return flat_map(_blocks(a, b, size), kernel, "u string, v string, phrases long")
+
+
+def whole_naive_set(a: DataFrame, b: DataFrame, size: int = 256) -> DataFrame:
+    """The faulty construction, a block of A behind one query: ``(u, vectors, phrases)`` summed over the blocks."""
+
+    def kernel(u: str, own: list[str]) -> list[tuple]:
+        d, fresh = len(u), g.Fresh()
+        head = g.simple_dictionary(d, fresh) + fresh() + g.simple_query(_vector(int(u, 2), d), fresh) + fresh()
+        text, at, count = head + "".join(g.simple_vector(_vector(int(v, 2), d)) for v in own), len(head), 0
+        while at < len(text):
+            at, count = at + max(1, k.earlier_factor(text, at)[0]), count + 1
+        return [(u, len(own), count)]
+
+    per_block = flat_map(_blocks(a, b, size), kernel, "u string, vectors long, phrases long")
+    return per_block.groupBy("u").agg(F.sum("vectors").alias("vectors"), F.sum("phrases").alias("phrases"))
+
+
+def whole_sizes(b: DataFrame, a: DataFrame, size: int = 9) -> DataFrame:
+    """Per query pattern, summed over the blocks of A: vectors with fillers, symbols of the parts; and one block's substitutions."""
+
+    def kernel(u: str, own: list[str]) -> list[tuple]:
+        d, fresh = len(u), g.Fresh()
+        square = _squared(own, d)
+        n, first = len(square), len(g.dictionary(len(square), d, fresh))
+        ones, mine = (g.query_vector(_vector(x, d), n, g.Fresh()) for x in ((1 << d) - 1, int(u, 2)))
+        return [(u, n, first, len(mine), sum(map(len, g.matrix([_vector(v, d) for v in square], fresh))), sum(x != y for x, y in zip(ones, mine, strict=True)))]
+
+    per_block = flat_map(_blocks(a, b, size), kernel, "u string, n long, dictionary_symbols long, query_symbols long, matrix_symbols long, substitutions long")
+    return per_block.groupBy("u").agg(*[F.sum(c).alias(c) for c in ("n", "dictionary_symbols", "query_symbols", "matrix_symbols")], F.max("substitutions").alias("substitutions"))

@@ -430,6 +430,49 @@ def ov_sizes(spark: SparkSession, d: str) -> DataFrame:
     return ov.sizes(b, a, _D).select("u", "n", "dictionary_symbols", "query_symbols", "substitutions")
 
 
+def _whole(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    return ov.whole_patterns(src.table(spark, d, "embeddings"))
+
+
+_OV_ALL = "WITH p AS (SELECT vec_id % 2 AS side, array_to_string([CASE WHEN x > 0 THEN '1' ELSE '0' END FOR x IN embedding], '') AS bits FROM embeddings), a AS (SELECT bits AS v, count(*) AS copies FROM p WHERE side = 0 GROUP BY bits), b AS (SELECT bits AS u, count(*) AS copies FROM p WHERE side = 1 GROUP BY bits), c AS (SELECT u, v, a.copies * b.copies AS pairs, length(u) AS d, bit_count(CAST(u AS BIT) & CAST(v AS BIT)) = 0 AS apart FROM a, b)"
+
+
+@query("ov_bruteforce_all", f"{_OV_ALL} SELECT u, count(*) FILTER (WHERE apart) AS orthogonal, CAST(coalesce(sum(pairs) FILTER (WHERE apart), 0) AS BIGINT) AS row_pairs FROM c GROUP BY u")
+def ov_bruteforce_all(spark: SparkSession, d: str) -> DataFrame:
+    return ov.whole_join(*_whole(spark, d))
+
+
+@query("ov_decide_all", f"{_OV_ALL} SELECT u, CAST(sum(d + 1 + CASE WHEN apart THEN 0 ELSE 1 END) AS BIGINT) AS phrases, count(*) FILTER (WHERE apart) AS orthogonal, count(*) FILTER (WHERE apart) > 0 AS has_orthogonal FROM c GROUP BY u")
+def ov_decide_all(spark: SparkSession, d: str) -> DataFrame:
+    return ov.whole_decide(*_whole(spark, d))
+
+
+@query("ov_count_all", f"{_OV_ALL} SELECT count(*) FILTER (WHERE apart) AS orthogonal FROM c")
+def ov_count_all(spark: SparkSession, d: str) -> DataFrame:
+    return ov.whole_phrase_counts(*_whole(spark, d)).agg(F.count_if("orthogonal").alias("orthogonal"))
+
+
+@query("ov_phrase_counts_all", f"{_OV_ALL} SELECT u, CAST(sum(d + 1 + CASE WHEN apart THEN 0 ELSE 1 END) AS BIGINT) AS phrases FROM c GROUP BY u")
+def ov_phrase_counts_all(spark: SparkSession, d: str) -> DataFrame:
+    return ov.whole_phrase_counts(*_whole(spark, d)).groupBy("u").agg(F.sum("phrases").alias("phrases"))
+
+
+@query("ov_pair_gadget_all", f"{_OV_ALL} SELECT u, v, CAST(d + CASE WHEN apart THEN 0 ELSE 1 END AS BIGINT) AS phrases FROM c")
+def ov_pair_gadget_all(spark: SparkSession, d: str) -> DataFrame:
+    return ov.whole_pair_gadget(*_whole(spark, d))
+
+
+@query("ov_naive_failure_all")
+def ov_naive_failure_all(spark: SparkSession, d: str) -> DataFrame:
+    return ov.whole_naive_set(*_whole(spark, d))
+
+
+@query("ov_sizes_all")
+def ov_sizes_all(spark: SparkSession, d: str) -> DataFrame:
+    a, b = _whole(spark, d)
+    return ov.whole_sizes(b, a)
+
+
 # --- streams, and one string by position ranges -------------------------------------------------------------------
 
 @query("stream_sliding_counts", ORACLES["sliding_phrase_count"])
