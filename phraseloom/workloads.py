@@ -530,3 +530,14 @@ def huge_root_path(spark: SparkSession, d: str) -> DataFrame:
     least = users.agg(F.min("sid")).first()[0]
     reaches = ph.reach(ph.lpf(users.where(F.col("sid") == least)))
     return huge_string.root_path(reaches, block=16).select(F.lit(least).alias("sid"), "ord", "lo", "hi")
+
+
+@query("huge_root_path_events")
+def huge_root_path_events(spark: SparkSession, d: str) -> DataFrame:
+    """The parse of the whole event string (the one that ``huge_suffix_ranks`` reads), in blocks of the default size."""
+    from phraseloom.plans import huge_string
+
+    symbols = F.array_sort(F.collect_list(F.struct("event_id", F.substring("event_type", 1, 1).alias("sym"))))
+    body = F.array_join(F.transform(symbols, lambda e: e["sym"]), "")
+    whole = src.table(spark, d, "events").agg(body.alias("body")).select(F.lit(0).cast("long").alias("sid"), "body")
+    return huge_string.root_path(ph.reach(ph.lpf(whole))).select("ord", "lo", "hi")
