@@ -210,6 +210,19 @@ def internal_match(spark: SparkSession, d: str) -> DataFrame:
     return st.internal_match(rows)
 
 
+@query("internal_match_grown")
+def internal_match_grown(spark: SparkSession, d: str) -> DataFrame:
+    """On every document and every user's string: a pattern of n/16 symbols from the middle, in a range twice as long around it."""
+    size = F.greatest(F.floor(F.char_length("body") / 16), F.lit(1)).cast("long")
+    low = F.floor(F.char_length("body") / 2).cast("long") + 1
+    t_low = F.greatest(low - F.floor(size / 2), F.lit(1))
+    parts = []
+    for kind, s in (("document", src.documents(spark, d)), ("user", src.user_strings(spark, d))):
+        rows = s.where("body != ''").select("sid", "body", low.alias("p_lo"), (low + size - 1).alias("p_hi"), t_low.alias("t_lo"), (t_low + 2 * size - 1).alias("t_hi"))
+        parts.append(st.internal_match(rows).withColumn("kind", F.lit(kind)))
+    return parts[0].unionByName(parts[1])
+
+
 @query("first_last_occurrence", "WITH x AS (SELECT item_id AS sid, text AS body, substr(text, 5, 2) AS pattern FROM benchmark WHERE length(text) >= 7) SELECT sid, TRUE AS found, CAST(strpos(body, pattern) AS BIGINT) AS first_pos, (SELECT max(p) FROM range(1, length(body)) t(p) WHERE substr(body, p, 2) = pattern) AS last_pos FROM x")
 def first_last_occurrence(spark: SparkSession, d: str) -> DataFrame:
     return st.first_last_occurrence(_patterned(src.passages(spark, d), 5, 2))
@@ -354,6 +367,26 @@ def turn_growth(spark: SparkSession, d: str) -> DataFrame:
     return changes.growth_counts(src.conversations(spark, d))
 
 
+# Whole documents and conversations: SQL that lists all substrings is too slow there, so these have none.
+
+
+def _long_scripts(spark: SparkSession, d: str, kind: str = "mixed", of: Callable[[SparkSession, str], DataFrame] = src.documents) -> DataFrame:
+    """Three edits of every document or conversation; dealt to all cores."""
+    return spread(changes.edit_script(of(spark, d), 3, _KINDS[kind]))
+
+
+for _of, _strings in (("documents", src.documents), ("conversations", src.conversation_strings)):
+    for _kind in _KINDS:
+        query(f"edit_replay_{_kind}_{_of}")(lambda spark, d, kind=_kind, of=_strings: changes.replay_transition(_long_scripts(spark, d, kind, of)))
+    for _m in (1, 2, 4):
+        query(f"edit_replay_m{_m}_{_of}")(lambda spark, d, m=_m, of=_strings: changes.replay_transition(_long_scripts(spark, d, of=of), m=m))
+    query(f"baseline_rebuild_{_of}")(lambda spark, d, of=_strings: changes.replay_rebuild(_long_scripts(spark, d, of=of)))
+    query(f"baseline_on_demand_{_of}")(lambda spark, d, of=_strings: changes.replay_on_demand(_long_scripts(spark, d, of=of)))
+    query(f"heavy_all_occurrences_{_of}")(lambda spark, d, of=_strings: changes.replay_transition(_long_scripts(spark, d, of=of), all_occurrences=True))
+    query(f"edit_costs_{_of}")(lambda spark, d, of=_strings: changes.edit_costs(_long_scripts(spark, d, of=of)))
+    query(f"active_count_{_of}")(lambda spark, d, of=_strings: changes.edit_costs(_long_scripts(spark, d, "sub", of)).select("sid", "seq", "active"))
+
+
 # --- passages in documents ----------------------------------------------------------------------------------------
 
 MOST_PASSAGE_BYTES = 64 << 20
@@ -379,6 +412,23 @@ def near_copy_active(spark: SparkSession, d: str) -> DataFrame:
     return changes.active_indices(reaches, after).groupBy("sid").agg(F.count(F.lit(1)).alias("active"))
 
 
+def _active(pair: tuple[DataFrame, DataFrame]) -> DataFrame:
+    """``(sid, active)`` of every before/after pair, 0 where nothing differs."""
+    before, after = (ph.reach(ph.lpf(s)) for s in pair)
+    counts = changes.active_indices(before, after).groupBy("sid").agg(F.count(F.lit(1)).alias("active"))
+    return pair[0].select("sid").join(counts, "sid", "left").select("sid", F.coalesce("active", F.lit(0)).alias("active"))
+
+
+@query("near_copy_active_documents")
+def near_copy_active_documents(spark: SparkSession, d: str) -> DataFrame:
+    return _active(src.near_copies(spark, d))
+
+
+@query("near_copy_active_turns")
+def near_copy_active_turns(spark: SparkSession, d: str) -> DataFrame:
+    return _active(src.consecutive_turns(spark, d))
+
+
 # --- orthogonality ------------------------------------------------------------------------------------------------
 
 _D = 4
