@@ -10,7 +10,10 @@ The trees are fitted here, on generated pages whose nodes carry their true label
 named or unnamed containers, for menus, headers, footers, sidebars, notices, adverts, forms and reader comments.
 
 Text of kept nodes is cut into blocks at block elements; character references are decoded, white space inside a block
-becomes one space, blocks are trimmed and joined by a line break. Scripts, styles, and markup never give text.
+becomes one space, blocks are trimmed and joined by a line break. Scripts, styles, and markup never give text. Elements
+of ``RAW`` are dropped up to the end tag that matches them; self-closing svg and math are empty, an option ends where its
+end tag may be left out, and where there is no matching end tag only scripts, styles, text areas and titles run to the
+page's end: of the others the start tag is ignored and the content read.
 
 Defined cases: null and empty pages, and pages without kept text, give an empty string; pages of any length and nesting
 are read whole; repeated rows are read each on its own; columns besides key, URL and markup never enter.
@@ -32,12 +35,17 @@ from pyspark.sql import functions as F
 
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<(?:[!?])[^>]*(?:>|$)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)(?:>|$)", re.S)
 ATTRIBUTE = re.compile(r"(class|id|role|itemprop|aria-label)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
+HEAD_END = re.compile(r"</head\s*>|(?=<body[\s>])", re.I)
 SPACE = re.compile(r"\s+")
 NAME = re.compile(r"[a-z]+")
 
 #: Fixed values of the markup language.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var br wbr".split())
+#: Their content is characters up to their end tag, or to the end of the page.
+TEXT_ONLY = frozenset("script style textarea title".split())
+FOREIGN = frozenset(("svg", "math"))
+#: Elements whose content gives no text.
 RAW = frozenset("script style noscript template iframe textarea select svg math object audio video canvas title head button option".split())
 CLOSES_P = frozenset("address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
 IMPLIED = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "tbody": ("tr", "td", "th", "thead")}
@@ -91,6 +99,47 @@ def _groups(attributes: str) -> int:
     return mask
 
 
+@lru_cache(maxsize=64)
+def _text_end(name: str) -> re.Pattern:
+    return re.compile(f"</{name}(?=[\\s/>])[^>]*>", re.I)
+
+
+def _matches(page: str, at: int) -> dict[int, int]:
+    """End of a start tag of ``RAW`` -> end of the end tag that matches it, for all that follow ``at``."""
+    out: dict[int, int] = {}
+    open_: dict[str, list[int]] = {}
+    while found := TOKEN.search(page, at):
+        at = found.end()
+        closing, name, attributes = found.groups()
+        name = (name or "").lower()
+        if name not in RAW:
+            continue
+        if closing:
+            if open_.get(name):
+                out[open_[name].pop()] = at
+        elif attributes.endswith("/") and (name in FOREIGN or any(open_.get(x) for x in FOREIGN)):
+            continue
+        elif name in TEXT_ONLY:
+            end = _text_end(name).search(page, at)
+            at = end.end() if end else len(page)
+        else:
+            open_.setdefault(name, []).append(at)
+    return out
+
+
+def _option_end(page: str, at: int, around: set[str]) -> int | None:
+    """Where an option ends: after its end tag, or before the next option, block element, or end tag of what it stands in."""
+    while found := TOKEN.search(page, at):
+        closing, name, _ = found.groups()
+        at = found.end()
+        name = (name or "").lower()
+        if closing and name == "option":
+            return at
+        if name and (name in around or name == "optgroup" if closing else name not in INLINE):
+            return found.start()
+    return None
+
+
 def parse(page: str) -> tuple[list[Node], list[tuple[int, str]]]:
     """Block elements in page order, and text blocks as ``(node, text)``; node 0 is the page itself."""
     nodes = [Node("html", -1, 0, 0)]
@@ -98,6 +147,7 @@ def parse(page: str) -> tuple[list[Node], list[tuple[int, str]]]:
     stack: list[tuple[str, int]] = [("#", 0)]  # (tag, node that holds its text); inline elements share their block's
     pending: list[str] = []
     memory: dict[str, int] = {}
+    matches: dict[int, int] | None = None
     in_link = 0
 
     def flush() -> None:
@@ -158,10 +208,20 @@ def parse(page: str) -> tuple[list[Node], list[tuple[int, str]]]:
         if name in RAW:
             if name not in INLINE:
                 flush()
-            end = re.compile(f"</{re.escape(name)}\\s*>" if name != "head" else "</head\\s*>|(?=<body[\\s>])", re.I).search(page, at)
-            if name == "head" and not end:
-                continue
-            at = end.end() if end else size
+            if name == "head":
+                end = HEAD_END.search(page, at)
+                at = end.end() if end else at
+            elif name in FOREIGN and attributes.endswith("/"):
+                pass
+            elif name in TEXT_ONLY:
+                end = _text_end(name).search(page, at)
+                at = end.end() if end else size
+            elif name == "option":
+                at = _option_end(page, at, {tag for tag, _ in stack}) or at
+            else:
+                if matches is None:
+                    matches = _matches(page, found.start())
+                at = matches.get(at, at)
             continue
         if name in INLINE or name in VOID:
             if name == "br":

@@ -155,6 +155,22 @@ def test_html_blocks_and_references():
     assert hx.extract([None, "", "<p", "plain", "<!-- x", "<div></div>"], hx.default_trees())[:2] == ["", ""]
 
 
+@pytest.mark.parametrize("before", [
+    "<svg class=i/>", "<math/>", "<svg><path d='M0'/><svg><text>in</text></svg><text>in</text></svg>", "<svg><script href=a /><title/></svg>", "<datalist><option value=a></datalist>", "<datalist><option>in<option>in</datalist>",
+    "<option>in<optgroup label=x>", "<select><option>in<option>in</select>", "<button type=submit>", "<object data=a>", "<iframe src=a>", "<video src=a>", "<noscript>", "<script>'<svg>'</script >", "<template><svg></template>", "<textarea><svg></textarea>",
+])
+def test_html_keeps_text_behind_unclosed_elements(before):
+    """No text of the article is lost, and none of the dropped elements leaks; a later element of the same name changes nothing."""
+    for after in ("", "<svg><text>in</text></svg>", "<select><option>in</option></select><button>in</button><object>in</object><video>in</video><iframe></iframe><noscript>in</noscript><math>in</math>"):
+        page = f"<html><body><div>{before}</div><article><p>First part.</p><p>Second part.</p></article>{after}</body></html>"
+        assert [text for _, text in hx.parse(page)[1]] == ["First part.", "Second part."]
+    assert [text for _, text in hx.parse("<p>a</p><script>b<p>c</p>")[1]] == ["a"]
+
+
+def test_html_many_unclosed_elements_take_linear_time():
+    assert [text for _, text in hx.parse("<object><button>" * 20000 + "<p>end")[1]] == ["end"]
+
+
 def test_html_on_given_pages(spark):
     """The given pages hold their text in an article element."""
     import html
