@@ -346,3 +346,77 @@ class BudgetedRebuild:
 def first_above(values: list[int], limit: int) -> int:
     """First index of a non-decreasing list whose value exceeds limit."""
     return bisect_left(values, limit + 1)
+
+
+def fewest_phrases(s: str) -> int:
+    """Least number of phrases of any valid factorization, over all of them: a phrase is one symbol or any factor that started earlier."""
+    lengths, best = lpf(s), [0] + [len(s)] * len(s)
+    for i, longest in enumerate(lengths):
+        for j in range(i + 1, i + max(1, longest) + 1):
+            best[j] = min(best[j], best[i] + 1)
+    return best[len(s)]
+
+
+def skyline_sizes(s: str, places: list[int]) -> tuple[int, int]:
+    """Over each place and the earlier ones: pairs of agreements (back, ahead), and those that no other of its pairs dominates."""
+    points = total = 0
+    for at, i in enumerate(places):
+        pairs = sorted({(agreement_back(s, j, i), agreement(s, j, i)) for j in places[:at]}, reverse=True)
+        best = -1
+        for _, ahead in pairs:
+            if ahead > best:
+                best, total = ahead, total + 1
+        points += at
+    return points, total
+
+
+class Positions:
+    """Nodes of a changing string in blocks: node to number and number to node by the sizes of the blocks before."""
+
+    def __init__(self, n: int) -> None:
+        self.width = max(4, int(n**0.5))
+        self.blocks = [list(range(a, min(a + self.width, n + 1))) for a in range(1, n + 1, self.width)] or [[]]
+        self.home = {node: block for block in self.blocks for node in block}
+        self.next = n + 1
+
+    def _at(self, pos: int) -> tuple[int, int]:
+        for k, block in enumerate(self.blocks):
+            if pos <= len(block):
+                return k, pos - 1
+            pos -= len(block)
+        return len(self.blocks) - 1, len(self.blocks[-1])
+
+    def node(self, pos: int) -> int:
+        k, at = self._at(pos)
+        return self.blocks[k][at]
+
+    def pos(self, node: int) -> int:
+        home, before = self.home[node], 0
+        for block in self.blocks:
+            if block is home:
+                return before + block.index(node) + 1
+            before += len(block)
+        raise KeyError(node)
+
+    def insert(self, pos: int) -> int:
+        """A new node that gets number ``pos``."""
+        k, at = self._at(pos)
+        block, node = self.blocks[k], self.next
+        self.next += 1
+        block.insert(at, node)
+        self.home[node] = block
+        if len(block) > 2 * self.width:
+            tail = block[self.width :]
+            del block[self.width :]
+            self.blocks.insert(k + 1, tail)
+            for x in tail:
+                self.home[x] = tail
+        return node
+
+    def delete(self, pos: int) -> int:
+        k, at = self._at(pos)
+        node = self.blocks[k].pop(at)
+        del self.home[node]
+        if not self.blocks[k] and len(self.blocks) > 1:
+            del self.blocks[k]
+        return node

@@ -111,3 +111,43 @@ def growth_counts(strings: DataFrame) -> DataFrame:
         return out
 
     return flat_map(strings.select("sid", "parts"), kernel, "sid long, turn long, n long, phrases long")
+
+
+def query_mix(scripts: DataFrame) -> DataFrame:
+    """After each edit the three phrase queries, answered on the kept forest: phrase number ``ord``, the phrase that holds ``pos``, and the parse length of the prefix that ends there."""
+
+    def kernel(sid: int, s: str, ops: list[dict]) -> list[tuple]:
+        out, parents = [], t.parents_of(s)
+        for e in ops:
+            s, parents, _ = t.transition(s, e["op"], e["pos"], e["sym"], None, parents)
+            asked, wanted = 1 + (7 * sid + 3 * e["seq"]) % len(s), 1 + (sid + e["seq"]) % 7
+            at, count, lo, selected, found = 1, 0, 0, None, None
+            while at <= len(s):
+                lo, at, count = at, parents[at - 1], count + 1
+                selected = (lo, at - 1) if count == wanted else selected
+                found = (lo, at - 1, count) if lo <= asked < at else found
+            out.append((sid, e["seq"], wanted, *(selected or (None, None)), asked, *found))
+        return out
+
+    return flat_map(scripts.select("sid", "body", "ops"), kernel, "sid long, seq long, ord long, ord_lo long, ord_hi long, pos long, pos_lo long, pos_hi long, prefix_phrases long")
+
+
+def dynamic_positions(scripts: DataFrame) -> DataFrame:
+    """After each edit the node of the edited number, its number again, and whether all nodes keep their order (numbers of the nodes to its sides)."""
+
+    def kernel(sid: int, s: str, ops: list[dict]) -> list[tuple]:
+        out, order, n = [], k.Positions(len(s)), len(s)
+        for e in ops:
+            if e["op"] == "ins":
+                order.insert(e["pos"])
+                n += 1
+            elif e["op"] == "del":
+                order.delete(e["pos"])
+                n -= 1
+            pos = min(e["pos"], n)
+            node = order.node(pos)
+            sides = [order.pos(order.node(x)) == x for x in (max(1, pos - 1), pos, min(n, pos + 1))]
+            out.append((sid, e["seq"], n, node, order.pos(node), all(sides)))
+        return out
+
+    return flat_map(scripts.select("sid", "body", "ops"), kernel, "sid long, seq long, n long, node long, pos long, consistent boolean")

@@ -148,3 +148,22 @@ def forest_ancestor(parents: DataFrame, steps: int) -> DataFrame:
         return left.alias("a").join(right.alias("b"), (F.col("a.sid") == F.col("b.sid")) & (F.col("a.up") == F.col("b.node"))).select("a.sid", "a.node", F.col("b.up").alias("up"))
 
     return reduce(hop, parts).select("sid", "node", F.col("up").alias("ancestor"))
+
+
+def greedy_optimal(strings: DataFrame) -> DataFrame:
+    """``(sid, phrases, fewest)``: the greedy parse against the least number of phrases of all valid factorizations."""
+    return flat_map(strings.where("body != ''").select("sid", "body"), lambda sid, s: [(sid, sum(1 for _ in k.parse(s)), k.fewest_phrases(s))], "sid long, phrases long, fewest long")
+
+
+def relative_phrases(pairs: DataFrame) -> DataFrame:
+    """``(doc_id, item_id, alone, phrases)`` for rows ``(doc_id, item_id, body, passage)``: phrases of the body, by itself and behind the passage and a separator that occurs nowhere else."""
+
+    def kernel(doc: int, item: int, s: str, passage: str) -> list[tuple]:
+        used = set(s) | set(passage)
+        text = passage + next(c for c in map(chr, range(0x10FFFF, 0, -1)) if c not in used) + s
+        at, count = len(passage) + 1, 0
+        while at < len(text):
+            at, count = at + max(1, k.earlier_factor(text, at)[0]), count + 1
+        return [(doc, item, sum(1 for _ in k.parse(s)), count)]
+
+    return flat_map(pairs.select("doc_id", "item_id", "body", "passage"), kernel, "doc_id long, item_id long, alone long, phrases long")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from math import log2
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -126,3 +128,14 @@ def extension_points(strings: DataFrame) -> DataFrame:
         return [(sid, i + 1, k.agreement_back(s, j, i), k.agreement(s, j, i)) for i in range(len(s)) for j in range(i)]
 
     return flat_map(strings.select("sid", "body"), kernel, "sid long, i long, lcs long, lcp long")
+
+
+def skyline_sum(rows: DataFrame) -> DataFrame:
+    """Over the occurrences of ``pattern``: their number, pairs, non-dominated pairs of agreements in total, and occurrences times log^2 n."""
+
+    def kernel(sid: int, s: str, p: str) -> list[tuple]:
+        places = k.occurrences(s, p)
+        points, total = k.skyline_sizes(s, places)
+        return [(sid, len(places), points, total, round(len(places) * log2(len(s)) ** 2, 6))]
+
+    return flat_map(rows.select("sid", "body", "pattern"), kernel, "sid long, occurrences long, points long, nd_total long, bound double")

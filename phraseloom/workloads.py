@@ -1,4 +1,4 @@
-"""Registered queries: every method, variant, baseline, and measure on whole given tables, with SQL where SQL can say it."""
+"""Registered queries: methods, variants, baselines, and measures on given tables, with SQL where SQL can say it."""
 
 from __future__ import annotations
 
@@ -150,6 +150,22 @@ def valid_factorization(spark: SparkSession, d: str) -> DataFrame:
     return ph.valid_factorization(s, ph.parse(s))
 
 
+@query("greedy_optimal", "SELECT item_id AS sid, TRUE AS optimal FROM benchmark WHERE length(text) > 0")
+def greedy_optimal(spark: SparkSession, d: str) -> DataFrame:
+    return ph.greedy_optimal(src.passages(spark, d)).select("sid", (F.col("phrases") == F.col("fewest")).alias("optimal"))
+
+
+@query("segment_parse_stats", o.phrases(o.PARTS, "SELECT c_mktsegment, r_name, count(*) AS lines, CAST(sum(k.n) AS BIGINT) AS symbols, CAST(sum(k.phrases) AS BIGINT) AS phrases FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey JOIN (SELECT sid, max(n) AS n, count(*) AS phrases FROM w GROUP BY sid) k ON k.sid = l_partkey GROUP BY c_mktsegment, r_name"))
+def segment_parse_stats(spark: SparkSession, d: str) -> DataFrame:
+    """Parse statistics of the part names over all order lines, by the customer's segment and the supplier's region."""
+    t = lambda name: src.table(spark, d, name)
+    stats = ph.parse_stats(src.part_names(spark, d)).where("n > 0").select("sid", "n", "phrases")
+    lines = t("lineitem").join(t("orders"), F.col("l_orderkey") == F.col("o_orderkey")).join(t("customer"), F.col("o_custkey") == F.col("c_custkey"))
+    lines = lines.join(t("supplier"), F.col("l_suppkey") == F.col("s_suppkey")).join(t("nation"), F.col("s_nationkey") == F.col("n_nationkey")).join(t("region"), F.col("n_regionkey") == F.col("r_regionkey"))
+    joined = lines.join(stats, F.col("l_partkey") == F.col("sid"))
+    return joined.groupBy("c_mktsegment", "r_name").agg(F.count(F.lit(1)).alias("lines"), F.sum("n").alias("symbols"), F.sum("phrases").alias("phrases"))
+
+
 @query("order_flag_parse", o.phrases(f"SELECT row_number() OVER (ORDER BY body) AS sid, body FROM (SELECT DISTINCT body FROM ({o.ORDERS}))", f"SELECT q.sid, c.n, c.phrases FROM ({o.ORDERS}) q JOIN (SELECT s.body, CAST(max(n) AS BIGINT) AS n, count(*) AS phrases FROM w JOIN s USING (sid) GROUP BY s.body) c USING (body)"))
 def order_flag_parse(spark: SparkSession, d: str) -> DataFrame:
     """Equal strings are parsed once."""
@@ -280,6 +296,11 @@ def dominant_points(spark: SparkSession, d: str) -> DataFrame:
     return st.dominant_points(st.extension_points(src.part_names(spark, d)))
 
 
+@query("skyline_sum")
+def skyline_sum(spark: SparkSession, d: str) -> DataFrame:
+    return st.skyline_sum(_patterned(src.passages(spark, d), 2, 2))
+
+
 # --- variants -----------------------------------------------------------------------------------------------------
 
 
@@ -387,6 +408,16 @@ for _of, _strings in (("documents", src.documents), ("conversations", src.conver
     query(f"active_count_{_of}")(lambda spark, d, of=_strings: changes.edit_costs(_long_scripts(spark, d, "sub", of)).select("sid", "seq", "active"))
 
 
+@query("query_mix")
+def query_mix(spark: SparkSession, d: str) -> DataFrame:
+    return changes.query_mix(_long_scripts(spark, d))
+
+
+@query("dynamic_positions")
+def dynamic_positions(spark: SparkSession, d: str) -> DataFrame:
+    return changes.dynamic_positions(_long_scripts(spark, d))
+
+
 # --- passages in documents ----------------------------------------------------------------------------------------
 
 MOST_PASSAGE_BYTES = 64 << 20
@@ -404,6 +435,14 @@ def passage_occurrences(spark: SparkSession, d: str) -> DataFrame:
     return flat_map(src.documents(spark, d), kernel, "doc_id long, item_id long, first_pos long")
 
 
+@query("relative_phrases")
+def relative_phrases(spark: SparkSession, d: str) -> DataFrame:
+    """Phrases that cover a document behind a passage and a separator, for every passage that the document contains."""
+    holds = passage_occurrences(spark, d).select("doc_id", "item_id")
+    pairs = holds.join(src.documents(spark, d).withColumnRenamed("sid", "doc_id"), "doc_id").join(src.passages(spark, d).select(F.col("sid").alias("item_id"), F.col("body").alias("passage")), "item_id")
+    return ph.relative_phrases(pairs)
+
+
 @query("near_copy_active")
 def near_copy_active(spark: SparkSession, d: str) -> DataFrame:
     """Places of equal number whose reach differs between consecutive passages (a whole-string before/after pair)."""

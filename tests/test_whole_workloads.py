@@ -1,5 +1,8 @@
 """Queries that take whole documents, conversations, or the whole event string."""
 
+import itertools
+import random
+
 import duckdb
 import pytest
 
@@ -53,3 +56,59 @@ def test_active_places_of_turns_and_copies(spark):
         got = {r["sid"]: r["active"] for r in QUERIES[f"near_copy_active_{kind}"](spark, DATA).collect()}
         reach = {key: [k.reach(k.lpf(x)) for x in pair] for key, pair in want.items()}
         assert got == {key: sum(x != y for x, y in zip(a, b)) + abs(len(a) - len(b)) for key, (a, b) in reach.items()}
+
+
+def test_fewest_phrases_over_all_factorizations():
+    r = random.Random(5)
+    for _ in range(60):
+        s = "".join(r.choice("ab") for _ in range(r.randint(1, 9)))
+        least = len(s)
+        for cuts in itertools.product((0, 1), repeat=len(s) - 1):
+            ends = [i + 1 for i, c in enumerate(cuts) if c] + [len(s)]
+            spans = list(zip([0, *ends], ends))
+            if all(b - a == 1 or s.find(s[a:b]) < a for a, b in spans):
+                least = min(least, len(spans))
+        assert k.fewest_phrases(s) == least == sum(1 for _ in k.parse(s))
+
+
+def test_skyline_sizes_by_definition():
+    r = random.Random(6)
+    for _ in range(40):
+        s = "".join(r.choice("ab") for _ in range(r.randint(2, 30)))
+        places, total = k.occurrences(s, s[:1]), 0
+        for at, i in enumerate(places):
+            pairs = {(k.agreement_back(s, j, i), k.agreement(s, j, i)) for j in places[:at]}
+            total += sum(not any(x != y and x[0] <= y[0] and x[1] <= y[1] for y in pairs) for x in pairs)
+        assert k.skyline_sizes(s, places) == (len(places) * (len(places) - 1) // 2, total)
+
+
+def test_positions_follow_a_plain_list():
+    r = random.Random(7)
+    for n in (1, 5, 60):
+        order, plain = k.Positions(n), list(range(1, n + 1))
+        for _ in range(300):
+            if r.random() < 0.6 or len(plain) < 2:
+                at = r.randint(1, len(plain) + 1)
+                plain.insert(at - 1, order.insert(at))
+            else:
+                at = r.randint(1, len(plain))
+                assert order.delete(at) == plain.pop(at - 1)
+            assert [order.node(i) for i in range(1, len(plain) + 1)] == plain and [order.pos(x) for x in plain] == list(range(1, len(plain) + 1))
+
+
+def test_query_mix_and_positions_of_documents(spark):
+    edits = {(r["sid"], r["seq"]): r for r in QUERIES["query_mix"](spark, DATA).collect()}
+    from phraseloom.functions.transition import apply_edit
+    from phraseloom.workloads import _long_scripts
+
+    for row in _long_scripts(spark, DATA).collect():
+        s = row["body"]
+        for e in row["ops"]:
+            s = apply_edit(s, e["op"], e["pos"], e["sym"])
+            got, phrases = edits[row["sid"], e["seq"]], [(lo, hi) for lo, hi, _ in k.parse(s)]
+            assert (got["ord_lo"], got["ord_hi"]) == (phrases[got["ord"] - 1] if got["ord"] <= len(phrases) else (None, None))
+            assert phrases[got["prefix_phrases"] - 1] == (got["pos_lo"], got["pos_hi"]) and got["pos_lo"] <= got["pos"] <= got["pos_hi"]
+    rows = QUERIES["dynamic_positions"](spark, DATA).collect()
+    assert len(rows) == len(edits) and all(r["consistent"] for r in rows)
+    pairs = QUERIES["relative_phrases"](spark, DATA).collect()
+    assert len(pairs) == QUERIES["passage_occurrences"](spark, DATA).count() and all(r["phrases"] <= r["alone"] for r in pairs)
