@@ -2,8 +2,8 @@
 
 Each task cuts its rows into shards of a few million bytes and builds, per shard, the suffix array of the shard's word
 sequence (prefix doubling, refined only where suffixes still tie, to the depth of the longest benchmark item). Every
-suffix of every benchmark item is binary-searched in it, which yields its longest verbatim match and the place of that
-match; windows whose match is long enough are then searched for their whole range of occurrences. Nothing is shuffled.
+suffix of every benchmark item is binary-searched in it, which yields its longest verbatim match; a shard suffix's own
+longest match is with one of the two test suffixes next to it in that order. Windows whose match is long enough are then searched for their whole range of occurrences. Nothing is shuffled.
 The benchmark is sent out in blocks of a bounded number of bytes; a task goes through the blocks one after the other.
 
 A window is ``window`` consecutive words of an item (an item with fewer words, but not none, is one window). A document
@@ -51,6 +51,7 @@ class TestBlock:
         self.item = np.repeat(np.arange(len(sizes)), sizes)
         self.width = np.repeat(np.minimum(sizes, self.window), sizes)
         self.depth = int(sizes.max(initial=0))
+        self.order = suffix_array(self.values, self.end, self.depth) if len(self.values) else np.zeros(0, np.int64)
 
 
 def suffix_array(values: np.ndarray, end: np.ndarray, depth: int) -> np.ndarray:
@@ -114,27 +115,34 @@ def _search(values: np.ndarray, end: np.ndarray, order: np.ndarray, test: TestBl
     return low
 
 
-def match_shard(values: np.ndarray, end: np.ndarray, test: TestBlock) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Occurrences of windows in one shard: places, widths, items; and for each test suffix its longest match and place."""
+def match_shard(values: np.ndarray, end: np.ndarray, test: TestBlock, matches: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Occurrences of windows in one shard: places, widths, items; and (``matches``) the longest match that starts at each place."""
     none = np.zeros(0, np.int64)
     if not len(values) or not len(test.values):
-        return none, none, none, np.zeros(len(test.values), np.int64), np.zeros(len(test.values), np.int64)
+        return none, none, none, np.zeros(len(values), np.int64)
     order = suffix_array(values, end, test.depth)
     query = np.arange(len(test.values))
     slot = _search(values, end, order, test, query, test.end)
-    longest, where = np.zeros(len(query), np.int64), np.zeros(len(query), np.int64)
+    longest = np.zeros(len(query), np.int64)
     for near in (slot - 1, slot):
         ok = np.flatnonzero((near >= 0) & (near < len(order)))
         agree, _ = _compare(values, end, order[near[ok]], test, query[ok], test.end[ok])
-        better = agree > longest[ok]
-        longest[ok[better]], where[ok[better]] = agree[better], order[near[ok[better]]]
+        longest[ok] = np.maximum(longest[ok], agree)
     full = np.flatnonzero((longest >= test.width) & (query + test.width <= test.end))
     stop = full + test.width[full]
     low = _search(values, end, order, test, full, stop)
     high = _search(values, end, order, test, full, stop, after=True)
     count = high - low
     places = order[np.repeat(low - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(count.sum())] if count.sum() else none
-    return places, np.repeat(test.width[full], count), np.repeat(test.item[full], count), longest, where
+    starts = np.zeros(len(values), np.int64)
+    if matches:
+        above = np.searchsorted(slot[test.order], np.arange(len(order)), side="right")  # test suffixes that are not greater
+        for near in (above - 1, above):
+            ok = np.flatnonzero((near >= 0) & (near < len(query)))
+            with_ = test.order[near[ok]]
+            agree, _ = _compare(values, end, order[ok], test, with_, test.end[with_])
+            starts[order[ok]] = np.maximum(starts[order[ok]], agree)
+    return places, np.repeat(test.width[full], count), np.repeat(test.item[full], count), starts
 
 
 def _test_blocks(benchmark: DataFrame, window: int, block_bytes: int, key: str, text: str) -> list:
@@ -158,8 +166,8 @@ def _shards(values: np.ndarray, at: np.ndarray, overlap: int):
         yield low, high, min(high + overlap, len(values))
 
 
-def scan_rows(column: pa.Array, blocks: list[TestBlock]) -> Iterator[tuple[int, int, int, set[str], int, int]]:
-    """Per row: words, hit words, item ids, longest match and the place of that match."""
+def scan_rows(column: pa.Array, blocks: list[TestBlock], matches: bool = True) -> Iterator[tuple[int, int, int, set[str], int, int]]:
+    """Per row: words, hit words, item ids, longest match and its first place (without ``matches``: 0 and -1)."""
     raw, offsets = bw.buffers(column)
     for first, last in bw.slices(offsets, SHARD_BYTES):
         values, at = bw.words(raw[offsets[first] : offsets[last]], offsets[first : last + 1] - offsets[first], bw.ALNUM)
@@ -171,7 +179,7 @@ def scan_rows(column: pa.Array, blocks: list[TestBlock]) -> Iterator[tuple[int,
         best, best_at = np.zeros(rows, np.int64), np.full(rows, -1, np.int64)
         for test in blocks:
             for low, high, reach in _shards(values, at, test.depth):
-                places, widths, items, longest, where = match_shard(values[low:reach], np.minimum(end[low:reach], reach) - low, test)
+                places, widths, items, longest = match_shard(values[low:reach], np.minimum(end[low:reach], reach) - low, test, matches)
                 own = places < high - low
                 places, widths, items = places[own] + low, widths[own], items[own]
                 np.add.at(cover, places, 1)
@@ -179,20 +187,23 @@ def scan_rows(column: pa.Array, blocks: list[TestBlock]) -> Iterator[tuple[int,
                 for r, i in zip(*np.divmod(np.unique(row_of[places] * len(test.ids) + items), max(1, len(test.ids))), strict=True):
                     if test.ids[i] is not None:
                         found[r].add(test.ids[i])
-                got = np.flatnonzero(longest)
-                for r, n, p in zip(row_of[where[got] + low], longest[got], where[got] + low, strict=True):
-                    if n > best[r]:
-                        best[r], best_at[r] = n, p - at[r]
+                got = np.flatnonzero(longest[: high - low])
+                here = row_of[got + low]
+                most = np.zeros(rows, np.int64)
+                np.maximum.at(most, here, longest[got])
+                top = longest[got] == most[here]
+                first = got[top]
+                for r, k in zip(*np.unique(here[top], return_index=True), strict=True):
+                    p = first[k] + low - at[r]
+                    if most[r] > best[r] or most[r] == best[r] and p < best_at[r]:
+                        best[r], best_at[r] = most[r], p
         hit = np.concatenate([[0], np.cumsum(np.cumsum(cover[:-1]) > 0)])
         for r in range(rows):
             yield int(at[r + 1] - at[r]), int(hit[at[r + 1]] - hit[at[r]]), len(found[r]), found[r], int(best[r]), int(best_at[r])
 
 
 def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text") -> DataFrame:
-    """One row per document: words, hits, items, and the longest verbatim match that a test suffix attains in it.
-
-    ``longest_match`` is exact for the best-matching document of each test suffix and shard, a lower bound elsewhere.
-    """
+    """One row per document: words, hits, items, and the longest verbatim match with any item and its first place."""
     blocks = _test_blocks(benchmark, window, block_bytes, item_key, item_text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -217,7 +228,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, b
         for batch in tidy(batches):
             for low in range(0, batch.num_rows, ROWS):
                 part = batch.slice(low, ROWS)
-                clean = [hits == 0 for _, hits, *_ in scan_rows(part.column(place), [b.value for b in blocks])]
+                clean = [hits == 0 for _, hits, *_ in scan_rows(part.column(place), [b.value for b in blocks], matches=False)]
                 yield part.filter(pa.array(clean, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

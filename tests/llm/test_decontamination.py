@@ -73,6 +73,29 @@ def test_random_words_against_brute_force(seed, monkeypatch):
         assert max(g[4] for g in got) == best
 
 
+@pytest.mark.parametrize("seed", range(4))
+def test_every_document_gets_its_own_longest_match(seed, monkeypatch):
+    """Copies of one passage all report it, whatever the shards and blocks."""
+    import pyarrow as pa
+
+    r = random.Random(seed)
+    make = lambda n: " ".join(r.choice("abcd") for _ in range(n))
+    items = [make(r.randint(1, 12)) for _ in range(5)]
+    docs = [make(3) + " x " + items[0] + " y " + make(4)] * 9 + [make(r.randint(0, 30)) for _ in range(9)] + ["z", "", None]
+    want = []
+    for text in docs:
+        d, best, at = tokens(text), 0, -1
+        for i in range(len(d)):
+            n = max((n for w in map(tokens, items) for j in range(len(w)) for n in range(1, len(w) - j + 1) if d[i : i + n] == w[j : j + n]), default=0)
+            best, at = (n, i) if n > best else (best, at)
+        want.append((best, at))
+    blocks = [dc.TestBlock(*bw.words(*bw.buffers(pa.array(part)), bw.ALNUM), [str(k) for k in range(len(part))], 4) for part in (items, items[:2], items[2:])]
+    for words in (1 << 20, 16):
+        monkeypatch.setattr(dc, "SHARD_WORDS", words)
+        for use in (blocks[:1], blocks[1:]):
+            assert [g[4:] for g in dc.scan_rows(pa.array(docs), use)] == want
+
+
 def test_suffix_array_orders_suffixes():
     r = np.random.default_rng(1)
     values = r.integers(0, 3, 200).astype(np.uint64)
