@@ -4,14 +4,16 @@ The tree works on pre-aggregated shapes. A shape is the host and its path segmen
 (numbers, hexadecimal ids, dates) already written as a wildcard class. Level by level, a branch keeps its literal name
 only if its labelled reject rate is significantly above that of its siblings; branches significantly below merge into
 ``*-``, and all that do not differ from their siblings into ``*``. A template's reject rate is smoothed towards its host's, which is smoothed towards the
-rate of all labelled pages; templates at or above a purity are rejected.
+rate of all labelled pages; templates at or above a purity are rejected. The tree grows until no branch has a further
+segment. Pages below a branch whose labels all agree (or are missing) can't differ any more and are named to their end
+at once, so deep paths take further levels only where labels differ.
 
 Labels come from the caller (``bad`` true, false or null) or, as in the registered query, from the rules: a URL that a
 rule decides is a labelled example for its template.
 
 Defined cases: a null URL, or one without ``://``, has an empty host and path; empty tables give empty results;
-repeated rows count as often as they occur; path segments beyond ``max_depth`` fold into ``**``; columns of the input
-other than the key and the URL are not read.
+repeated rows count as often as they occur; paths of any depth are read whole; columns of the input other than the key
+and the URL are not read.
 """
 
 from __future__ import annotations
@@ -57,17 +59,16 @@ def _segment_class(segment: Column) -> Column:
     )
 
 
-def _shape(path: Column, max_depth: int) -> Column:
-    parts = F.filter(F.split(path, "/"), lambda s: s != "")
-    classed = F.transform(F.slice(parts, 1, max_depth), _segment_class)
-    return F.when(F.size(parts) > max_depth, F.concat(classed, F.array(F.lit("**")))).otherwise(classed)
+def _shape(path: Column) -> Column:
+    return F.transform(F.filter(F.split(path, "/"), lambda s: s != ""), _segment_class)
 
 
-def template_rates(shapes: DataFrame, max_depth: int = 4, z_least: float = 2.576, prior_weight: float = 5.0) -> DataFrame:
+def template_rates(shapes: DataFrame, z_least: float = 2.576, prior_weight: float = 5.0) -> DataFrame:
     """Add ``template`` and its smoothed ``purity`` (share of rejects) to distinct shapes ``(host, shape, n, lab, bad)``."""
-    tree = durable(shapes.withColumn("_at", F.col("host")))
-    for level in range(1, max_depth + 1):
-        child = F.get("shape", F.lit(level - 1))
+    tree, level = durable(shapes.withColumns({"_at": F.col("host"), "_done": F.lit(False)})), 0
+    while tree.where(~F.col("_done")).limit(1).count():
+        level += 1
+        child = F.when(~F.col("_done"), F.get("shape", F.lit(level - 1)))
         grown = tree.withColumn("_child", child)
         branches = grown.where(F.col("_child").isNotNull()).groupBy("_at", "_child").agg(F.sum("lab").alias("lab_c"), F.sum("bad").alias("bad_c"))
         parents = branches.groupBy("_at").agg(F.sum("lab_c").alias("lab_p"), F.sum("bad_c").alias("bad_p"))
@@ -75,9 +76,12 @@ def template_rates(shapes: DataFrame, max_depth: int = 4, z_least: float = 2.576
         gap = F.col("bad_c") / F.greatest(F.col("lab_c"), F.lit(1)) - (F.col("bad_p") - F.col("bad_c")) / F.greatest(rest, F.lit(1))
         spread = F.sqrt(pooled * (1 - pooled) * (1 / F.greatest(F.col("lab_c"), F.lit(1)) + 1 / F.greatest(rest, F.lit(1))))
         apart = (F.col("lab_c") > 0) & (rest > 0) & (F.abs(gap) > z_least * spread)
-        own = branches.join(parents, "_at").where(apart).select("_at", "_child", F.when(gap > 0, F.col("_child")).otherwise("*-").alias("_own"))
-        named = F.when(F.col("_child").isNull(), F.col("_at")).otherwise(F.concat_ws("/", "_at", F.coalesce("_own", F.lit("*"))))
-        tree = durable(grown.join(own, ["_at", "_child"], "left").select("host", "shape", "n", "lab", "bad", named.alias("_at")))
+        mixed = (F.col("bad_p") > 0) & (F.col("bad_p") < F.col("lab_p"))
+        own = branches.join(parents.where(mixed), "_at").select("_at", "_child", F.when(apart & (gap > 0), F.col("_child")).when(apart, F.lit("*-")).otherwise("*").alias("_own"))
+        left = F.size("shape") - level + 1
+        named = F.when(F.col("_child").isNull(), F.col("_at")).when(F.col("_own").isNull(), F.concat("_at", F.repeat(F.lit("/*"), left))).otherwise(F.concat_ws("/", "_at", "_own"))
+        tree = durable(grown.join(own, ["_at", "_child"], "left").select("host", "shape", "n", "lab", "bad", named.alias("_at"), F.col("_own").isNull().alias("_done")))
+    tree = tree.drop("_done")
     tree = tree.withColumnRenamed("_at", "template")
     every = tree.agg(((F.sum("bad") + 1) / (F.sum("lab") + 2)).alias("rate_all"))
     by_host = tree.groupBy("host").agg(F.sum("lab").alias("lab_h"), F.sum("bad").alias("bad_h")).join(F.broadcast(every))  # one row
@@ -88,7 +92,7 @@ def template_rates(shapes: DataFrame, max_depth: int = 4, z_least: float = 2.576
 
 
 def judge_urls(
-    pages: DataFrame, key: str = "page_id", url: str = "url", rules: dict[str, str] | None = None, bad: Column | None = None, max_depth: int = 4, reject_purity: float = 0.8
+    pages: DataFrame, key: str = "page_id", url: str = "url", rules: dict[str, str] | None = None, bad: Column | None = None, reject_purity: float = 0.8
 ) -> DataFrame:
     """``(key, host, path, rule, verdict, template, purity)`` for each page. ``bad`` labels pages; by default the rules do."""
     rules = DEFAULT_RULES if rules is None else rules
@@ -96,9 +100,9 @@ def judge_urls(
     seen = pages.select(F.col(key), host.alias("host"), path.alias("path"), *([bad.alias("_bad")] if bad is not None else []))
     seen = seen.withColumn("rule", rule_column(rules, F.col("host"), F.col("path")))
     ruled = reduce(lambda c, r: c.when(F.col("rule") == r, F.lit(rules[r])), rules, F.when(F.lit(False), F.lit(""))) if rules else F.lit(None).cast("string")
-    seen = seen.withColumns({"_ruled": ruled, "shape": _shape(F.col("path"), max_depth)})
+    seen = seen.withColumns({"_ruled": ruled, "shape": _shape(F.col("path"))})
     label = F.col("_bad") if bad is not None else F.col("_ruled") == "block"
     shapes = seen.groupBy("host", "shape").agg(F.count(F.lit(1)).alias("n"), F.count(label).alias("lab"), F.count_if(F.coalesce(label, F.lit(False))).alias("bad"))
-    rates = template_rates(shapes, max_depth)
+    rates = template_rates(shapes)
     verdict = F.coalesce("_ruled", F.when(F.col("purity") >= reject_purity, F.lit("block")).otherwise("allow"))
     return seen.join(rates, ["host", "shape"], "left").select(key, "host", "path", "rule", verdict.alias("verdict"), "template", "purity")

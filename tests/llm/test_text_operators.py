@@ -155,6 +155,16 @@ def test_html_blocks_and_references():
     assert hx.extract([None, "", "<p", "plain", "<!-- x", "<div></div>"], hx.default_trees())[:2] == ["", ""]
 
 
+def test_url_templates_split_below_the_fourth_segment(spark):
+    """Branches that differ only in a deep segment are told apart; uniform branches of any depth keep one wildcard a segment."""
+    rows = [(f"http://h.site/2024/01/02/news/in/{('spam', 'sport', 'art')[i % 3]}/x/{i}", 1 if i % 3 == 0 else 0, i % 2) for i in range(300)]
+    rows += [(f"http://i.site/{'/'.join('abc'[i % 3] for _ in range(40))}", 0, 1) for i in range(30)]
+    df = spark.createDataFrame([(i, u, b, known) for i, (u, b, known) in enumerate(rows)], "page_id long, url string, bad int, known int")
+    judged = url_filter.judge_urls(df, rules={}, bad=F.when(F.col("known") == 1, F.col("bad") == 1)).join(df, "page_id").collect()
+    assert len(judged) == 330 and all((r["verdict"] == "block") == (r["bad"] == 1) for r in judged)
+    assert {r["template"] for r in judged} == {"h.site/*/*/*/*/*/spam/*/*", "h.site/*/*/*/*/*/*-/*/*", "i.site" + "/*" * 40}
+
+
 @pytest.mark.parametrize("before", [
     "<svg class=i/>", "<math/>", "<svg><path d='M0'/><svg><text>in</text></svg><text>in</text></svg>", "<svg><script href=a /><title/></svg>", "<datalist><option value=a></datalist>", "<datalist><option>in<option>in</datalist>",
     "<option>in<optgroup label=x>", "<select><option>in<option>in</select>", "<button type=submit>", "<object data=a>", "<iframe src=a>", "<video src=a>", "<noscript>", "<script>'<svg>'</script >", "<template><svg></template>", "<textarea><svg></textarea>",
