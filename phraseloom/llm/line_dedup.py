@@ -4,205 +4,225 @@ A line is its set of distinct lower-case words. A line goes when an earlier line
 Jaccard similarity of at least ``percent`` / 100 with it, whether or not that earlier line itself stays. Lines without a
 word always stay.
 
-1. Word frequencies over all texts, in 2^18 buckets, give the rarity order (frequency class, word hash).
-2. Equal lines count once, at their first place.
-3. Prefix filter: similar sets meet in their ``m - ceil(t m) + 1`` rarest words, and in two of the next-longer prefix.
-   So rare words of the prefix are keys by themselves, frequent ones only in pairs, and no tile of a rare word is larger
-   than the frequency limit.
-4. Inside a tile the length filter, the positional filter and a 64-bit parity signature (differing bits never exceed
-   differing words) drop pairs before any set is fetched. In a tile of frequent words, which near copies may fill, lines
-   first meet a leader for a few rounds; lines whose removal that proves leave, the rest meet all members.
-5. What passes is verified on the full sets.
+1. Word counts over all texts give the rarity order: frequency class of the most frequent word in the word's bucket (one
+   of 2^18), then word hash. The classes are a constant of a fixed size in one job only.
+2. A table of the distinct lines, one row each: first place, size, parity signature, and the rare end of the ordered words,
+   which is all that the join needs. Texts are split into words twice in all, here and for the counts.
+3. Lines that agree on their least and greatest word hash first meet the earliest of them; what that proves gone has its
+   earlier match already, and is only looked at as a possible match from then on. So a group of near copies is not paired
+   out.
+4. Prefix filter: similar sets meet in their ``m - ceil(t m) + 1`` rarest words, and in two of the next-longer prefix. So
+   rare words of the prefix are keys by themselves, frequent ones only in pairs (unless one common word can do), and a
+   tile of a rare word is no larger than the frequency limit. The length filter, the positional filter (a pair counts at
+   its first common word, so the words from there on must suffice) and the parity signature (differing bits never exceed
+   differing words; longer lines have longer ones) are part of the join's condition.
+5. What passes is verified on the full sets, which are built for those lines alone.
 
 Defined cases: null texts have no lines to lose and stay null; rows with equal key and text are one document and get the
-same result; null keys sort first; a line of any length is compared whole; empty tables give no rows; columns besides key
-and text are kept as they are.
+same result; null keys sort first; a line of any length is compared whole; a later line that is equal always goes; empty
+tables give no rows; columns besides key and text are kept as they are. Distinct lines are told apart by 128 bits of hash.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+import math
+import uuid
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from phraseloom.llm.common import SPACE_CLASS, bit_set, drop_finished_shuffles, durable, is_lit, let
+from phraseloom.llm.common import bit_set, durable, ensure_checkpoint_dir, is_lit, let
 
 BUCKET_BITS = 18
 FREQUENT = 511
 CLASS_STEP = 4
 LEAST = -(1 << 63)
-#: Lines of more words carry a longer signature, of this many slots.
-LONG_LINE = 60
-LONG_SLOTS = 128
-SALTS = 16
-ROUNDS = 3
+LOW = (1 << 56) - 1
+#: Least number of words -> longs in the longer signature (each twice the one before; sizes that pass the length filter are neighbours).
+WIDE = {101: 4, 241: 8, 481: 16}
+OTHER_SPACE = "\t\x0b\x0c\r"
+NAME = ["h1", "h2"]
+ENTRY = ["key", "id", "doc", "m", "at", "sig", "wide", "gone"]
+
+
+def _saved(df: DataFrame) -> tuple[DataFrame, str]:
+    """``df`` as a written table in the shared folder, and its path."""
+    spark = df.sparkSession
+    ensure_checkpoint_dir(spark)
+    path = f"{spark.sparkContext.getCheckpointDir()}/lines-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path), path
+
+
+def _drop(spark: SparkSession, path: str) -> None:
+    folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+    folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
 
 
 def _words(text: Column) -> Column:
-    return F.filter(F.split(F.lower(text), SPACE_CLASS + "+"), lambda w: w != "")
+    """Lower-case runs between white space, which a search for one character is enough to find."""
+    blank = reduce(lambda c, x: F.replace(c, F.lit(x), F.lit(" ")), OTHER_SPACE, F.lower(text))
+    return F.array_remove(F.split(blank, " "), "")
 
 
-def _bucket(value: Column) -> Column:
-    return value.bitwiseAND(F.lit((1 << BUCKET_BITS) - 1))
+def _bucket(name: Column) -> Column:
+    return name.bitwiseAND(F.lit((1 << BUCKET_BITS) - 1))
 
 
-def _class(hits: Column) -> Column:
-    return F.least(F.lit(127), 1 + F.floor(F.log2(hits + 1) * CLASS_STEP)).cast("int")
+def _class_of(hits: float) -> int:
+    return min(127, 1 + math.floor(math.log2(hits + 1) * CLASS_STEP))
 
 
 def _frequency_classes(docs: DataFrame) -> Column:
-    """A constant of 2^18 bytes: the frequency class (1 to 127) of each bucket of word hashes."""
-    words = docs.select(F.explode(F.split(F.lower("_text"), SPACE_CLASS + "+")).alias("w"))
-    hits = words.groupBy(_bucket(F.xxhash64("w")).alias("id")).agg(F.count(F.lit(1)).alias("hits"))
-    every = docs.sparkSession.range(1 << BUCKET_BITS).join(hits, "id", "left").select("id", _class(F.coalesce("hits", F.lit(0))).alias("c"))
-    joined = every.agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("id", "c"))), lambda e: F.char(e["c"])), "").alias("classes"))
-    return F.lit(joined.first()[0].encode("ascii"))
+    """A constant array: the frequency class (0 to 127) of each bucket of words."""
+    words = docs.select(F.explode(_words(F.replace("_text", F.lit("\n"), F.lit(" ")))).alias("w"))
+    counts = words.groupBy(F.xxhash64("w").alias("w")).agg(F.count(F.lit(1)).alias("hits"))
+    most = counts.groupBy(_bucket(F.col("w")).alias("id")).agg(F.max("hits").alias("hits"))
+    level = F.least(F.lit(127), 1 + F.floor(F.log2(F.col("hits") + 1) * CLASS_STEP))
+    every = docs.sparkSession.range(1 << BUCKET_BITS).join(most, "id", "left").select("id", F.coalesce(level, F.lit(0)).alias("c"))
+    joined = every.agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("id", "c"))), lambda e: e["c"].cast("string")), ",").alias("classes"))
+    return F.split(F.lit(joined.first()[0]), ",").cast("array<bigint>")
+
+
+def _value(classes: Column):
+    """A word as a long: the order of values is the order of rarity."""
+    return lambda w: F.shiftleft(F.coalesce(F.get(classes, _bucket(F.xxhash64(w)).cast("int")), F.lit(0).cast("long")), 56).bitwiseOR(F.xxhash64(w).bitwiseAND(F.lit(LOW)))
+
 
+def _parity(words: Column) -> Column:
+    """Parities of the words' slots as bits of a long."""
+    return F.aggregate(words, F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(63).cast("int"))))
 
-def _set(line: Column, classes: Column) -> Column:
-    """The line's distinct words as longs in the order of rarity."""
-    low = F.lit((1 << 56) - 1)
-    kind = lambda h: F.ascii(F.substring(classes, (_bucket(h) + 1).cast("int"), F.lit(1)).cast("string")).cast("long")
-    hashes = F.transform(_words(line), lambda w: F.xxhash64(w))
-    return F.sort_array(F.array_distinct(F.transform(hashes, lambda h: F.shiftleft(kind(h), 56).bitwiseOR(h.bitwiseAND(low)))))
 
+def _wide(words: Column, m: Column) -> Column:
+    """The same words' parities dealt to several longs; their XOR is ``_parity``, and halves fold into the next-shorter form."""
+    longs = reduce(lambda c, least: c.when(m >= least, F.lit(WIDE[least])), sorted(WIDE, reverse=True)[1:], F.when(m >= max(WIDE), F.lit(WIDE[max(WIDE)])))
+    lane = lambda w: F.shiftright(w, 6).cast("long").bitwiseAND((longs - 1).cast("long"))
+    return F.when(m >= min(WIDE), F.transform(F.sequence(F.lit(0), longs - 1), lambda k: _parity(F.filter(words, lambda w: lane(w) == k))))
 
-def _parity(words: Column, slots: int, part: Column | None = None) -> Column:
-    """Parities of the words' slots as bits of a long (of the 64 slots of one part)."""
-    flip = lambda acc, w: acc.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(F.pmod(w, F.lit(slots)), F.lit(64)).cast("int")))
-    own = words if part is None else F.filter(words, lambda w: F.floor(F.pmod(w, F.lit(slots)) / 64) == part)
-    return F.aggregate(own, F.lit(0).cast("long"), flip)
 
+def _prefix(percent: int) -> Column:
+    m = F.col("m")
+    return m - F.floor((F.lit(percent) * m + 99) / 100).cast("int") + 1
 
-def _split(docs: DataFrame) -> DataFrame:
-    return docs.select("doc", "th", F.posexplode(F.split("_text", "\n")).alias("pos", "line"))
 
+def _lines(docs: DataFrame) -> DataFrame:
+    line = docs.select("doc", "th", F.posexplode(F.split("_text", "\n")).alias("pos", "line")).where(F.col("line").rlike(r"[^\x20\x09-\x0D]"))
+    return line.select("doc", "th", "pos", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(1), "line").alias("h2"), "line")
 
-def _keys(words: Column, percent: int, pairs_only: bool) -> Column:
-    """Entries ``(key, at, m, sig, long_sig)`` of a line: its rare prefix words, or pairs of frequent words of the longer prefix."""
-    limit = 1 + ((FREQUENT + 1).bit_length() - 1) * CLASS_STEP
-    m = F.size(words)
-    prefix = (m - F.ceil(F.lit(percent) * m / 100 - 1e-9) + 1).cast("int")
-    frequent = lambda w: F.shiftright(w, 56) >= limit
-    entry = lambda key, at: F.struct(key.alias("key"), at.cast("int").alias("at"))
 
-    def of(ordered: Column) -> Column:
-        if not pairs_only:
-            return F.filter(F.transform(F.slice(ordered, 1, prefix), lambda w, i: F.when(~frequent(w) | (m == 1), entry(w, i))), lambda e: e.isNotNull())
-        often = F.filter(F.transform(ordered, lambda w, i: F.struct(w.alias("w"), i.alias("i"))), lambda e: frequent(e["w"]))
-        return let(often, lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: entry(F.xxhash64(x["w"], y["w"]), x["i"])))))
+def _distinct_lines(docs: DataFrame, classes: Column, percent: int) -> tuple[DataFrame, str]:
+    """One row for each distinct line with a word: ``id``, name, first place, copies, and what the join needs."""
+    sets = _lines(docs).select("doc", "th", "pos", *NAME, F.array_distinct(F.transform(_words(F.col("line")), _value(classes))).alias("words"))
+    sets = sets.select("doc", "th", "pos", *NAME, F.sort_array("words").alias("words"), F.size("words").alias("m"))
+    cut = sets.withColumn("prefix", F.slice("words", 1, _prefix(percent) + 1))
+    plain = F.transform("prefix", lambda w: w.bitwiseAND(F.lit(LOW)))
+    shaped = cut.select(
+        *NAME, F.struct("doc", "th", "pos").alias("first"), "m", _parity(F.col("words")).alias("sig"), _wide(F.col("words"), F.col("m")).alias("wide"),
+        "prefix", let(plain, lambda hashes: F.xxhash64(F.array_min(hashes), F.array_max(hashes))).alias("band"),
+    )
+    one = shaped.groupBy(*NAME).agg(F.min("first").alias("first"), F.count(F.lit(1)).alias("copies"), *[F.first(c).alias(c) for c in ("m", "sig", "wide", "prefix", "band")])
+    return _saved(one.select(F.monotonically_increasing_id().alias("id"), *NAME, "first.*", "copies", "m", "sig", "wide", "prefix", "band"))
 
-    parts = F.transform(F.sequence(F.lit(0), F.lit(LONG_SLOTS // 64 - 1)), lambda k: _parity(words, LONG_SLOTS, k))
-    signed = F.struct(m.alias("m"), _parity(words, 61).alias("sig"), F.when(m > LONG_LINE, parts).alias("long_sig"))
-    whole = lambda g: F.transform(of(F.slice(words, 1, prefix + 1)), lambda e: F.struct(e["key"].alias("key"), e["at"].alias("at"), g["m"].alias("m"), g["sig"].alias("sig"), g["long_sig"].alias("long_sig")))
-    if pairs_only:  # most lines have no pair: look before anything else is computed
-        return F.when(F.size(F.filter(F.slice(words, 1, prefix + 1), frequent)) > 1, let(signed, whole))
-    return F.when(m > 0, let(signed, whole))
 
+def _enough(common: Column, m: Column, n: Column, percent: int) -> Column:
+    """Can sets of ``m`` and ``n`` words with at most ``common`` in both be similar? In whole numbers."""
+    return percent * (m + n) <= (100 + percent) * common
 
-def _needed(a: Column, b: Column, percent: int) -> Column:
-    return F.ceil(F.lit(percent) * (a + b) / F.lit(100.0 + percent) - 1e-9)
 
+def _sizes_fit(a: str, b: str, percent: int) -> Column:
+    return 100 * F.least(F.col(f"m{a}"), F.col(f"m{b}")) >= percent * F.greatest(F.col(f"m{a}"), F.col(f"m{b}"))
 
-def _passes(percent: int, side: str = "") -> Column:
-    """Length, positional, and signature filters for entries ``(m, at, sig)`` (names end in ``side``) and ``(m2, at2, sig2)``."""
-    m, m2, at, sig, long_sig = F.col(f"m{side}"), F.col("m2"), F.col(f"at{side}"), F.col(f"sig{side}"), F.col(f"long_sig{side}")
-    length = 100 * F.least(m, m2) >= percent * F.greatest(m, m2)
-    reach = F.least(m - at, m2 - F.col("at2")) + F.least(at, F.col("at2"))
-    room = lambda apart: (m + m2 - apart) >= 2 * _needed(m, m2, percent)
-    short = room(F.bit_count(sig.bitwiseXOR(F.col("sig2"))))
-    long = room(F.aggregate(F.zip_with(long_sig, "long_sig2", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda acc, x: acc + x))
-    return length & (reach >= _needed(m, m2, percent)) & short & F.coalesce(long, F.lit(True))
 
+def _alike(a: str, b: str, percent: int) -> Column:
+    """Signature filter for columns whose names end in ``a`` and ``b``."""
+    m, n, x, y = F.col(f"m{a}"), F.col(f"m{b}"), F.col(f"wide{a}"), F.col(f"wide{b}")
+    room = lambda apart: _enough(F.shiftright(m + n - apart, 1), m, n, percent)
+    longs = F.least(F.size(x), F.size(y))
+    fold = lambda v, k: F.get(v, k).bitwiseXOR(F.when(F.size(v) > longs, F.get(v, k + longs)).otherwise(F.lit(0).cast("long")))
+    apart = F.aggregate(F.sequence(F.lit(0), longs - 1), F.lit(0), lambda acc, k: acc + F.bit_count(fold(x, k).bitwiseXOR(fold(y, k))))
+    comparable = x.isNotNull() & y.isNotNull() & (F.greatest(F.size(x), F.size(y)) <= 2 * longs)
+    return room(F.bit_count(F.col(f"sig{a}").bitwiseXOR(F.col(f"sig{b}")))) & F.when(comparable, room(apart)).otherwise(F.lit(True))
 
-def _other(entries: DataFrame, side: int = 2) -> DataFrame:
-    return entries.select("key", *[F.col(c).alias(f"{c}{side}") for c in ("rh", "m", "at", "sig", "long_sig")])
 
+def _earlier(a: str, b: str) -> Column:
+    """Is the line of ``a`` the earlier one, by document? Lines of one key may be either way round, as their ids say."""
+    doc, other = F.col(f"doc{a}"), F.col(f"doc{b}")
+    return (doc < other) | ((doc == other) & (F.col(f"id{a}") < F.col(f"id{b}")))
 
-def _entries(docs: DataFrame, classes: Column, percent: int, pairs_only: bool) -> DataFrame:
-    """``(th, rh, key, m, at, sig, long_sig)`` of all lines."""
-    lines = _split(docs).select("th", F.xxhash64("line").alias("rh"), _set(F.col("line"), classes).alias("words"))
-    each = lines.select("th", "rh", F.explode(let(F.col("words"), lambda w: _keys(w, percent, pairs_only))).alias("e"))
-    return each.select("th", "rh", "e.key", "e.m", "e.at", "e.sig", "e.long_sig")
 
+def _banded(nodes: DataFrame, percent: int) -> DataFrame:
+    """Each line with the earliest one of its band, as pairs of ids."""
+    shape = ["id", "m", "sig", "wide"]
+    lead = nodes.groupBy("band").agg(F.min(F.struct("doc", "th", "pos", *shape)).alias("l"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    lead = lead.select("band", *[F.col(f"l.{c}").alias(f"{c}2") for c in shape])
+    met = nodes.select("band", *[F.col(c).alias(f"{c}1") for c in shape]).join(lead, "band")
+    return met.where(_sizes_fit("1", "2", percent) & (F.col("id1") != F.col("id2")) & _alike("1", "2", percent)).select("id1", "id2")
 
-def _candidates(docs: DataFrame, classes: Column, percent: int) -> tuple[DataFrame, DataFrame]:
-    """Pairs ``(rh, rh2)`` that meet in a rare word, and the entries of the tiles of frequent pairs.
 
-    Pairs of frequent words are counted down per salt first, so that a line that very many documents repeat is spread.
-    """
-    rare = _entries(docs, classes, percent, False)
+def _entries(nodes: DataFrame, percent: int) -> DataFrame:
+    """``ENTRY`` rows: the rare words of each prefix, and the pairs of frequent ones."""
+    limit = _class_of(FREQUENT) << 56
+    m, prefix = F.col("m"), _prefix(percent)
+    rare = F.size(F.filter(F.slice("prefix", 1, prefix), lambda w: w < limit))
+    carried = [c for c in ENTRY if c not in ("key", "at")]
+    by_word = nodes.select(*carried, F.posexplode(F.slice("prefix", 1, F.when(F.lit(percent) * m <= 100, prefix).otherwise(rare))).alias("at", "key")).select(*ENTRY)
+    often = F.filter(F.transform("prefix", lambda w, i: F.struct(w.alias("w"), i.alias("at"))), lambda e: e["w"] >= limit)
+    pairs = let(often, lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: F.struct(F.xxhash64(x["w"], y["w"]).alias("key"), x["at"].alias("at"))))))
+    some = nodes.where((F.size("prefix") > 1) & (F.get("prefix", F.size("prefix") - 2) >= limit))
+    return by_word.unionByName(some.select(*carried, F.explode(pairs).alias("e")).select(*carried, "e.key", "e.at").select(*ENTRY))
+
+
+def _joined(nodes: DataFrame, percent: int) -> DataFrame:
+    """Pairs of ids that meet in a key and pass all filters, the later one not known to be gone."""
+    entries = _entries(nodes, percent)
     # Both sides are renamed alike, so that their plans are equal and one exchange serves both.
-    met = _other(rare, 1).join(_other(rare, 2), "key").where((F.col("rh1") < F.col("rh2")) & _passes(percent, "1"))
-    pairs = durable(met.select(F.col("rh1").alias("rh"), "rh2").distinct())
-    del met, rare
-    drop_finished_shuffles(docs.sparkSession)
-    frequent = _entries(docs, classes, percent, True).withColumn("salt", F.pmod("th", F.lit(SALTS)))
-    columns = ["key", "rh", "m", "at", "sig", "long_sig"]
-    return pairs, durable(frequent.select("salt", *columns).distinct().select(*columns).distinct())
-
-
-def _led(tiles: DataFrame, gone: DataFrame | None, turn: int, percent: int) -> DataFrame:
-    """Each remaining line with its tile's leader, another one each turn."""
-    left = tiles if gone is None else tiles.join(gone, "rh", "left_anti")
-    lead = left.groupBy("key").agg(F.max(F.struct(F.xxhash64("rh", F.lit(turn)).alias("rank"), "rh", "m", "at", "sig", "long_sig")).alias("l"))
-    lead = lead.select("key", F.col("l.rh").alias("rh2"), F.col("l.m").alias("m2"), F.col("l.at").alias("at2"), F.col("l.sig").alias("sig2"), F.col("l.long_sig").alias("long_sig2"))
-    return left.join(lead, "key").where((F.col("rh") != F.col("rh2")) & _passes(percent)).select("rh", "rh2")
-
-
-def _verified(docs: DataFrame, pairs: DataFrame, firsts: DataFrame, classes: Column, percent: int) -> DataFrame:
-    """Lines ``rh`` that an earlier line matches, among candidate pairs ``(rh, rh2)``."""
-    pairs = durable(pairs.select(F.least("rh", "rh2").alias("rh"), F.greatest("rh", "rh2").alias("rh2")).distinct())
-    nodes = pairs.select("rh").unionByName(pairs.select(F.col("rh2").alias("rh"))).distinct()
-    wanted = is_lit(bit_set(nodes), F.col("rh"))
-    lines = _split(docs).withColumn("rh", F.xxhash64("line")).where(wanted).dropDuplicates(["rh"]).select("rh", "line")
-    sets = durable(lines.select("rh", _set(F.col("line"), classes).alias("words")).join(firsts, "rh"))
-    other = sets.select(F.col("rh").alias("rh2"), F.col("words").alias("words2"), F.col("first").alias("first2"))
-    common = F.size(F.array_intersect("words", "words2"))
-    close = pairs.join(sets, "rh").join(other, "rh2").where(100 * common >= percent * (F.size("words") + F.size("words2") - common))
-    return durable(close.select(F.when(F.col("first") < F.col("first2"), F.col("rh2")).otherwise(F.col("rh")).alias("rh")).distinct())
-
-
-def _oriented(pairs: DataFrame, firsts: DataFrame) -> DataFrame:
-    """``(late, early)`` by the lines' first places."""
-    other = firsts.select(F.col("rh").alias("rh2"), F.col("first").alias("first2"))
-    placed = pairs.join(firsts, "rh").join(other, "rh2")
-    forward = F.col("first") < F.col("first2")
-    return placed.select(F.when(forward, F.col("rh2")).otherwise(F.col("rh")).alias("late"), F.when(forward, F.col("rh")).otherwise(F.col("rh2")).alias("early")).distinct()
-
-
-def _few(pairs: DataFrame, gone: DataFrame | None, most: int | None) -> DataFrame:
-    """Up to ``most`` earlier candidates (none: all) of each line that nothing has removed yet."""
-    left = pairs if gone is None else pairs.join(gone.withColumnRenamed("rh", "late"), "late", "left_anti")
-    if most is not None:
-        left = left.withColumn("place", F.row_number().over(Window.partitionBy("late").orderBy("early"))).where(F.col("place") <= most)
-    return left.select(F.col("late").alias("rh"), F.col("early").alias("rh2"))
+    a, b = (entries.select("key", *[F.col(c).alias(f"{c}{k}") for c in ENTRY[1:]]) for k in "12")
+    reach = _enough(F.least(F.col("m1") - F.col("at1"), F.col("m2") - F.col("at2")), F.col("m1"), F.col("m2"), percent)
+    open_ = ~F.col("gone2") | ((F.col("doc1") == F.col("doc2")) & ~F.col("gone1"))
+    return a.join(b, "key").where(_sizes_fit("1", "2", percent) & _earlier("1", "2") & reach & open_ & _alike("1", "2", percent)).select("id1", "id2")
+
+
+def _marked(nodes: DataFrame, gone: DataFrame) -> DataFrame:
+    """``nodes`` with a column that says whether the id is in ``gone``; only rows that may be are joined."""
+    maybe = is_lit(bit_set(gone), F.col("id"))
+    found = nodes.where(maybe).join(gone.withColumn("gone", F.lit(True)), "id", "left").withColumn("gone", F.coalesce("gone", F.lit(False)))
+    return found.unionByName(nodes.where(~maybe).withColumn("gone", F.lit(False)))
+
+
+def _wanted(rows: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows whose ``id`` is listed."""
+    return rows.where(is_lit(bit_set(ids), F.col("id"))).join(ids, "id", "left_semi")
+
+
+def _verified(docs: DataFrame, pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
+    """Ids of lines that an earlier line matches, among candidate pairs ``(id1, id2)``."""
+    pairs = durable(pairs.distinct())
+    names = durable(_wanted(nodes.select("id", *NAME, F.struct("doc", "th", "pos").alias("first")), pairs.select(F.col("id1").alias("id")).unionByName(pairs.select(F.col("id2").alias("id"))).distinct()))
+    lines = _lines(docs).where(is_lit(bit_set(names.select("h1")), F.col("h1"))).dropDuplicates(NAME)
+    words = lines.select(*NAME, F.array_distinct(F.transform(_words(F.col("line")), lambda w: F.xxhash64(w))).alias("words"))
+    sets = durable(words.join(names, NAME).select("id", "first", "words"))
+    one, two = (sets.select(*[F.col(c).alias(f"{c}{k}") for c in ("id", "first", "words")]) for k in "12")
+    common = F.size(F.array_intersect("words1", "words2"))
+    close = pairs.join(one, "id1").join(two, "id2").where(100 * common >= percent * (F.size("words1") + F.size("words2") - common))
+    return durable(close.select(F.when(F.col("first1") < F.col("first2"), F.col("id2")).otherwise(F.col("id1")).alias("id")).distinct())
 
 
 def removed_lines(docs: DataFrame, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``(doc, th, pos)`` of every line that goes; ``th`` is the hash of its document's text."""
+    spark = docs.sparkSession
     docs = docs.where(F.col(text).isNotNull()).select(F.coalesce(F.col(key).cast("long"), F.lit(LEAST)).alias("doc"), F.xxhash64(text).alias("th"), F.col(text).alias("_text"))
-    classes = _frequency_classes(docs)
-    lines = durable(_split(docs).where(F.col("line").rlike(r"[^\x20\x09-\x0D]")).select("doc", "th", "pos", F.xxhash64("line").alias("rh")).distinct())
-    firsts = lines.groupBy("rh").agg(F.min(F.struct("doc", "th", "pos")).alias("first"))
-    pairs, tiles = _candidates(docs, classes, percent)
-    drop_finished_shuffles(docs.sparkSession)
-
-    # One earlier match is enough, so first every line tries one candidate; what that removes needs no other.
-    pairs = durable(_oriented(pairs.unionByName(_led(tiles, None, 0, percent)), firsts))
-    drop_finished_shuffles(docs.sparkSession)
-    gone = None
-    for most in (1, 8, None):
-        found = _verified(docs, _few(pairs, gone, most), firsts, classes, percent)
-        gone = found if gone is None else durable(gone.unionByName(found).distinct())
-        drop_finished_shuffles(docs.sparkSession)
-    for turn in range(1, ROUNDS):
-        gone = durable(gone.unionByName(_verified(docs, _led(tiles, gone, turn, percent), firsts, classes, percent)).distinct())
-    left = tiles.join(gone, "rh", "left_anti")
-    rest = left.join(_other(tiles), "key").where((F.col("rh") != F.col("rh2")) & _passes(percent)).select("rh", "rh2")
-    gone = gone.unionByName(_verified(docs, rest, firsts, classes, percent)).distinct()
-
-    late = lines.join(firsts, "rh").join(gone.withColumn("_gone", F.lit(True)), "rh", "left")
-    return late.where((F.struct("doc", "th", "pos") != F.col("first")) | F.col("_gone")).select("doc", "th", "pos")
+    nodes, path = _distinct_lines(docs, _frequency_classes(docs), percent)
+    gone = _verified(docs, _banded(nodes, percent), nodes, percent)
+    gone = durable(gone.unionByName(_verified(docs, _joined(_marked(nodes, gone), percent), nodes, percent)).distinct())
+
+    # Only lines with copies and lines that are gone have anything to lose.
+    losing = durable(_marked(nodes.select("id", *NAME, F.struct("doc", "th", "pos").alias("first"), "copies"), gone).where("gone or copies > 1").drop("id", "copies"))
+    places = _lines(docs).where(is_lit(bit_set(losing.select("h1")), F.col("h1"))).select("doc", "th", "pos", *NAME)
+    lost = durable(places.join(losing, NAME).where(F.col("gone") | (F.struct("doc", "th", "pos") != F.col("first"))).select("doc", "th", "pos").distinct())
+    _drop(spark, path)
+    return lost
 
 
 def _per_document(removed: DataFrame) -> DataFrame:

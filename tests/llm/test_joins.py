@@ -104,8 +104,8 @@ def brute_lines(rows, percent):
     return {key: gone[key] for key, text in rows}
 
 
-@pytest.mark.parametrize("frequent", [511, 3])
-def test_lines_match_brute_force(spark, frequent, monkeypatch):
+@pytest.mark.parametrize(("frequent", "percent"), [(511, 80), (3, 80), (1, 50), (3, 30)])
+def test_lines_match_brute_force(spark, frequent, percent, monkeypatch):
     """With a low frequency limit nearly all words are frequent, so that pair keys, leaders, and the last round work."""
     monkeypatch.setattr(line_dedup, "FREQUENT", frequent)
     r = random.Random(frequent)
@@ -119,12 +119,19 @@ def test_lines_match_brute_force(spark, frequent, monkeypatch):
 
     rows = [(i, "\n".join(changed(r.choice(lines)) for _ in range(r.randint(1, 8)))) for i in range(40)]
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    want = brute_lines(rows, 80)
-    assert {x["doc_id"]: x["removed_lines"] for x in line_dedup.line_report(df).collect()} == want
-    texts = {x["doc_id"]: x["text"] for x in line_dedup.deduplicate_lines(df).collect()}
+    want = brute_lines(rows, percent)
+    assert {x["doc_id"]: x["removed_lines"] for x in line_dedup.line_report(df, percent).collect()} == want
+    texts = {x["doc_id"]: x["text"] for x in line_dedup.deduplicate_lines(df, percent).collect()}
     assert texts == {k: "\n".join(line for p, line in enumerate(t.split("\n")) if p not in want[k]) for k, t in rows}
 
 
+def test_one_common_frequent_word_can_do(spark, monkeypatch):
+    monkeypatch.setattr(line_dedup, "FREQUENT", 1)
+    rows = [(0, "a\na b\na zz\na yy")]
+    found = line_dedup.line_report(spark.createDataFrame(rows, "doc_id long, text string"), 50).first()
+    assert found["removed_lines"] == brute_lines(rows, 50)[0] == [1, 2, 3]
+
+
 def test_line_edges(edges, edge_rows, nothing):
     out = line_dedup.deduplicate_lines(edges)
     assert out.columns == edges.columns and out.count() == len(edge_rows)
