@@ -8,9 +8,9 @@ word always stay.
    of 2^18), then word hash. The classes are a constant of a fixed size in one job only.
 2. A table of the distinct lines, one row each: first place, size, parity signature, and the rare end of the ordered words,
    which is all that the join needs. Texts are split into words twice in all, here and for the counts.
-3. Lines that agree on their least and greatest word hash first meet the earliest of them; what that proves gone has its
-   earlier match already, and is only looked at as a possible match from then on. So a group of near copies is not paired
-   out.
+3. Lines that agree on the least and greatest hash of their prefix words, under one of a few hash functions, first meet the
+   earliest of them, then what is left the few just before it. What that proves gone has its earlier match already, and is only looked
+   at as a possible match from then on. So a group of near copies is not paired out.
 4. Prefix filter: similar sets meet in their ``m - ceil(t m) + 1`` rarest words, and in two of the next-longer prefix. So
    rare words of the prefix are keys by themselves, frequent ones only in pairs (unless one common word can do), and a
    tile of a rare word is no larger than the frequency limit. The length filter, the positional filter (a pair counts at
@@ -29,10 +29,10 @@ import math
 import uuid
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from phraseloom.llm.common import bit_set, durable, ensure_checkpoint_dir, is_lit, let
+from phraseloom.llm.common import bit_set, drop_finished_shuffles, durable, ensure_checkpoint_dir, is_lit, let
 
 BUCKET_BITS = 18
 FREQUENT = 511
@@ -43,7 +43,12 @@ LOW = (1 << 56) - 1
 WIDE = {101: 4, 241: 8, 481: 16}
 OTHER_SPACE = "\t\x0b\x0c\r"
 NAME = ["h1", "h2"]
-ENTRY = ["key", "id", "doc", "m", "at", "sig", "wide", "gone"]
+ENTRY = ["key", "id", "doc", "shape", "sig", "wide"]
+SHAPE = ["id", "m", "sig", "wide"]
+#: Bands of a line, earlier lines of a band that what is left by then is compared with, and lines in a part of a band.
+BANDS = 4
+BEFORE = 4
+PART = 16384
 
 
 def _saved(df: DataFrame) -> tuple[DataFrame, str]:
@@ -116,14 +121,12 @@ def _distinct_lines(docs: DataFrame, classes: Column, percent: int) -> tuple[Dat
     """One row for each distinct line with a word: ``id``, name, first place, copies, and what the join needs."""
     sets = _lines(docs).select("doc", "th", "pos", *NAME, F.array_distinct(F.transform(_words(F.col("line")), _value(classes))).alias("words"))
     sets = sets.select("doc", "th", "pos", *NAME, F.sort_array("words").alias("words"), F.size("words").alias("m"))
-    cut = sets.withColumn("prefix", F.slice("words", 1, _prefix(percent) + 1))
-    plain = F.transform("prefix", lambda w: w.bitwiseAND(F.lit(LOW)))
-    shaped = cut.select(
+    shaped = sets.select(
         *NAME, F.struct("doc", "th", "pos").alias("first"), "m", _parity(F.col("words")).alias("sig"), _wide(F.col("words"), F.col("m")).alias("wide"),
-        "prefix", let(plain, lambda hashes: F.xxhash64(F.array_min(hashes), F.array_max(hashes))).alias("band"),
+        F.slice("words", 1, _prefix(percent) + 1).alias("prefix"),
     )
-    one = shaped.groupBy(*NAME).agg(F.min("first").alias("first"), F.count(F.lit(1)).alias("copies"), *[F.first(c).alias(c) for c in ("m", "sig", "wide", "prefix", "band")])
-    return _saved(one.select(F.monotonically_increasing_id().alias("id"), *NAME, "first.*", "copies", "m", "sig", "wide", "prefix", "band"))
+    one = shaped.groupBy(*NAME).agg(F.min("first").alias("first"), F.count(F.lit(1)).alias("copies"), *[F.first(c).alias(c) for c in ("m", "sig", "wide", "prefix")])
+    return _saved(one.select(F.monotonically_increasing_id().alias("id"), *NAME, "first.*", "copies", "m", "sig", "wide", "prefix"))
 
 
 def _enough(common: Column, m: Column, n: Column, percent: int) -> Column:
@@ -131,13 +134,17 @@ def _enough(common: Column, m: Column, n: Column, percent: int) -> Column:
     return percent * (m + n) <= (100 + percent) * common
 
 
-def _sizes_fit(a: str, b: str, percent: int) -> Column:
-    return 100 * F.least(F.col(f"m{a}"), F.col(f"m{b}")) >= percent * F.greatest(F.col(f"m{a}"), F.col(f"m{b}"))
+def _size(side: str) -> Column:
+    return F.col(f"m{side}")
 
 
-def _alike(a: str, b: str, percent: int) -> Column:
+def _sizes_fit(a: str, b: str, percent: int, size=_size) -> Column:
+    return 100 * F.least(size(a), size(b)) >= percent * F.greatest(size(a), size(b))
+
+
+def _alike(a: str, b: str, percent: int, size=_size) -> Column:
     """Signature filter for columns whose names end in ``a`` and ``b``."""
-    m, n, x, y = F.col(f"m{a}"), F.col(f"m{b}"), F.col(f"wide{a}"), F.col(f"wide{b}")
+    m, n, x, y = size(a), size(b), F.col(f"wide{a}"), F.col(f"wide{b}")
     room = lambda apart: _enough(F.shiftright(m + n - apart, 1), m, n, percent)
     longs = F.least(F.size(x), F.size(y))
     fold = lambda v, k: F.get(v, k).bitwiseXOR(F.when(F.size(v) > longs, F.get(v, k + longs)).otherwise(F.lit(0).cast("long")))
@@ -146,32 +153,54 @@ def _alike(a: str, b: str, percent: int) -> Column:
     return room(F.bit_count(F.col(f"sig{a}").bitwiseXOR(F.col(f"sig{b}")))) & F.when(comparable, room(apart)).otherwise(F.lit(True))
 
 
-def _earlier(a: str, b: str) -> Column:
-    """Is the line of ``a`` the earlier one, by document? Lines of one key may be either way round, as their ids say."""
-    doc, other = F.col(f"doc{a}"), F.col(f"doc{b}")
-    return (doc < other) | ((doc == other) & (F.col(f"id{a}") < F.col(f"id{b}")))
+def _recurring(nodes: DataFrame) -> DataFrame:
+    """``nodes`` by ``band``, for bands that recur: hashes of the least and greatest hash of the prefix words."""
+    band = lambda k: let(F.transform("prefix", lambda w: F.xxhash64(w, F.lit(k))), lambda hashes: F.xxhash64(F.lit(k), F.array_min(hashes), F.array_max(hashes)))
+    bands = F.explode(F.array(*[band(k) for k in range(BANDS)])).alias("band")
+    shared = durable(nodes.select(bands).groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("band"))
+    return nodes.select(*[c for c in nodes.columns if c != "prefix"], bands).where(is_lit(bit_set(shared), F.col("band")))
 
 
-def _banded(nodes: DataFrame, percent: int) -> DataFrame:
-    """Each line with the earliest one of its band, as pairs of ids."""
-    shape = ["id", "m", "sig", "wide"]
-    lead = nodes.groupBy("band").agg(F.min(F.struct("doc", "th", "pos", *shape)).alias("l"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    lead = lead.select("band", *[F.col(f"l.{c}").alias(f"{c}2") for c in shape])
-    met = nodes.select("band", *[F.col(c).alias(f"{c}1") for c in shape]).join(lead, "band")
+def _fitting(met: DataFrame, percent: int) -> DataFrame:
     return met.where(_sizes_fit("1", "2", percent) & (F.col("id1") != F.col("id2")) & _alike("1", "2", percent)).select("id1", "id2")
 
 
+def _led(nodes: DataFrame, percent: int) -> DataFrame:
+    """Each line with the earliest one of each of its bands, as pairs of ids."""
+    met = _recurring(nodes)
+    lead = met.groupBy("band").agg(F.min(F.struct("doc", "th", "pos", *SHAPE)).alias("l"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    lead = lead.select("band", *[F.col(f"l.{c}").alias(f"{c}2") for c in SHAPE])
+    return _fitting(met.select("band", *[F.col(c).alias(f"{c}1") for c in SHAPE]).join(lead, "band"), percent)
+
+
+def _followed(nodes: DataFrame, percent: int) -> DataFrame:
+    """Each line that is not gone with the few before it in its bands; a large band is cut into parts."""
+    met = _recurring(nodes)
+    parts = met.groupBy("band").agg((1 + F.floor(F.count(F.lit(1)) / PART)).alias("parts"))
+    dealt = met.join(parts, "band").withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")))
+    order = Window.partitionBy("band", "part").orderBy("doc", "th", "pos")
+    before = [F.lag(F.struct(*SHAPE), k).over(order) for k in range(1, BEFORE + 1)]
+    met = dealt.select("gone", *[F.col(c).alias(f"{c}2") for c in SHAPE], F.array(*before).alias("before")).where("not gone")
+    met = met.select("*", F.explode(F.filter("before", lambda e: e.isNotNull())).alias("e")).select(*[F.col(f"e.{c}").alias(f"{c}1") for c in SHAPE], *[f"{c}2" for c in SHAPE])
+    return _fitting(met, percent)
+
+
 def _entries(nodes: DataFrame, percent: int) -> DataFrame:
-    """``ENTRY`` rows: the rare words of each prefix, and the pairs of frequent ones."""
+    """``ENTRY`` rows: the rare words of each prefix, and the pairs of frequent ones. ``shape`` holds size, place, and ``gone``.
+
+    At its first common word a pair has at most the words from there on in common; at its first two, one and those from
+    the second on, as if it had met just before the second.
+    """
     limit = _class_of(FREQUENT) << 56
     m, prefix = F.col("m"), _prefix(percent)
     rare = F.size(F.filter(F.slice("prefix", 1, prefix), lambda w: w < limit))
-    carried = [c for c in ENTRY if c not in ("key", "at")]
-    by_word = nodes.select(*carried, F.posexplode(F.slice("prefix", 1, F.when(F.lit(percent) * m <= 100, prefix).otherwise(rare))).alias("at", "key")).select(*ENTRY)
+    shape = lambda at: F.shiftleft(F.col("m").cast("long"), 32).bitwiseOR(2 * at.cast("long") + F.col("gone").cast("long")).alias("shape")
+    by_word = nodes.select("id", "doc", "m", "sig", "wide", "gone", F.posexplode(F.slice("prefix", 1, F.when(F.lit(percent) * m <= 100, prefix).otherwise(rare))).alias("at", "key"))
+    by_word = by_word.select("key", "id", "doc", shape(F.col("at")), "sig", "wide")
     often = F.filter(F.transform("prefix", lambda w, i: F.struct(w.alias("w"), i.alias("at"))), lambda e: e["w"] >= limit)
-    pairs = let(often, lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: F.struct(F.xxhash64(x["w"], y["w"]).alias("key"), x["at"].alias("at"))))))
+    pairs = let(often, lambda fs: F.flatten(F.transform(fs, lambda x, i: F.transform(F.slice(fs, i + 2, F.size(fs)), lambda y: F.struct(F.xxhash64(x["w"], y["w"]).alias("key"), (y["at"] - 1).alias("at"))))))
     some = nodes.where((F.size("prefix") > 1) & (F.get("prefix", F.size("prefix") - 2) >= limit))
-    return by_word.unionByName(some.select(*carried, F.explode(pairs).alias("e")).select(*carried, "e.key", "e.at").select(*ENTRY))
+    return by_word.unionByName(some.select("id", "doc", "m", "sig", "wide", "gone", F.explode(pairs).alias("e")).select("e.key", "id", "doc", shape(F.col("e.at")), "sig", "wide"))
 
 
 def _joined(nodes: DataFrame, percent: int) -> DataFrame:
@@ -179,9 +208,14 @@ def _joined(nodes: DataFrame, percent: int) -> DataFrame:
     entries = _entries(nodes, percent)
     # Both sides are renamed alike, so that their plans are equal and one exchange serves both.
     a, b = (entries.select("key", *[F.col(c).alias(f"{c}{k}") for c in ENTRY[1:]]) for k in "12")
-    reach = _enough(F.least(F.col("m1") - F.col("at1"), F.col("m2") - F.col("at2")), F.col("m1"), F.col("m2"), percent)
-    open_ = ~F.col("gone2") | ((F.col("doc1") == F.col("doc2")) & ~F.col("gone1"))
-    return a.join(b, "key").where(_sizes_fit("1", "2", percent) & _earlier("1", "2") & reach & open_ & _alike("1", "2", percent)).select("id1", "id2")
+    size = lambda k: F.shiftright(F.col(f"shape{k}"), 32).cast("int")
+    rest = lambda k: size(k) - F.shiftright(F.col(f"shape{k}").bitwiseAND(F.lit((1 << 32) - 1)), 1).cast("int")
+    reach = _enough(F.least(rest("1"), rest("2")), size("1"), size("2"), percent)
+    gone = lambda shape: shape.bitwiseAND(F.lit(1)) == 1
+    later = (F.col("doc1") < F.col("doc2")) & ~gone(F.col("shape2"))
+    beside = (F.col("doc1") == F.col("doc2")) & (F.col("id1") < F.col("id2")) & ~gone(F.col("shape1").bitwiseAND(F.col("shape2")))  # either may be the later one
+    fits = _sizes_fit("1", "2", percent, size) & (later | beside) & reach & _alike("1", "2", percent, size)
+    return a.join(b, "key").where(fits).select("id1", "id2")
 
 
 def _marked(nodes: DataFrame, gone: DataFrame) -> DataFrame:
@@ -214,7 +248,9 @@ def removed_lines(docs: DataFrame, percent: int = 80, key: str = "doc_id", text:
     spark = docs.sparkSession
     docs = docs.where(F.col(text).isNotNull()).select(F.coalesce(F.col(key).cast("long"), F.lit(LEAST)).alias("doc"), F.xxhash64(text).alias("th"), F.col(text).alias("_text"))
     nodes, path = _distinct_lines(docs, _frequency_classes(docs), percent)
-    gone = _verified(docs, _banded(nodes, percent), nodes, percent)
+    gone = _verified(docs, _led(nodes, percent), nodes, percent)
+    gone = durable(gone.unionByName(_verified(docs, _followed(_marked(nodes, gone), percent), nodes, percent)).distinct())
+    drop_finished_shuffles(spark)
     gone = durable(gone.unionByName(_verified(docs, _joined(_marked(nodes, gone), percent), nodes, percent)).distinct())
 
     # Only lines with copies and lines that are gone have anything to lose.
