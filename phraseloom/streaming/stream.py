@@ -33,56 +33,78 @@ def _finish(spark: SparkSession, stream: DataFrame, mode: str, keys: list[str])
     stream.writeStream.outputMode(mode).foreachBatch(put).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
     rows = spark.read.parquet(f"{folder}/out/batch=*")
     fields = [c for c in rows.columns if c not in (*keys, "_batch")]
-    if mode == "append":
+    if not keys:
         return rows.drop("_batch")
     return rows.groupBy(*keys).agg(F.max_by(F.struct(*fields), "_batch").alias("_s")).select(*keys, "_s.*")
 
 
 def sliding_counts(spark: SparkSession, sf_dir: str, size: int = 16, delay: str = "30 days") -> DataFrame:
-    """Phrases of each user's last ``size`` events after every event; late events up to ``delay`` are sorted in, copies dropped."""
-    events = event_stream(spark, sf_dir).withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
-    symbols = events.select("user_id", "ts", "event_id", F.substring("event_type", 1, 1).alias("sym"))
+    """Phrases of each user's last ``size`` events after every event of the table."""
+    return sliding_counts_of(event_stream(spark, sf_dir), size, delay)
+
+
+def sliding_counts_of(events: DataFrame, size: int = 16, delay: str = "30 days") -> DataFrame:
+    """Phrases of each user's last ``size`` events after every event of a stream, in the order of time.
+
+    An event up to ``delay`` late, in whatever batch it comes, takes its place among the events already seen, and the counts
+    from there on are given anew; the last ones of each ordinal stand. Later events and copies are dropped. State holds the
+    events that the watermark has not passed, and the ``size`` before them.
+    """
+    known = events.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
+    symbols = known.select("user_id", "ts", F.unix_micros("ts").alias("us"), "event_id", F.substring("event_type", 1, 1).alias("sym"))
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        tail, seen = state.get if state.exists else ("", 0)
-        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
-        out = []
-        for symbol in rows["sym"]:
-            tail, seen = (tail + symbol)[-size:], seen + 1
-            out.append((key[0], seen, len(tail), sum(1 for _ in k.parse(tail))))
-        state.update((tail, seen))
+        tail, seen, times, ids, syms = state.get if state.exists else ("", 0, [], [], [])
+        rows = pd.concat(list(frames))
+        held = list(zip(times, ids, syms, strict=True))
+        new = list(zip(rows["us"].tolist(), rows["event_id"].tolist(), rows["sym"], strict=True))
+        first = min(new)
+        merged = sorted(held + new)
+        out, text = [], tail
+        for place, entry in enumerate(merged):
+            text = (text + entry[2])[-size:]
+            if entry >= first:
+                out.append((key[0], seen + place + 1, len(text), sum(1 for _ in k.parse(text))))
+        passed = sum(1 for e in merged if e[0] < state.getCurrentWatermarkMs() * 1000)
+        tail, seen = (tail + "".join(e[2] for e in merged[:passed]))[-size:], seen + passed
+        state.update((tail, seen, *([e[c] for e in merged[passed:]] for c in range(3))))
         yield pd.DataFrame(out, columns=["sid", "ord", "n", "phrases"])
 
-    kept = symbols.groupBy("user_id").applyInPandasWithState(step, "sid long, ord long, n long, phrases long", "tail string, seen long", "append", GroupStateTimeout.NoTimeout)
-    return _finish(spark, kept, "append", [])
+    held = "tail string, seen long, times array<long>, ids array<long>, syms array<string>"
+    kept = symbols.groupBy("user_id").applyInPandasWithState(step, "sid long, ord long, n long, phrases long", held, "append", GroupStateTimeout.NoTimeout)
+    return _finish(events.sparkSession, kept, "append", ["sid", "ord"])
 
 
 def replay_edits(edits: DataFrame, bodies: DataFrame) -> DataFrame:
     """Keyed state holds each string with its reach forest; every edit ``(sid, seq, op, pos, sym)`` costs one transition.
 
-    ``edits`` may be a stream; ``bodies`` (static) gives a string's first version. Repeated sequence numbers are ignored.
+    ``edits`` may be a stream; ``bodies`` (static) gives a string's first version. The edits of a string are numbered from 1
+    on. An edit that comes before an earlier-numbered one waits in the state until that has come, in whatever batch;
+    repeated numbers are ignored.
     """
+    fields = ["seq", "op", "pos", "sym"]
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        rows = pd.concat(list(frames)).sort_values("seq")
+        rows = pd.concat(list(frames))
         if state.exists:
-            body, parents, last = state.get
+            body, parents, last, *held = state.get
             parents = list(parents)
         else:
-            body, last = rows["body"].iloc[0], 0
+            body, last, held = rows["body"].iloc[0], 0, [[]] * 4
             parents = t.parents_of(body)
+        waiting = {e[0]: e for e in [*zip(*held, strict=True), *rows[fields].itertuples(index=False, name=None)] if e[0] > last}
         out = []
-        for e in rows.itertuples():
-            if e.seq <= last:
-                continue
-            body, parents, _ = t.transition(body, e.op, e.pos, e.sym, None, parents)
-            last = e.seq
-            out.append((key[0], e.seq, len(body), t.phrase_count(parents)))
-        state.update((body, parents, last))
+        while last + 1 in waiting:
+            last, op, pos, sym = waiting.pop(last + 1)
+            body, parents, _ = t.transition(body, op, pos, sym, None, parents)
+            out.append((key[0], last, len(body), t.phrase_count(parents)))
+        kept = sorted(waiting.values())
+        state.update((body, parents, int(last), *([e[c] for e in kept] for c in range(4))))
         yield pd.DataFrame(out, columns=["sid", "seq", "n", "phrases"])
 
     joined = edits.join(bodies, "sid")
-    return joined.groupBy("sid").applyInPandasWithState(step, "sid long, seq long, n long, phrases long", "body string, parents array<long>, last long", "append", GroupStateTimeout.NoTimeout)
+    held = "body string, parents array<long>, last long, seqs array<long>, ops array<string>, places array<long>, syms array<string>"
+    return joined.groupBy("sid").applyInPandasWithState(step, "sid long, seq long, n long, phrases long", held, "append", GroupStateTimeout.NoTimeout)
 
 
 def windowed_strings(events: DataFrame, window) -> DataFrame:

@@ -34,3 +34,33 @@ def test_replayed_edits_equal_the_rebuild(spark, tmp_path):
     want = sorted(map(tuple, changes.replay_rebuild(scripts).collect()))
     assert sorted(map(tuple, spark.table("replayed").collect())) == want
     assert sorted(map(tuple, changes.replay_transition(scripts).collect())) == want == sorted(map(tuple, changes.replay_on_demand(scripts).collect()))
+
+
+def in_files(df, order, folder, files):
+    """Rows dealt to files in a shuffled order, which a stream reads one by one."""
+    rows = df.collect()
+    random.Random(order).shuffle(rows)
+    for n in range(files):
+        df.sparkSession.createDataFrame(rows[n::files], df.schema).coalesce(1).write.mode("append").parquet(str(folder))
+    return df.sparkSession.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(str(folder))
+
+
+def test_replayed_edits_wait_for_earlier_ones(spark, tmp_path):
+    strings = spark.createDataFrame([(1, "abracadabra"), (2, "aaaaaaaaaa"), (3, "mississippi")], "sid long, body string")
+    scripts = changes.edit_script(strings, 6)
+    rows = scripts.select("sid", F.explode("ops").alias("e")).select("sid", "e.*")
+    out = stream.replay_edits(in_files(rows, 5, tmp_path / "edits", 4), strings)
+    out.writeStream.format("memory").queryName("mixed").outputMode("append").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start().awaitTermination()
+    assert sorted(map(tuple, spark.table("mixed").collect())) == sorted(map(tuple, changes.replay_rebuild(scripts).collect()))
+
+
+def test_late_events_take_their_place(spark, tmp_path):
+    r = random.Random(8)
+    events = [(e, r.randint(1, 2), r.choice(["view", "click", "error"])) for e in range(60)]
+    df = spark.createDataFrame(events, "event_id long, user_id long, event_type string").withColumn("ts", F.timestamp_seconds(F.lit(1_700_000_000) + F.col("event_id") * 60))
+    got = stream.sliding_counts_of(in_files(df, 2, tmp_path / "events", 4), 5).collect()
+    want = []
+    for user in (1, 2):
+        symbols = "".join(kind[0] for _, u, kind in events if u == user)
+        want += [(user, n, min(n, 5), sum(1 for _ in k.parse(symbols[max(0, n - 5) : n]))) for n in range(1, len(symbols) + 1)]
+    assert sorted(tuple(x) for x in got) == want
