@@ -4,7 +4,8 @@ Each task cuts its rows into shards of a few million bytes and builds, per shard
 sequence (prefix doubling, refined only where suffixes still tie, to the depth of the longest benchmark item). Every
 suffix of every benchmark item is binary-searched in it, which yields its longest verbatim match; a shard suffix's own
 longest match is with one of the two test suffixes next to it in that order. Windows whose match is long enough are then searched for their whole range of occurrences. Nothing is shuffled.
-The benchmark is sent out in blocks of a bounded number of bytes; a task goes through the blocks one after the other.
+The benchmark is sent out in blocks of a bounded number of bytes; a task goes through the blocks one after the other and
+holds one at a time.
 
 A window is ``window`` consecutive words of an item (an item with fewer words, but not none, is one window). A document
 word inside an occurrence of a window is hit.
@@ -17,7 +18,7 @@ besides key and text never enter.
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -166,18 +167,24 @@ def _shards(values: np.ndarray, at: np.ndarray, overlap: int):
         yield low, high, min(high + overlap, len(values))
 
 
-def scan_rows(column: pa.Array, blocks: list[TestBlock], matches: bool = True) -> Iterator[tuple[int, int, int, set[str], int, int]]:
-    """Per row: words, hit words, item ids, longest match and its first place (without ``matches``: 0 and -1)."""
-    raw, offsets = bw.buffers(column)
-    for first, last in bw.slices(offsets, SHARD_BYTES):
-        values, at = bw.words(raw[offsets[first] : offsets[last]], offsets[first : last + 1] - offsets[first], bw.ALNUM)
-        rows = last - first
-        row_of = np.repeat(np.arange(rows), np.diff(at))
-        end = at[1:][row_of] if len(row_of) else np.zeros(0, np.int64)
-        cover = np.zeros(len(values) + 1, np.int64)
-        found: list[set[str]] = [set() for _ in range(rows)]
-        best, best_at = np.zeros(rows, np.int64), np.full(rows, -1, np.int64)
-        for test in blocks:
+class Scan:
+    """The words of a text column and what the blocks passed to ``add`` one after the other have found in them."""
+
+    def __init__(self, column: pa.Array) -> None:
+        raw, offsets = bw.buffers(column)
+        rows = len(offsets) - 1
+        self.parts = []
+        for first, last in bw.slices(offsets, SHARD_BYTES):
+            values, at = bw.words(raw[offsets[first] : offsets[last]], offsets[first : last + 1] - offsets[first], bw.ALNUM)
+            self.parts.append((first, last, values, at, np.zeros(len(values) + 1, np.int32)))
+        self.found: list[set[str]] = [set() for _ in range(rows)]
+        self.best, self.best_at = np.zeros(rows, np.int64), np.full(rows, -1, np.int64)
+
+    def add(self, test: TestBlock, matches: bool = True) -> None:
+        for first, last, values, at, cover in self.parts:
+            rows = last - first
+            row_of = np.repeat(np.arange(rows), np.diff(at))
+            end = at[1:][row_of] if len(row_of) else np.zeros(0, np.int64)
             for low, high, reach in _shards(values, at, test.depth):
                 places, widths, items, longest = match_shard(values[low:reach], np.minimum(end[low:reach], reach) - low, test, matches)
                 own = places < high - low
@@ -186,20 +193,41 @@ def scan_rows(column: pa.Array, blocks: list[TestBlock], matches: bool = True) -
                 np.add.at(cover, places + widths, -1)
                 for r, i in zip(*np.divmod(np.unique(row_of[places] * len(test.ids) + items), max(1, len(test.ids))), strict=True):
                     if test.ids[i] is not None:
-                        found[r].add(test.ids[i])
+                        self.found[first + r].add(test.ids[i])
                 got = np.flatnonzero(longest[: high - low])
                 here = row_of[got + low]
                 most = np.zeros(rows, np.int64)
                 np.maximum.at(most, here, longest[got])
                 top = longest[got] == most[here]
-                first = got[top]
+                starts = got[top]
                 for r, k in zip(*np.unique(here[top], return_index=True), strict=True):
-                    p = first[k] + low - at[r]
-                    if most[r] > best[r] or most[r] == best[r] and p < best_at[r]:
-                        best[r], best_at[r] = most[r], p
-        hit = np.concatenate([[0], np.cumsum(np.cumsum(cover[:-1]) > 0)])
-        for r in range(rows):
-            yield int(at[r + 1] - at[r]), int(hit[at[r + 1]] - hit[at[r]]), len(found[r]), found[r], int(best[r]), int(best_at[r])
+                    p, row = starts[k] + low - at[r], first + r
+                    if most[r] > self.best[row] or most[r] == self.best[row] and p < self.best_at[row]:
+                        self.best[row], self.best_at[row] = most[r], p
+
+    def rows(self) -> Iterator[tuple[int, int, int, set[str], int, int]]:
+        """Per row: words, hit words, number of items, item ids, longest match and its first place (none: 0 and -1)."""
+        for first, last, _, at, cover in self.parts:
+            hit = np.concatenate([[0], np.cumsum(np.cumsum(cover[:-1]) > 0)])
+            for r in range(last - first):
+                names = self.found[first + r]
+                yield int(at[r + 1] - at[r]), int(hit[at[r + 1]] - hit[at[r]]), len(names), names, int(self.best[first + r]), int(self.best_at[first + r])
+
+
+def scan_rows(column: pa.Array, blocks: Iterable[TestBlock], matches: bool = True) -> Iterator[tuple[int, int, int, set[str], int, int]]:
+    """``Scan.rows`` after all blocks, which are taken one after the other."""
+    scan = Scan(column)
+    for block in blocks:
+        scan.add(block, matches)
+    yield from scan.rows()
+
+
+def _one_by_one(sent: list) -> Iterator[TestBlock]:
+    """The blocks of broadcasts; of several, a worker keeps none once it is through with it and reads it again for the next batch."""
+    for broadcast in sent:
+        yield broadcast.value
+        if len(sent) > 1 and getattr(broadcast, "_path", None):
+            broadcast.__dict__.pop("_value", None)
 
 
 def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text") -> DataFrame:
@@ -208,7 +236,7 @@ def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_by
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in tidy(batches):
-            rows = list(scan_rows(batch.column(1), [b.value for b in blocks]))
+            rows = list(scan_rows(batch.column(1), _one_by_one(blocks)))
             words, hits, counts, names, longest, place = zip(*rows, strict=True) if rows else ([],) * 6
             digests = [hashlib.sha256(",".join(sorted(x)).encode()).hexdigest() for x in names]
             yield pa.record_batch(
@@ -228,7 +256,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, b
         for batch in tidy(batches):
             for low in range(0, batch.num_rows, ROWS):
                 part = batch.slice(low, ROWS)
-                clean = [hits == 0 for _, hits, *_ in scan_rows(part.column(place), [b.value for b in blocks], matches=False)]
+                clean = [hits == 0 for _, hits, *_ in scan_rows(part.column(place), _one_by_one(blocks), matches=False)]
                 yield part.filter(pa.array(clean, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
