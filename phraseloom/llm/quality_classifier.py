@@ -28,8 +28,8 @@ from phraseloom.llm.common import release_memory, tidy
 
 FOLDS = 5
 THRESHOLD = 0.3
-MAX_POSITIVE = 6_000
-MAX_UNLABELLED = 8_000
+MAX_POSITIVE = 10_000
+MAX_UNLABELLED = 20_000
 SLICE = 1 << 19
 ROWS = 1024
 
@@ -87,11 +87,19 @@ class Model:
 
 
 def fit(positive: np.ndarray, unlabelled: np.ndarray, prior: float, steps: int = 500, rate: float = 0.03, decay: float = 1e-3) -> Model:
-    """Adam on the non-negative risk; where the corrected negative part falls below zero its gradient is turned round."""
+    """Adam on the non-negative risk; where the corrected negative part falls below zero its gradient is turned round.
+
+    Both arrays of float32 rows are standardised in place, so that no second copy is held.
+    """
     if not len(positive) or not len(unlabelled):
         return Model(np.zeros(N_FEATURES), np.ones(N_FEATURES), np.zeros(N_FEATURES), 0.0, 0.5)
-    mean, scale = unlabelled.mean(axis=0), unlabelled.std(axis=0) + 1e-3
-    p, u = (np.clip((x - mean) / scale, -6, 6, dtype=np.float32) for x in (positive, unlabelled))
+    mean = unlabelled.mean(axis=0)
+    scale = np.sqrt(np.array([np.square(unlabelled[:, c] - mean[c]).mean() for c in range(unlabelled.shape[1])], np.float32)) + np.float32(1e-3)
+    p, u = positive, unlabelled
+    for x in (p, u):
+        x -= mean
+        x /= scale
+        np.clip(x, -6, 6, out=x)
     weights, bias = np.zeros(p.shape[1], np.float32), 0.0
     m, v = np.zeros(p.shape[1] + 1), np.zeros(p.shape[1] + 1)
     logistic = lambda z: 1 / (1 + np.exp(-np.clip(z, -40, 40)))
@@ -126,13 +134,20 @@ def train(docs: DataFrame, labels: DataFrame, max_positive: int = MAX_POSITIVE,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in tidy(batches):
             x = features(batch.column(1))
-            yield pa.record_batch([batch.column(0), batch.column(2), batch.column(3), pa.FixedSizeListArray.from_arrays(pa.array(x.reshape(-1)), N_FEATURES).cast(pa.list_(pa.float32()))], names=["id", "_p", "_u", "x"])
+            yield pa.record_batch([*(batch.column(c) for c in (0, 2, 3, 4)), pa.FixedSizeListArray.from_arrays(pa.array(x.reshape(-1)), N_FEATURES).cast(pa.list_(pa.float32()))], names=["id", "_p", "_u", "h", "x"])
 
     texts = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("_text")).join(F.broadcast(chosen), "id")  # at most max_positive + max_unlabelled keys
-    rows = texts.select("id", "_text", "_p", "_u").mapInArrow(run, "id long, _p int, _u int, x array<float>").dropDuplicates(["id"]).toArrow().sort_by("id")
-    x = rows.column("x").combine_chunks().flatten().to_numpy().reshape(-1, N_FEATURES)
-    model = fit(x[rows.column("_p").to_numpy() == 1], x[rows.column("_u").to_numpy() == 0], prior)
-    del x, rows
+    rows = texts.select("id", "_text", "_p", "_u", F.xxhash64("_text").alias("h")).mapInArrow(run, "id long, _p int, _u int, h long, x array<float>")
+    one = rows.groupBy("id").agg(F.min(F.struct("h", "_p", "_u", "x")).alias("r")).select("id", "r._p", "r._u", "r.x")  # of repeated keys the same one each time
+    got = one.toArrow()
+    order = np.argsort(got.column("id").to_numpy())
+    x = np.concatenate([c.flatten().to_numpy() for c in got.column("x").chunks] or [np.zeros(0, np.float32)]).reshape(-1, N_FEATURES)
+    known, free = got.column("_p").to_numpy()[order] == 1, got.column("_u").to_numpy()[order] == 0
+    del got
+    p, u = x[order[known]], x[order[free]]
+    del x
+    model = fit(p, u, prior)
+    del p, u
     release_memory()
     return model
 
