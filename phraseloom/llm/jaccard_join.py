@@ -9,9 +9,12 @@
 3. To begin with, sets that agree on a band of least hashes pair with the band's leader, then members outside a tile's
    main component with leaders of it. A pair of a tile passes when the prefix hits that it shares leave room for the needed overlap, then when the bit count of its XORed
    bitmaps does, and is then verified by intersecting the sorted arrays. Verified links give components.
-4. What is left to look at are pairs inside a tile whose members lie in different components: all of those run through
-   the same bounds, and every one of them is verified unless links found meanwhile have joined its components. So no
-   component is missed, and a large group of near copies, which leaders have joined, is not expanded into pairs.
+4. What is left to look at are pairs inside a tile whose members lie in different components. Such a pair meets in every
+   tile that it shares, but counts only where none of the ``PRIOR`` entries before it, in either set's order, is common: at
+   its first common shingle, and rarely once more. There the places leave room for the needed overlap, or it is no link.
+   Then the bit counts decide, and every pair that is left is verified unless links found meanwhile have joined its
+   components, likely ones first. So no component is missed, and a large group of near copies, which leaders have joined,
+   is not expanded into pairs.
 
 Defined cases: null and empty texts have no shingles and stand alone; shorter texts than a shingle are one shingle;
 repeated rows share their node; null keys take part and never become a component's id unless all of its keys are null;
@@ -29,7 +32,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from phraseloom.llm import byte_words as bw
-from phraseloom.llm.common import bit_set, drop_finished_shuffles, durable, is_lit, release_memory, tidy
+from phraseloom.llm.common import Scratch, bit_set, drop_finished_shuffles, durable, is_lit, release_memory, tidy
 from phraseloom.llm.components import components
 
 FREQUENT = 1 << 18
@@ -40,6 +43,8 @@ LEADERS = 8
 BANDS, BAND_ROWS = 16, 4
 #: Pairs that a node brings to each of the last rounds; the final one takes all that are left.
 LAST_ROUNDS = (1, 8, None)
+#: Entries just before one of the same set that tell whether a pair has met already.
+PRIOR = 6
 SALTS = 64
 SLICE = 1 << 19
 
@@ -125,7 +130,7 @@ def _loudness(values: np.ndarray, frequency: tuple[np.ndarray, np.ndarray]) -> n
 
 
 def _prefixes(docs: DataFrame, size: int, percent: int, frequency) -> DataFrame:
-    """``(node, n, keys, bands, bits)``: the rarest shingles, the least-hash bands, and the bitmap, of each distinct set that a task sees."""
+    """``(node, n, keys, bands, bits)``: the rarest shingles in order, the least-hash bands, and the bitmap, of each distinct set that a task sees."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table, seen = frequency.value, set()
@@ -141,7 +146,7 @@ def _prefixes(docs: DataFrame, size: int, percent: int, frequency) -> DataFrame:
                     seen.add(name)
                     most = n - -(-percent * n // 100) + 1
                     part = order[low:high]
-                    keys.append(np.partition(part, most - 1)[:most] if most < n else part)
+                    keys.append(np.sort(np.partition(part, most - 1)[:most] if most < n else part))
                     bands.append(_bands(values[low:high]))
                     bits.append(_bitmap(values[low:high]))
                     nodes.append(name[0])
@@ -184,19 +189,21 @@ def _band(percent: int) -> Column:
     return F.floor(F.log(F.col("n").cast("double")) / F.lit(-math.log(percent / 100)) + 1e-9).cast("int")
 
 
-def _tiles(prefixes: DataFrame, percent: int, parts: int) -> DataFrame:
-    """Prefix entries ``(key, node, n)`` that share their shingle with another node of a near size."""
+def _tiles(scratch: Scratch, prefixes: DataFrame, percent: int, parts: int) -> DataFrame:
+    """Prefix entries ``(key, node, n, at)`` that share their shingle with another node of a near size; ``at`` is the entry's place."""
     frequent = F.shiftrightunsigned("key", 56) != 0
-    entry = prefixes.select("node", "n", F.explode("keys").alias("key"))
+    entry = prefixes.select("node", F.col("n").cast("int").alias("n"), F.posexplode("keys").alias("at", "key"))
     dealt = entry.withColumn("salt", F.when(frequent, F.pmod("node", F.lit(SALTS))).otherwise(F.lit(0)).cast("int")).repartition(parts, "key", "salt")
     beside = Window.partitionBy("key", "salt").orderBy("node")
-    dealt = dealt.select("key", "node", "n", F.lag("node").over(beside).alias("before"), F.lead("node").over(beside).alias("after"))
+    dealt = dealt.select("key", "node", "n", "at", F.lag("node").over(beside).alias("before"), F.lead("node").over(beside).alias("after"))
     kept = dealt.where((frequent | F.col("before").isNotNull() | F.col("after").isNotNull()) & (F.col("before").isNull() | (F.col("before") != F.col("node"))))
-    kept = durable(kept.select("key", "node", "n", _band(percent).alias("band")))
+    kept = scratch.keep(kept.select("key", "node", "n", "at", _band(percent).alias("band")))
     tile = kept.groupBy("key", "band").agg(F.min("node").alias("low"), F.max("node").alias("high"))
     shared = tile.groupBy("key").agg(F.collect_list(F.struct("band", "low", "high")).alias("bands"), F.min("low").alias("low"), F.max("high").alias("high")).where("low != high").select("key", "bands")
     company = F.exists("bands", lambda b: (F.abs(b["band"] - F.col("band")) <= 1) & ((b["low"] != F.col("node")) | (b["high"] != F.col("node"))))
-    return kept.join(shared, "key").where(company).select("key", "node", "n")
+    tiles = scratch.keep(kept.join(shared, "key").where(company).select("key", "node", "n", "at"))
+    scratch.drop(kept)
+    return tiles
 
 
 def _bounded(pairs: DataFrame, percent: int) -> DataFrame:
@@ -237,21 +244,33 @@ def _fold(bits: Column, width: Column) -> Column:
     return F.when(F.size(bits) == width, bits).otherwise(folded)
 
 
+def _room(bits_a: Column, bits_b: Column) -> Column:
+    """The greatest intersection that the bit counts of two bitmaps allow."""
+    width = F.least(F.size(bits_a), F.size(bits_b))
+    apart = F.aggregate(F.zip_with(_fold(bits_a, width), _fold(bits_b, width), lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda acc, x: acc + x)
+    return F.floor((F.col("n_a") + F.col("n_b") - apart) / 2)
+
+
 def _near(percent: int) -> Column:
     """Do the bit counts of ``bits_a`` and ``bits_b`` leave room for the needed overlap?"""
-    width = F.least(F.size("bits_a"), F.size("bits_b"))
-    apart = F.aggregate(F.zip_with(_fold(F.col("bits_a"), width), _fold(F.col("bits_b"), width), lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda acc, x: acc + x)
-    return F.floor((F.col("n_a") + F.col("n_b") - apart) / 2) >= _needed(F.col("n_a"), F.col("n_b"), percent)
+    return _room(F.col("bits_a"), F.col("bits_b")) >= _needed(F.col("n_a"), F.col("n_b"), percent)
 
 
-def _verified(docs: DataFrame, pairs: DataFrame, profile: DataFrame, size: int, percent: int) -> DataFrame:
+def _close(docs: DataFrame, pairs: DataFrame, profile: DataFrame, size: int, percent: int) -> DataFrame:
     """Links ``(a, b)`` among candidate pairs: bitmap bound first, then the exact intersection."""
     pairs = durable(pairs)
-    nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
-    sets = _signed_sets(docs, nodes, profile, size)
+    sets = _signed_sets(docs, _nodes(pairs), profile, size)
     bits_a, bits_b = (sets.select(F.col("node").alias(x), F.col("bits").alias(f"bits_{x}")) for x in "ab")
-    close = pairs.join(bits_a, "a").join(bits_b, "b").where(_near(percent)).select("a", "b")
-    both = close.join(sets.select(F.col("node").alias("a"), F.col("shingles").alias("set_a")), "a").join(sets.select(F.col("node").alias("b"), F.col("shingles").alias("set_b")), "b")
+    return _verified(pairs.join(bits_a, "a").join(bits_b, "b").where(_near(percent)), sets, percent)
+
+
+def _nodes(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
+
+
+def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs ``(a, b)`` whose sorted arrays intersect as needed."""
+    both = pairs.select("a", "b").join(sets.select(F.col("node").alias("a"), F.col("shingles").alias("set_a")), "a").join(sets.select(F.col("node").alias("b"), F.col("shingles").alias("set_b")), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in tidy(batches):
@@ -265,12 +284,14 @@ def _verified(docs: DataFrame, pairs: DataFrame, profile: DataFrame, size: int,
     return durable(both.select("a", "b", "set_a", "set_b").mapInArrow(run, "a long, b long"))
 
 
-def _mixed(tiles: DataFrame, links: DataFrame) -> DataFrame:
-    """Entries ``(key, node, n, root, main)`` of the tiles that hold several components; main is the largest there."""
-    labelled = durable(tiles.join(components(links), "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root")))
+def _mixed(scratch: Scratch, tiles: DataFrame, links: DataFrame) -> DataFrame:
+    """Entries ``(key, node, n, at, root, main)`` of the tiles that hold several components; main is the largest there."""
+    labelled = scratch.keep(tiles.join(components(links), "node", "left").select("key", "node", "n", "at", F.coalesce("root", "node").alias("root")))
     held = labelled.groupBy("key", "root").agg(F.count(F.lit(1)).alias("held"))
     mixed = held.groupBy("key").agg(F.max_by("root", F.struct("held", "root")).alias("main"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 != r1").select("key", "main")
-    return labelled.join(mixed, "key")
+    entries = scratch.keep(labelled.join(mixed, "key"))
+    scratch.drop(labelled)
+    return entries
 
 
 def _led(entries: DataFrame, turn: int, percent: int) -> DataFrame:
@@ -285,14 +306,28 @@ def _led(entries: DataFrame, turn: int, percent: int) -> DataFrame:
     return _closest(_bounded(met.withColumn("hits", 2 * F.col("hits")), percent), 2)
 
 
-def _closest(pairs: DataFrame, most: int | None) -> DataFrame:
-    """Each first node's pairs of most hits."""
+def _closest(pairs: DataFrame, most: int | None, by: str = "hits") -> DataFrame:
+    """Each first node's pairs of the greatest ``by``."""
     if most is None:
         return pairs
-    order = Window.partitionBy("a").orderBy(F.desc("hits"), "b")
+    order = Window.partitionBy("a").orderBy(F.desc(by), "b")
     return pairs.withColumn("place", F.row_number().over(order)).where(F.col("place") <= most).drop("place")
 
 
+def _open_pairs(entries: DataFrame, prefixes: DataFrame, percent: int) -> DataFrame:
+    """Pairs ``(a, b, room)`` across components that sizes, places and bit counts still allow, of a tile's minor members with all others."""
+    bits = prefixes.select("node", "bits").join(entries.select("node").distinct(), "node", "left_semi").dropDuplicates(["node"])
+    own = Window.partitionBy("node").orderBy("at")
+    prior = F.filter(F.array(*[F.lag("key", k).over(own) for k in range(1, PRIOR + 1)]), lambda k: k.isNotNull())
+    entries = entries.select("key", "node", "n", (F.col("n") - F.col("at")).alias("rest"), "root", (F.col("root") == F.col("main")).alias("is_main"), prior.alias("prior")).join(bits, "node")
+    columns = ("node", "n", "rest", "root", "is_main", "prior", "bits")
+    minor, other = (entries.select("key", *[F.col(c).alias(f"{c}_{x}") for c in columns]) for x in "ab")
+    apart = (F.col("root_a") != F.col("root_b")) & (F.col("is_main_b") | (F.col("node_a") < F.col("node_b"))) & (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
+    reach = F.least("rest_a", "rest_b") >= _needed(F.col("n_a"), F.col("n_b"), percent)
+    met = minor.where("not is_main_a").join(other, "key").where(apart & reach & ~F.arrays_overlap("prior_a", "prior_b") & _near(percent))
+    return met.select(F.least("node_a", "node_b").alias("a"), F.greatest("node_a", "node_b").alias("b"), _room(F.col("bits_a"), F.col("bits_b")).alias("room")).groupBy("a", "b").agg(F.max("room").alias("room"))
+
+
 def _across(pairs: DataFrame, links: DataFrame) -> DataFrame:
     """The pairs whose nodes lie in different components."""
     roots = durable(components(links))
@@ -309,28 +344,25 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 85, key: str
     frequency = spark.sparkContext.broadcast(_frequency(profile))
     own = profile.where(F.col("shingle").isNull()).select("doc_id", "text_hash", "n", "node")
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    prefixes = durable(_prefixes(rows, size, percent, frequency))
-    tiles = durable(_tiles(prefixes, percent, parts))
+    scratch = Scratch(spark)
+    prefixes = scratch.keep(_prefixes(rows, size, percent, frequency))
+    tiles = _tiles(scratch, prefixes, percent, parts)
     drop_finished_shuffles(spark)
-    links = _verified(rows, _alike(prefixes, percent), own, size, percent)
+    links = _close(rows, _alike(prefixes, percent), own, size, percent)
     for turn in range(ROUNDS):
-        links = links.unionByName(_verified(rows, _led(_mixed(tiles, links), turn, percent), own, size, percent))
-
-    open_ = durable(_mixed(tiles, links).drop("n"))
-    bits = prefixes.select("node", "n", "bits").join(open_.select("node").distinct(), "node", "left_semi").dropDuplicates(["node"])
-    open_ = open_.join(bits, "node")
-    minor = open_.where("root != main").select("key", *[F.col(c).alias(f"{c}_a") for c in ("node", "n", "root", "bits")])
-    other = open_.select("key", *[F.col(c).alias(f"{c}_b") for c in ("node", "n", "root", "bits")], (F.col("root") == F.col("main")).alias("is_main"))
-    fits = (F.col("root_a") != F.col("root_b")) & (F.col("is_main") | (F.col("node_a") < F.col("node_b"))) & (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b"))
-    met = minor.join(other, "key").where(fits & _near(percent))
-    first = F.col("node_a") < F.col("node_b")
-    rest = met.select(F.least("node_a", "node_b").alias("a"), F.greatest("node_a", "node_b").alias("b"), F.when(first, F.col("n_a")).otherwise(F.col("n_b")).alias("n_a"), F.when(first, F.col("n_b")).otherwise(F.col("n_a")).alias("n_b"))
-    rest = rest.groupBy("a", "b", "n_a", "n_b").agg(F.count(F.lit(1)).alias("hits"))
-    rest = durable(_bounded(rest, percent))
+        entries = _mixed(scratch, tiles, links)
+        links = links.unionByName(_close(rows, _led(entries, turn, percent), own, size, percent))
+        scratch.drop(entries)
+
+    entries = _mixed(scratch, tiles, links)
+    scratch.drop(tiles)
+    rest = durable(_open_pairs(entries, prefixes, percent))
+    scratch.drop(entries, prefixes)
     drop_finished_shuffles(spark)
+    sets = _signed_sets(rows, _nodes(rest), own, size)
     for most in LAST_ROUNDS:
         rest = durable(_across(rest, links))
-        links = links.unionByName(_verified(rows, _closest(rest, most), own, size, percent))
+        links = links.unionByName(_verified(_closest(rest, most, "room"), sets, percent))
     roots = components(links)
 
     least = own.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("least")).join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("group"))
