@@ -7,7 +7,7 @@ Strings are Python strings (one code point per symbol); sequences of other symbo
 from __future__ import annotations
 
 from bisect import bisect_left
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 
@@ -79,14 +79,17 @@ def parse_with_sources(s: str, overlap: bool = True) -> Iterator[tuple[int, int,
             yield lo, hi, None, s[lo - 1]
 
 
-def decode(phrases: list[tuple[int, int, int | None, str | None]]) -> str:
+def decode(phrases: Iterable[tuple[int, int, int | None, str | None]]) -> str:
     out: list[str] = []
     for lo, hi, source, symbol in phrases:
         if symbol is not None:
             out.append(symbol)
         else:
-            for k in range(hi - lo + 1):  # one at a time: a source may run into its own copy
-                out.append(out[source - 1 + k])
+            size = hi - lo + 1
+            copied = out[source - 1 : source - 1 + size]
+            while len(copied) < size:  # a source that runs into its own copy repeats
+                copied += copied[: size - len(copied)]
+            out += copied
     return "".join(out)
 
 
@@ -115,23 +118,142 @@ def codes(s: str) -> np.ndarray:
 
 
 def suffix_array(s: str) -> np.ndarray:
-    """0-based places in the order of their suffixes, by prefix doubling."""
-    rank = np.unique(codes(s), return_inverse=True)[1].astype(np.int64) + 1
-    n, k = len(rank), 1
-    order = np.argsort(rank, kind="stable")
-    while n and k <= n:
-        ahead = np.zeros(n, np.int64)
-        ahead[: n - k] = rank[k:] if k < n else 0
-        key = rank * (n + 2) + ahead
-        order = np.argsort(key, kind="stable")
-        fresh = np.ones(n, np.int64)
-        fresh[1:] = key[order[1:]] != key[order[:-1]]
-        rank = np.empty(n, np.int64)
-        rank[order] = np.cumsum(fresh)
-        if rank[order[-1]] == n:
-            break
+    """0-based places in the order of their suffixes."""
+    return _order(*_joined([s])[:3])[0][1:] if s else np.zeros(0, np.int64)
+
+
+def _joined(texts: list[str]) -> tuple[np.ndarray, np.ndarray, int, np.ndarray]:
+    """Symbols of all texts as small numbers, each text closed by one 0; the text of every place; bits a symbol; first places."""
+    c = codes("".join(texts))
+    sizes = np.array([len(t) for t in texts], np.int64)
+    number = np.zeros(int(c.max(initial=0)) + 1, np.int64)
+    number[c] = 1
+    number = np.cumsum(number)
+    starts = np.concatenate([[0], np.cumsum(sizes + 1)[:-1]])
+    home = np.repeat(np.arange(len(texts)), sizes + 1)
+    x = np.zeros(len(home), np.int64)
+    inside = np.ones(len(home), bool)
+    inside[starts + sizes] = False
+    x[inside] = number[c]
+    return x, home, int(x.max(initial=1)).bit_length(), starts
+
+
+def _packed(x: np.ndarray, bits: int, per: int) -> np.ndarray:
+    """The next ``per`` symbols of each place as one number (0 behind the end)."""
+    padded = np.concatenate([x, np.zeros(per, np.int64)])
+    key = np.zeros(len(x), np.int64)
+    for t in range(per):
+        key = key << bits | padded[t : t + len(x)]
+    return key
+
+
+def _order(x: np.ndarray, home: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray, int]:
+    """Places by text and suffix, the packed symbols, and how many are packed.
+
+    Packed symbols sort most suffixes at once; prefix doubling goes on inside the groups that are still equal. Equal
+    members of a group lie in one text and so do their next k symbols, as the closing 0s would differ.
+    """
+    n, room = len(x), 62 - int(home[-1]).bit_length()
+    per = max(1, room // bits)
+    key = _packed(x, bits, per)
+    order = np.argsort(home << (per * bits) | key, kind="stable")
+    new = np.ones(n + 1, bool)
+    new[1:n] = (key[order[1:]] != key[order[:-1]]) | (home[order[1:]] != home[order[:-1]])
+    rank = np.empty(n, np.int64)
+    rank[order] = np.maximum.accumulate(np.where(new[:n], np.arange(n), 0))
+    rows = np.flatnonzero(~(new[:n] & new[1:]))
+    k = per
+    while len(rows):
+        places = order[rows]
+        pair = rank[places] * n + rank[places + k]
+        turn = np.argsort(pair, kind="stable")
+        places, pair = places[turn], pair[turn]
+        order[rows] = places
+        new = np.ones(len(rows) + 1, bool)
+        new[1:-1] = pair[1:] != pair[:-1]
+        rank[places] = np.maximum.accumulate(np.where(new[:-1], rows, 0))
+        rows = rows[~(new[:-1] & new[1:])]
         k *= 2
-    return order
+    return order, key, per
+
+
+def _nearest_smaller(values: np.ndarray) -> np.ndarray:
+    """Index of the nearest smaller value to the left (-1: none), by pointer jumping over larger ones.
+
+    Chains that jumping shortens too slowly (runs of one symbol beside others) end in one walk in rising order, from the left
+    neighbour on over final pointers, which passes every place once.
+    """
+    n = len(values)
+    closed = np.append(values, -1)  # index -1 reads this end
+    jump = np.arange(n) - 1
+    open_ = np.flatnonzero(closed[jump] > values)
+    for _ in range(48):
+        jump[open_] = jump[jump[open_]]
+        open_ = open_[closed[jump[open_]] > values[open_]]
+    if len(open_):
+        to, at = jump.tolist(), closed.tolist()
+        for i in open_.tolist():
+            j = i - 1
+            while at[j] > at[i]:
+                j = to[j]
+            to[i] = j
+        jump = np.array(to, np.int64)
+    return jump
+
+
+def _earlier(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray, int]:
+    """Both earlier neighbours in suffix order of every place (-1: none in its text), symbols they share up to a limit, first places, limit."""
+    x, home, bits, starts = _joined(texts)
+    order, key, per = _order(x, home, bits)
+    n = len(order)
+    out = []
+    for values, back in ((order, False), (order[::-1], True)):
+        jump = _nearest_smaller(values)
+        near = np.full(n, -1, np.int64)
+        near[values] = np.where(jump >= 0, values[jump], -1)
+        near[near < starts[home]] = -1  # a neighbour in another text
+        out.append(near)
+        differ = key ^ key[near]
+        differ &= ~(differ >> 1)  # the highest bit stays, and rounding to a float cannot pass it
+        shared = (per * bits - np.frexp(differ.astype(np.float64))[1]) // bits
+        shared[near < 0] = 0
+        out.append(shared)
+    return (*out, starts, per)
+
+
+def parse_many(texts: list[str]) -> Iterator[list[tuple[int, int, int, int]]]:
+    """For each text its phrases ``(lo, hi, length, source)``; length and source 0 mark a fresh symbol.
+
+    One suffix order serves all texts. A longest previous factor starts at the nearest earlier place on either side of
+    that order; symbols are compared at phrase starts only, so the comparisons add up to the texts' lengths.
+    """
+    if not texts:
+        return
+    left, left_shared, right, right_shared, starts, limit = _earlier(texts)
+    for s, start in zip(texts, starts.tolist(), strict=True):
+        part = slice(start, start + len(s))
+        sides = left[part].tolist(), left_shared[part].tolist(), right[part].tolist(), right_shared[part].tolist()
+        yield _phrases(s, start, limit, *sides)
+
+
+def _phrases(s: str, start: int, limit: int, left: list[int], left_shared: list[int], right: list[int], right_shared: list[int]) -> list[tuple[int, int, int, int]]:
+    out, i, n = [], 0, len(s)
+    while i < n:
+        length, source = left_shared[i], left[i]
+        if length >= limit:
+            length = agreement(s, source - start, i, limit)
+        other = right_shared[i]
+        if other >= limit:
+            other = agreement(s, right[i] - start, i, limit)
+        if other > length:
+            length, source = other, right[i]
+        if length:
+            out.append((i + 1, i + length, length, source - start + 1))
+            i += length
+        else:
+            i += 1
+            out.append((i, i, 0, 0))
+    return out
 
 
 def lcp_array(s: str, order: np.ndarray) -> np.ndarray:

@@ -10,7 +10,11 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from phraseloom.functions.kernels import parse_many
+
 ROWS_OUT = 20_000
+#: Symbols that are parsed together; the arrays of a group stay near the processor's cache.
+SYMBOLS = 1 << 17
 
 
 def strings(table: DataFrame, key: str, body: str) -> DataFrame:
@@ -43,5 +47,39 @@ def flat_map(rows: DataFrame, kernel: Callable[..., Iterable[tuple]], schema: st
     return rows.mapInArrow(run, kind)
 
 
+def flat_map_parsed(rows: DataFrame, kernel: Callable[[int, str, list[tuple]], Iterable[tuple]], schema: str) -> DataFrame:
+    """``kernel`` on the id, the string, and its greedy parse ``(lo, hi, length, source)``, for rows ``(sid, body)``.
+
+    Strings are parsed in groups of ``SYMBOLS`` symbols, one suffix order a group; a longer string is a group of its own.
+    """
+    kind = T._parse_datatype_string(schema)
+    arrow = to_arrow_schema(kind)
+
+    def groups(batches: Iterator[pa.RecordBatch]) -> Iterator[list[tuple[int, str]]]:
+        held, size = [], 0
+        for batch in batches:
+            for sid, body in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if held and size + len(body) > SYMBOLS:
+                    yield held
+                    held, size = [], 0
+                held.append((sid, body))
+                size += len(body) + 1
+        if held:
+            yield held
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out: list[tuple] = []
+        for held in groups(batches):
+            for (sid, body), phrases in zip(held, parse_many([body for _, body in held]), strict=True):
+                out.extend(kernel(sid, body, phrases))
+                if len(out) >= ROWS_OUT:
+                    yield _batch(out, arrow)
+                    out = []
+        if out:
+            yield _batch(out, arrow)
+
+    return rows.select("sid", "body").mapInArrow(run, kind)
+
+
 def _batch(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
     return pa.record_batch([pa.array(c, type=f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)

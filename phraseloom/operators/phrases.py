@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from phraseloom.functions import kernels as k
-from phraseloom.operators.per_string import flat_map
+from phraseloom.operators.per_string import flat_map, flat_map_parsed
 
 PHRASES = "sid long, ord long, lo long, hi long, src long, sym string"
 
@@ -45,20 +45,21 @@ def forest(reaches: DataFrame) -> DataFrame:
 
 def parse(strings: DataFrame) -> DataFrame:
     """Phrases; a copy's source is its rightmost earlier start."""
-    return flat_map(strings.select("sid", "body"), lambda sid, s: [(sid, o, *p) for o, p in enumerate(k.parse_with_sources(s), 1)], PHRASES)
 
+    def kernel(sid: int, s: str, parsed: list[tuple]) -> list[tuple]:
+        return [(sid, o, lo, hi, *((s.rfind(s[lo - 1 : hi], 0, hi - 1) + 1, None) if length else (None, s[lo - 1]))) for o, (lo, hi, length, _) in enumerate(parsed, 1)]
 
-def parse_stats(strings: DataFrame, overlap: bool = True) -> DataFrame:
+    return flat_map_parsed(strings, kernel, PHRASES)
+
+
+def parse_stats(strings: DataFrame) -> DataFrame:
     """``(sid, n, phrases, copies, literals, ints)``; the phrases themselves never leave the task."""
 
-    def kernel(sid: int, s: str) -> list[tuple]:
-        phrases = copies = 0
-        for _, _, length in k.parse(s, overlap):
-            phrases += 1
-            copies += length > 0
+    def kernel(sid: int, s: str, parsed: list[tuple]) -> list[tuple]:
+        phrases, copies = len(parsed), sum(length > 0 for _, _, length, _ in parsed)
         return [(sid, len(s), phrases, copies, phrases - copies, 2 * copies + phrases - copies)]
 
-    return flat_map(strings.select("sid", "body"), kernel, "sid long, n long, phrases long, copies long, literals long, ints long")
+    return flat_map_parsed(strings, kernel, "sid long, n long, phrases long, copies long, literals long, ints long")
 
 
 def parse_no_overlap(strings: DataFrame) -> DataFrame:
@@ -110,14 +111,14 @@ def valid_factorization(strings: DataFrame, phrases: DataFrame) -> DataFrame:
 
 
 def roundtrip(strings: DataFrame) -> DataFrame:
-    """Digest of the decoded code of each string."""
+    """Digest of the decoded code of each string; any earlier start is a source here."""
     import hashlib
 
-    def kernel(sid: int, s: str) -> list[tuple]:
-        back = k.decode(list(k.parse_with_sources(s)))
+    def kernel(sid: int, s: str, parsed: list[tuple]) -> list[tuple]:
+        back = k.decode((lo, hi, source or None, None if length else s[lo - 1]) for lo, hi, length, source in parsed)
         return [(sid, len(back), hashlib.md5(back.encode("utf-8", "surrogatepass")).hexdigest())]
 
-    return flat_map(strings.select("sid", "body"), kernel, "sid long, n long, digest string")
+    return flat_map_parsed(strings, kernel, "sid long, n long, digest string")
 
 
 def ancestors(parents: DataFrame, levels: int) -> list[DataFrame]:

@@ -100,6 +100,21 @@ def test_partitions_stay_valid(n, level, ops):
         assert part.valid()
 
 
+@given(st.lists(texts, max_size=5))
+@settings(max_examples=300, deadline=None)
+def test_strings_parsed_together(several):
+    for s, phrases in zip(several, k.parse_many(several), strict=True):
+        assert [p[:3] for p in phrases] == list(k.parse(s))
+        assert all(source < lo and s[source - 1 : source - 1 + length] == s[lo - 1 : hi] for lo, hi, length, source in phrases if length)
+        assert k.decode((lo, hi, source or None, None if length else s[lo - 1]) for lo, hi, length, source in phrases) == s
+        assert k.suffix_array(s).tolist() == sorted(range(len(s)), key=lambda i: s[i:])
+
+
+def test_long_runs_beside_other_symbols():
+    s = "ab" * 300 + "c" * 5000 + "ab" * 2500
+    assert [p[:3] for p in next(k.parse_many([s]))] == list(k.parse(s))
+
+
 def test_long_strings_use_the_suffix_array():
     s = "ab" * 2000 + "x" + "ab" * 1500
     assert k.lpf(s)[4001] == 3000 and len(list(k.parse(s))) == 5
