@@ -68,6 +68,9 @@ class Log:
     critical: int = 0
     clusters: int = 0
     sizes: dict[str, int] = field(default_factory=lambda: {"super_light": 0, "light": 0, "left_heavy": 0, "right_heavy": 0})
+    #: Nodes by class; heavy ones by the definition, without block starts that are set although their factors end inside the block.
+    members: dict[str, set[int]] = field(default_factory=lambda: {"left_heavy": set(), "right_heavy": set()})
+    critical_parts: dict[str, int] = field(default_factory=lambda: {"starts": 0, "end": 0, "near": 0})
 
 
 def apply_edit(s: str, op: str, z: int, symbol: str | None) -> str:
@@ -134,6 +137,7 @@ def transition(s: str, op: str, z: int, symbol: str | None, m: int | None = None
 
     log.active = sum(now[k] != (z + 1 if op == "del" and old.get(k) == z else old.get(k)) for k in now)
     log.touched = len(set().union(*classes.values()))
+    log.members |= {name: classes[name] for name in ("super_light", "light")}
     log.sizes = {name: len(nodes) for name, nodes in classes.items()}
     log.factor_probes, log.match_probes = len(before.memory) + len(after.memory), before.matches + after.matches
     return new, [after.pos(now[after.node(i)]) for i in range(1, len(new) + 1)], log
@@ -161,12 +165,17 @@ def _heavy(name: str, before: OnDemand, after: OnDemand, z: int, lo: int, hi: in
                 pairs = [(first, first + width - 1), (last, end)]
                 if first + period <= last:
                     pairs.insert(1, (first + period, first + period + width - 1))
+                begin, at = first, before.pos(first) - 1
+                while begin > piece_low and text[at - 1] == text[at - 1 + period]:
+                    begin, at = begin - 1, at - 1
             for i, j in pairs:
-                lists = [[t.node(x) for x in t.critical(t.pos(i), t.pos(j))] for t in (before, after)]
+                lists = critical_lists(before, after, i, j)
                 log.critical += sum(map(len, lists))
-                floor = max(min(x) for x in lists)
-                cuts = sorted({x for part in lists for x in part if floor <= x <= i})
-                for a, b in zip(cuts, [*[c - 1 for c in cuts[1:]], cuts[-1]], strict=True):
+                beyond = all(t.reach(t.pos(i)) > t.pos(j) for t in (before, after))
+                if not every:
+                    part = "near" if begin - 1 <= z <= end + 1 else "end" if (i, j) == (last, end) else "starts"
+                    log.critical_parts[part] += sum(map(len, lists))
+                for a, b in clean_intervals(lists, i):
                     head = a if present(a) else a + 1
                     if head > b or not present(head):
                         continue
@@ -174,6 +183,20 @@ def _heavy(name: str, before: OnDemand, after: OnDemand, z: int, lo: int, hi: in
                     log.moves += 1
                     for node in range(head, b + 1):
                         set_parent(name, node, parent)
+                    if beyond:
+                        log.members[name].update(range(head, b + 1))
+
+
+def critical_lists(before: OnDemand, after: OnDemand, i: int, j: int) -> list[list[int]]:
+    """Nodes of the critical indices of the block i..j in the old and in the new string."""
+    return [[t.node(x) for x in t.critical(t.pos(i), t.pos(j))] for t in (before, after)]
+
+
+def clean_intervals(lists: list[list[int]], i: int) -> list[tuple[int, int]]:
+    """Intervals up to i inside which no parent changes, in either string; they begin where both lists have begun."""
+    floor = max(min(x) for x in lists)
+    cuts = sorted({x for part in lists for x in part if floor <= x <= i})
+    return list(zip(cuts, [*[c - 1 for c in cuts[1:]], cuts[-1]], strict=True))
 
 
 def parents_of(s: str) -> list[int]:
