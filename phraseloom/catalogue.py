@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from phraseloom.functions.kernels import parse_many
 from phraseloom.operators import phrases as ph
 from phraseloom.plans import oracles as o
 from phraseloom.sources import tables as src
@@ -181,6 +183,24 @@ def agg_percentile(spark: SparkSession, d: str) -> DataFrame:
     return _docs(spark, d).groupBy("lang").agg(F.percentile("n_chars", 0.5).cast("double").alias("median"))
 
 
+@query("agg_udaf", o.phrases(o.PARTS, "SELECT p_brand, sum(c) AS phrases, max(c) AS most FROM (SELECT sid, count(*) AS c FROM w GROUP BY sid) JOIN part ON p_partkey = sid GROUP BY p_brand").replace("sum(c)", "CAST(sum(c) AS BIGINT)"))
+def agg_udaf(spark: SparkSession, d: str) -> DataFrame:
+    """An aggregate function of its own: phrases per brand, counted by name inside and added outside, so that no group meets in one task."""
+
+    @F.pandas_udf("long")
+    def phrases_of(names: pd.Series) -> int:
+        return sum(map(len, parse_many(names.tolist())))
+
+    parts = src.table(spark, d, "part").where("p_name IS NOT NULL")
+    return parts.groupBy("p_brand", "p_partkey").agg(phrases_of("p_name").alias("c")).groupBy("p_brand").agg(F.sum("c").alias("phrases"), F.max("c").alias("most"))
+
+
+@query("join_theta", "SELECT n_name, r_name FROM nation JOIN region ON n_regionkey < r_regionkey AND length(n_name) > length(r_name) - 3")
+def join_theta(spark: SparkSession, d: str) -> DataFrame:
+    """No key at all: two tables whose sizes the schema fixes."""
+    return src.table(spark, d, "nation").join(F.broadcast(src.table(spark, d, "region")), (F.col("n_regionkey") < F.col("r_regionkey")) & (F.char_length("n_name") > F.char_length("r_name") - 3)).select("n_name", "r_name")
+
+
 @query("agg_approx_words")
 def agg_approx_words(spark: SparkSession, d: str) -> DataFrame:
     """Approximate distinct words per language, beside the exact operators (sizes that never fit exact counting)."""

@@ -12,18 +12,23 @@ from phraseloom.operators.per_string import flat_map
 COUNTS = "sid long, seq long, n long, phrases long"
 
 
-def edit_script(strings: DataFrame, edits: int = 3, kinds: tuple[str, ...] = ("sub", "ins", "del"), alphabet: str = "aeinrst") -> DataFrame:
-    """A script that arithmetic on ``sid`` and ``seq`` fixes: ``(sid, body, ops)``, ops of ``seq, op, pos, sym`` in order.
+def edit_rows(strings: DataFrame, edits: int = 3, kinds: tuple[str, ...] = ("sub", "ins", "del"), alphabet: str = "aeinrst") -> DataFrame:
+    """Edits that arithmetic on ``sid`` and ``seq`` fixes, one a row: ``(sid, body, seq, op, pos, sym)``.
 
-    The position is taken modulo the shortest length that the script can reach.
+    The position is taken modulo the shortest length that the edits can reach.
     """
     n = F.greatest(F.char_length("body") - edits, F.lit(1))
     op = F.element_at(F.array(*map(F.lit, kinds)), (F.pmod(F.col("q"), F.lit(len(kinds))) + 1).cast("int"))
     rows = strings.where(F.char_length("body") > edits).select("sid", "body", F.explode(F.sequence(F.lit(1), F.lit(edits))).alias("q"))
     pos = 1 + F.pmod(7 * F.col("sid") + 13 * F.col("q"), n.cast("long"))
     sym = F.substring(F.lit(alphabet), (F.pmod(F.col("sid") + F.col("q"), F.lit(len(alphabet))) + 1).cast("int"), F.lit(1))
-    entry = F.struct(F.col("q").cast("long").alias("seq"), op.alias("op"), pos.alias("pos"), sym.alias("sym"))
-    return rows.groupBy("sid", "body").agg(F.array_sort(F.collect_list(entry)).alias("ops"))
+    return rows.select("sid", "body", F.col("q").cast("long").alias("seq"), op.alias("op"), pos.alias("pos"), sym.alias("sym"))
+
+
+def edit_script(strings: DataFrame, edits: int = 3, kinds: tuple[str, ...] = ("sub", "ins", "del"), alphabet: str = "aeinrst") -> DataFrame:
+    """The edits of each string in order: ``(sid, body, ops)``."""
+    entry = F.struct("seq", "op", "pos", "sym")
+    return edit_rows(strings, edits, kinds, alphabet).groupBy("sid", "body").agg(F.array_sort(F.collect_list(entry)).alias("ops"))
 
 
 def replay_transition(scripts: DataFrame, m: int | None = None, all_occurrences: bool = False) -> DataFrame:

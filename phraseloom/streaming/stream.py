@@ -12,8 +12,10 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from phraseloom.functions import kernels as k
 from phraseloom.functions import transition as t
+from phraseloom.operators.changes import edit_rows
 from phraseloom.operators.per_string import flat_map
 from phraseloom.plans.folders import shared_folder
+from phraseloom.sources.tables import part_names
 
 
 def event_stream(spark: SparkSession, sf_dir: str, table: str = "events") -> DataFrame:
@@ -107,6 +109,23 @@ def replay_edits(edits: DataFrame, bodies: DataFrame) -> DataFrame:
     return joined.groupBy("sid").applyInPandasWithState(step, "sid long, seq long, n long, phrases long", held, "append", GroupStateTimeout.NoTimeout)
 
 
+def edit_counts(spark: SparkSession, sf_dir: str, kinds: tuple[str, ...]) -> DataFrame:
+    """``replay_edits`` on three edits of every part name, the part table read as a stream."""
+    schema = spark.read.parquet(f"{sf_dir}/part.parquet").schema
+    parts = spark.readStream.schema(schema).option("pathGlobFilter", "part.parquet").parquet(sf_dir)
+    edits = edit_rows(parts.select(F.col("p_partkey").alias("sid"), F.col("p_name").alias("body")), 3, kinds).drop("body")
+    return _finish(spark, replay_edits(edits, part_names(spark, sf_dir)), "append", ["sid", "seq"])
+
+
+def followed_by(spark: SparkSession, sf_dir: str, first: str, then: str, within: str, delay: str = "30 days") -> DataFrame:
+    """Pairs of event ids: each ``first`` with every ``then`` of the same user at most ``within`` later; both watermarks and the span bound the state."""
+    events = event_stream(spark, sf_dir).withWatermark("ts", delay)
+    a = events.where(F.col("event_type") == first).select(F.col("user_id").alias("u"), F.col("ts").alias("began"), F.col("event_id").alias(f"{first}_id"))
+    b = events.where(F.col("event_type") == then).select("user_id", "ts", F.col("event_id").alias(f"{then}_id"))
+    near = (F.col("u") == F.col("user_id")) & (F.col("ts") >= F.col("began")) & (F.col("ts") <= F.col("began") + F.expr(f"INTERVAL {within}"))
+    return _finish(spark, a.join(b, near).select(f"{first}_id", f"{then}_id"), "append", [])
+
+
 def windowed_strings(events: DataFrame, window) -> DataFrame:
     """``(user_id, start, body)``: the ordered string of each user's window."""
     entry = F.struct("ts", "event_id", F.substring("event_type", 1, 1).alias("sym"))

@@ -132,11 +132,12 @@ def compression_ratio(spark: SparkSession, d: str) -> DataFrame:
     return ph.parse_stats(src.passages(spark, d)).select("sid", "phrases", "ints", F.round(F.col("ints") / F.col("n"), 6).alias("ratio"))
 
 
-@query("forest_depths", o.phrases(o.PARTS, "SELECT sid, max(n) - max(n) + 1 AS node, count(*) AS depth FROM w GROUP BY sid"))
+@query("forest_depths", f"WITH RECURSIVE {o.factors(o.PARTS)}, h AS (SELECT sid, pos AS node, pos AS here, CAST(0 AS BIGINT) AS depth FROM f UNION ALL SELECT h.sid, node, reach[here], depth + 1 FROM h JOIN r ON r.sid = h.sid AND h.here <= r.n) SELECT sid, node, max(depth) AS depth FROM h GROUP BY sid, node")
 def forest_depths(spark: SparkSession, d: str) -> DataFrame:
+    """Phrases from every place to the end of the string."""
     reaches = ph.reach(ph.lpf_by_grams(src.part_names(spark, d)))
     longest = src.part_names(spark, d).agg(F.coalesce(F.max(F.char_length("body")), F.lit(1))).first()[0]
-    return ph.forest_depths(reaches, longest).where("node = 1").select("sid", F.col("node").cast("long").alias("node"), "depth")
+    return ph.forest_depths(reaches, longest)
 
 
 @query("forest_ancestor", o.lpf(o.PARTS, "SELECT sid, pos AS node, reach[reach[reach[pos]]] AS ancestor FROM r, LATERAL (SELECT unnest(range(1, n + 1)) AS pos) WHERE reach[reach[reach[pos]]] IS NOT NULL"))
@@ -244,6 +245,13 @@ def first_last_occurrence(spark: SparkSession, d: str) -> DataFrame:
     return st.first_last_occurrence(_patterned(src.passages(spark, d), 5, 2))
 
 
+@query("substring_exists", "WITH x AS (SELECT item_id AS sid, text AS body, reverse(substr(text, 4, 3)) AS pattern FROM benchmark WHERE length(text) >= 7) SELECT sid, pattern, contains(body, pattern) AS found FROM x")
+def substring_exists(spark: SparkSession, d: str) -> DataFrame:
+    """Does a pattern occur, three symbols of each passage read backwards: mostly it does not."""
+    patterned = _patterned(src.passages(spark, d), 4, 3).withColumn("pattern", F.reverse("pattern"))
+    return st.first_last_occurrence(patterned).join(patterned.select("sid", "pattern"), "sid").select("sid", "pattern", "found")
+
+
 @query("suffix_array", f"WITH s AS ({o.PASSAGES}), x AS (SELECT sid, pos, substr(body, pos) AS suffix FROM s, LATERAL (SELECT unnest(range(1, length(body) + 1)) AS pos)) SELECT sid, row_number() OVER (PARTITION BY sid ORDER BY suffix) AS rank, pos FROM x")
 def suffix_array(spark: SparkSession, d: str) -> DataFrame:
     return st.suffix_arrays(src.passages(spark, d))
@@ -575,6 +583,22 @@ _DAYS = "SELECT user_id * 1000000 + CAST(epoch_us(date_trunc('day', ts)) // 8640
 _WINDOW = "SELECT sid // 1000000 AS user_id, (sid % 1000000) * 86400000000 AS start_us, CAST(max(n) AS BIGINT) AS n, count(*) AS phrases FROM w GROUP BY sid"
 
 
+@query("stream_edit_replay", o.edited_counts(3, _KINDS["mixed"]))
+def stream_edit_replay(spark: SparkSession, d: str) -> DataFrame:
+    """Edits as a stream: keyed state holds each string and its forest, and every edit is one transition."""
+    from phraseloom.streaming import stream
+
+    return stream.edit_counts(spark, d, _KINDS["mixed"])
+
+
+@query("stream_join", "SELECT a.event_id AS click_id, b.event_id AS purchase_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 DAY WHERE a.event_type = 'click' AND b.event_type = 'purchase'")
+def stream_join(spark: SparkSession, d: str) -> DataFrame:
+    """Two streams: every click with the same user's purchases of the day after it."""
+    from phraseloom.streaming import stream
+
+    return stream.followed_by(spark, d, "click", "purchase", "1 day")
+
+
 @query("stream_tumbling", o.phrases(_DAYS.format(events="events"), _WINDOW))
 def stream_tumbling(spark: SparkSession, d: str) -> DataFrame:
     from phraseloom.streaming import stream
