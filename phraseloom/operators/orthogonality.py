@@ -2,19 +2,25 @@
 
 Vectors are the distinct sign patterns of a table; multiplicities carry the counts of all rows. ``patterns`` takes the
 first d <= 10 coordinates as an integer, so that at most 2^d vectors come to the driver. ``whole_patterns`` takes every
-coordinate as a string of 0 and 1; its operators (``whole_*``) cut A into blocks and bring nothing to the driver but a count.
+coordinate as a string of 0 and 1; its operators (``whole_*``) cut A into blocks; B is broadcast in groups, and nothing else comes to the driver but counts.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterable, Iterator
+from functools import lru_cache
 from math import isqrt
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from phraseloom.functions import gadgets as g
 from phraseloom.functions import kernels as k
-from phraseloom.operators.per_string import flat_map
+from phraseloom.operators.per_string import SYMBOLS as GROUP, flat_map
 
 MOST_DIMENSIONS = 10
 
@@ -170,13 +176,41 @@ def whole_join(a: DataFrame, b: DataFrame) -> DataFrame:
     return left.join(right, apart, "left").groupBy("u").agg(F.count("v").alias("orthogonal"), F.coalesce(F.sum(F.col("copies_u") * F.col("copies_v")), F.lit(0)).alias("row_pairs"))
 
 
-def _blocks(a: DataFrame, b: DataFrame, size: int) -> DataFrame:
-    """``(u, own)``: every pattern of B with every block of about ``size`` patterns of A."""
+#: Patterns of B that one kernel call holds at once.
+QUERIES_AT_ONCE = 4096
+ROWS_OUT = 1 << 16
+#: Closes a vector that has no separator of its own.
+STOP = chr(g.SEPARATORS - 1)
+
+
+def _numbered(a: DataFrame, size: int) -> DataFrame:
+    """A dealt to blocks of about ``size`` patterns."""
     count = max(1, -(-a.count() // size))
-    own = a.groupBy(F.pmod(F.xxhash64("bits"), F.lit(count)).alias("block")).agg(F.array_sort(F.collect_list("bits")).alias("own"))
+    return a.select("bits", F.pmod(F.xxhash64("bits"), F.lit(count)).alias("block"))
+
+
+def _blocks(a: DataFrame, b: DataFrame, size: int) -> DataFrame:
+    """``(own, us)``: every block of A with every group of patterns of B. The groups, one copy of B in all, are broadcast."""
+    own = _numbered(a, size).groupBy("block").agg(F.array_sort(F.collect_list("bits")).alias("own"))
+    groups = max(1, -(-b.count() // QUERIES_AT_ONCE))
+    us = b.groupBy(F.pmod(F.xxhash64("bits"), F.lit(groups)).alias("part")).agg(F.array_sort(F.collect_list("bits")).alias("us"))
     cores = a.sparkSession.sparkContext.defaultParallelism
-    # both sides are dealt out: either may be the one that is streamed
-    return b.select(F.col("bits").alias("u")).repartition(4 * cores, "u").crossJoin(own.repartition(4 * cores, "block").select("own"))
+    dealt = own.select("block", "own", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))).alias("part")).repartition(4 * cores, "block", "part")
+    return dealt.join(F.broadcast(us), "part").select("own", "us")
+
+
+def _block_map(rows: DataFrame, kernel: Callable[[list[str], list[str]], Iterable[list]], schema: str) -> DataFrame:
+    """``kernel`` on every pair of blocks; it gives whole columns."""
+    kind = T._parse_datatype_string(schema)
+    arrow = to_arrow_schema(kind)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for own, us in zip(batch.column(0), batch.column(1), strict=True):
+                for columns in kernel(own.as_py(), us.as_py()):
+                    yield pa.record_batch([c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, arrow, strict=True)], schema=arrow)
+
+    return rows.mapInArrow(run, kind)
 
 
 def _squared(own: list[str], d: int) -> list[int]:
@@ -184,63 +218,146 @@ def _squared(own: list[str], d: int) -> list[int]:
     return [int(v, 2) for v in own] + [(1 << d) - 1] * (root * root - len(own))
 
 
+def _coordinates(text: str, d: int) -> np.ndarray:
+    """The coordinate (from 0 on) of each symbol; 0 for separators."""
+    c = k.codes(text)
+    return np.where(c < ord(STOP), np.clip((c - g.FIRST) // 3 - 1, 0, d - 1), 0)
+
+
+def _steps(heads: list[str], tails: list[str]) -> np.ndarray:
+    """Where the phrase that begins at each place of the tails ends, for the head of the all-zeros and of the all-ones query; the tails joined.
+
+    All that a query changes in its head are its coordinates' pieces, each closed by separators and each made of symbols of its
+    own coordinate. So the longest previous factor at a symbol depends on the query's bit of that symbol's coordinate only,
+    and the two extreme queries give the factors of all.
+    """
+    out, group = [], max(1, GROUP // (len(heads[0]) + len(tails[0]) + 1))
+    for head in heads:
+        found = (x for i in range(0, len(tails), group) for x in k.lpf_many([head + tail for tail in tails[i : i + group]]))
+        out.append(np.concatenate([np.maximum(x[len(head) :], 1) for x in found]))
+    return np.arange(len(out[0])) + np.stack(out)
+
+
+def _walk(steps: np.ndarray, coordinate: np.ndarray, bits: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Phrases from each start to its end, one row for each start, one column for each query; all walk at once."""
+    (queries, d), n = bits.shape, steps.shape[1]
+    jump = np.append(steps, np.zeros((2, 1), np.int64), axis=1).astype(np.int32)
+    jump[:, ends] = ends  # who has arrived stays
+    coordinate = np.append(coordinate, 0).astype(np.int32)
+    jump, bit = jump.ravel(), (bits * np.int32(n + 1)).astype(np.int32).ravel()
+    at, end = np.repeat(starts.astype(np.int32), queries), np.repeat(ends.astype(np.int32), queries)
+    row = np.tile(np.arange(queries, dtype=np.int32) * d, len(starts))
+    count = np.zeros(len(at), np.int32)
+    while (open_ := at != end).any():
+        count += open_
+        at = jump[bit[row + coordinate[at]] + at]
+    return count.reshape(len(starts), queries)
+
+
+def _bits(us: list[str]) -> np.ndarray:
+    return np.array([list(u.encode()) for u in us], np.int32) - ord("0")
+
+
+def _counts(own: list[str], us: list[str]) -> np.ndarray:
+    """Phrases that cover each vector of a block (row) for each query (column)."""
+    d = len(us[0])
+    (zeros, blocks), (ones, _) = (query_strings(_squared(own, d), u, d) for u in (0, (1 << d) - 1))
+    tail = "".join(blocks)
+    ends = np.cumsum([len(x) for x in blocks])
+    starts = ends - [len(x) for x in blocks]
+    # a vector ends with its separator, which is a phrase of its own
+    return _walk(_steps([zeros, ones], [tail]), _coordinates(tail, d), _bits(us), starts[: len(own)], ends[: len(own)] - 1) + 1
+
+
+def _pairs(own: list[str], us: list[str], counts: np.ndarray) -> Iterator[tuple[pa.Array, pa.Array, np.ndarray]]:
+    """``(u, v, count)`` as columns, a few vectors at a time."""
+    names, width = pa.array(us), max(1, ROWS_OUT // len(us))
+    for i in range(0, len(own), width):
+        part = pa.array(own[i : i + width])
+        yield names.take(pa.array(np.tile(np.arange(len(us)), len(part)))), part.take(pa.array(np.repeat(np.arange(len(part)), len(us)))), counts[i : i + width].ravel().astype(np.int64)
+
+
 def whole_phrase_counts(a: DataFrame, b: DataFrame, size: int = 9) -> DataFrame:
     """``(u, v, phrases, orthogonal)`` for all pairs of patterns: d + 1 phrases cover an orthogonal vector's block, d + 2 another's."""
 
-    def kernel(u: str, own: list[str]) -> list[tuple]:
-        d = len(u)
-        counts = phrases_per_vector(_squared(own, d), int(u, 2), d)
-        return [(u, v, c, c == d + 1) for v, c in zip(own, counts, strict=False)]
+    def kernel(own: list[str], us: list[str]) -> Iterator[list]:
+        for u, v, c in _pairs(own, us, _counts(own, us)):
+            yield [u, v, c, c == len(us[0]) + 1]
 
-    return flat_map(_blocks(a, b, size), kernel, "u string, v string, phrases long, orthogonal boolean")
+    return _block_map(_blocks(a, b, size), kernel, "u string, v string, phrases long, orthogonal boolean")
 
 
 def whole_decide(a: DataFrame, b: DataFrame, size: int = 9) -> DataFrame:
-    """Per query pattern: phrases over all of A, orthogonal patterns, and whether there is one."""
-    per_block = whole_phrase_counts(a, b, size)
-    return per_block.groupBy("u").agg(F.sum("phrases").alias("phrases"), F.count_if("orthogonal").alias("orthogonal"), F.bool_or("orthogonal").alias("has_orthogonal"))
+    """Per query pattern: phrases over all of A, orthogonal patterns, and whether there is one; each block adds its own up."""
+
+    def kernel(own: list[str], us: list[str]) -> Iterator[list]:
+        counts = _counts(own, us)
+        yield [us, counts.sum(0, dtype=np.int64), (counts == len(us[0]) + 1).sum(0, dtype=np.int64)]
+
+    per_block = _block_map(_blocks(a, b, size), kernel, "u string, phrases long, orthogonal long")
+    return per_block.groupBy("u").agg(F.sum("phrases").alias("phrases"), F.sum("orthogonal").alias("orthogonal"), (F.sum("orthogonal") > 0).alias("has_orthogonal"))
+
+
+def _simple_head(u: int, d: int) -> str:
+    fresh = g.Fresh()
+    return g.simple_dictionary(d, fresh) + fresh() + g.simple_query(_vector(u, d), fresh) + fresh()
 
 
 def whole_pair_gadget(a: DataFrame, b: DataFrame, size: int = 256) -> DataFrame:
     """The single-pair construction for all pairs: d phrases cover an orthogonal vector's gadget, d + 1 another's."""
 
-    def kernel(u: str, own: list[str]) -> list[tuple]:
-        d, fresh, out = len(u), g.Fresh(), []
-        head = g.simple_dictionary(d, fresh) + fresh() + g.simple_query(_vector(int(u, 2), d), fresh) + fresh()
-        for v in own:
-            text, at, count = head + g.simple_vector(_vector(int(v, 2), d)), len(head), 0
-            while at < len(text):
-                at, count = at + max(1, k.earlier_factor(text, at)[0]), count + 1
-            out.append((u, v, count))
-        return out
+    def kernel(own: list[str], us: list[str]) -> Iterator[list]:
+        d = len(us[0])
+        tails = [g.simple_vector(_vector(int(v, 2), d)) + STOP for v in own]
+        steps = _steps([_simple_head(u, d) for u in (0, (1 << d) - 1)], tails)
+        ends = np.cumsum([len(tail) for tail in tails]) - 1
+        coordinate = _coordinates("".join(tails), d)
+        width = max(1, ROWS_OUT // len(us))
+        for i in range(0, len(own), width):
+            some = slice(i, i + width)
+            counts = _walk(steps, coordinate, _bits(us), ends[some] - 2 * d, ends[some])
+            yield from map(list, _pairs(own[some], us, counts))
 
-    return flat_map(_blocks(a, b, size), kernel, "u string, v string, phrases long")
+    return _block_map(_blocks(a, b, size), kernel, "u string, v string, phrases long")
 
 
 def whole_naive_set(a: DataFrame, b: DataFrame, size: int = 256) -> DataFrame:
     """The faulty construction, a block of A behind one query: ``(u, vectors, phrases)`` summed over the blocks."""
 
-    def kernel(u: str, own: list[str]) -> list[tuple]:
-        d, fresh = len(u), g.Fresh()
-        head = g.simple_dictionary(d, fresh) + fresh() + g.simple_query(_vector(int(u, 2), d), fresh) + fresh()
-        text, at, count = head + "".join(g.simple_vector(_vector(int(v, 2), d)) for v in own), len(head), 0
-        while at < len(text):
-            at, count = at + max(1, k.earlier_factor(text, at)[0]), count + 1
-        return [(u, len(own), count)]
+    def kernel(own: list[str], us: list[str]) -> Iterator[list]:
+        d = len(us[0])
+        tail = "".join(g.simple_vector(_vector(int(v, 2), d)) for v in own)
+        steps = _steps([_simple_head(u, d) for u in (0, (1 << d) - 1)], [tail])
+        counts = _walk(steps, _coordinates(tail, d), _bits(us), np.array([0]), np.array([len(tail)]))
+        yield [us, np.full(len(us), len(own)), counts[0].astype(np.int64)]
 
-    per_block = flat_map(_blocks(a, b, size), kernel, "u string, vectors long, phrases long")
+    per_block = _block_map(_blocks(a, b, size), kernel, "u string, vectors long, phrases long")
     return per_block.groupBy("u").agg(F.sum("vectors").alias("vectors"), F.sum("phrases").alias("phrases"))
 
 
+@lru_cache(maxsize=64)
+def _parts(n: int, d: int) -> tuple[int, int, str]:
+    """Symbols of the dictionary and of n vectors' blocks, and the all-ones query."""
+    fresh, ones = g.Fresh(), [1] * d
+    first = len(g.dictionary(n, d, fresh))
+    return first, sum(map(len, g.matrix([ones] * n, fresh))), g.query_vector(ones, n, g.Fresh())
+
+
 def whole_sizes(b: DataFrame, a: DataFrame, size: int = 9) -> DataFrame:
-    """Per query pattern, summed over the blocks of A: vectors with fillers, symbols of the parts; and one block's substitutions."""
+    """Per query pattern, summed over the blocks of A: vectors with fillers, symbols of the parts; and one block's substitutions.
 
-    def kernel(u: str, own: list[str]) -> list[tuple]:
-        d, fresh = len(u), g.Fresh()
-        square = _squared(own, d)
-        n, first = len(square), len(g.dictionary(len(square), d, fresh))
-        ones, mine = (g.query_vector(_vector(x, d), n, g.Fresh()) for x in ((1 << d) - 1, int(u, 2)))
-        return [(u, n, first, len(mine), sum(map(len, g.matrix([_vector(v, d) for v in square], fresh))), sum(x != y for x, y in zip(ones, mine, strict=True)))]
+    No length depends on a vector's bits, so blocks of one number of vectors count together.
+    """
+    filled = F.pow(F.floor(F.sqrt(F.count(F.lit(1)) - 1)) + 1, 2).cast("long")
+    blocks = _numbered(a, size).groupBy("block").agg(filled.alias("n")).groupBy("n").agg(F.count(F.lit(1)).alias("copies"))
 
-    per_block = flat_map(_blocks(a, b, size), kernel, "u string, n long, dictionary_symbols long, query_symbols long, matrix_symbols long, substitutions long")
+    def kernel(u: str, n: int, copies: int) -> list[tuple]:
+        d = len(u)
+        first, matrix, ones = _parts(n, d)
+        mine = g.query_vector(_vector(int(u, 2), d), n, g.Fresh())
+        return [(u, copies * n, copies * first, copies * len(mine), copies * matrix, sum(x != y for x, y in zip(ones, mine, strict=True)))]
+
+    cores = a.sparkSession.sparkContext.defaultParallelism
+    pairs = b.select(F.col("bits").alias("u")).repartition(4 * cores, "u").crossJoin(F.broadcast(blocks)).select("u", "n", "copies")
+    per_block = flat_map(pairs, kernel, "u string, n long, dictionary_symbols long, query_symbols long, matrix_symbols long, substitutions long")
     return per_block.groupBy("u").agg(*[F.sum(c).alias(c) for c in ("n", "dictionary_symbols", "query_symbols", "matrix_symbols")], F.max("substitutions").alias("substitutions"))
