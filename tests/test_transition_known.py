@@ -51,3 +51,24 @@ def test_narrow_blocks_are_fast():
     before, after = t.parent_arrays([s, new])
     assert t.transition_known(s, "sub", 30_000, "x", 1, before, after)[1].tolist() == after.tolist()
     assert time.perf_counter() - began < 0.6  # one by one, the lists took seconds
+
+
+def test_without_log_equals_with_log():
+    draw = random.Random(10)
+    for s in _strings(11):
+        for every in (False, True):
+            for m in (None, 1, 3):
+                op = draw.choice(["sub", "ins", "del"]) if len(s) > 1 else "ins"
+                z, symbol = draw.randint(1, len(s) + (op == "ins")), draw.choice("abe")
+                assert t.transition(s, op, z, symbol, m, None, every, logged=False)[:2] == t.transition(s, op, z, symbol, m, None, every)[:2]
+
+
+def test_without_log_equals_rebuild():
+    """Also from parents that are given, which is how replays call it."""
+    draw = random.Random(12)
+    for s in _strings(13):
+        for op in ("sub", "ins", "del")[: 3 if len(s) > 1 else 2]:
+            z, symbol = draw.randint(1, len(s)), draw.choice("abe")
+            kept = t.parents_of(s)
+            new, with_log, _ = t.transition(s, op, z, symbol, 2, kept)
+            assert t.transition(s, op, z, symbol, 2, kept, logged=False)[1] == with_log == t.parents_of(new)
