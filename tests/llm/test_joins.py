@@ -142,3 +142,22 @@ def test_line_edges(edges, edge_rows, nothing):
     assert by_key[14] == [""]  # all its lines with words are earlier ones
     assert len(by_key[4]) == 2 and len(set(by_key[4])) == 1  # equal rows are one document
     assert line_dedup.line_report(nothing).count() == 0 and line_dedup.deduplicate_lines(nothing).count() == 0
+
+
+def test_words_and_pairs_of_a_line_come_from_one_generator(spark):
+    """Alone, the pairs would grow with every word that becomes frequent, and the lines would be read twice."""
+    nodes = spark.createDataFrame([], "id long, doc long, m int, sig long, wide array<long>, gone boolean, prefix array<long>")
+    plan = line_dedup._entries(nodes, 80)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Generate ") == 1
+
+
+def test_a_filter_of_wanted_hashes_needs_no_join(spark, monkeypatch):
+    from phraseloom.llm import common
+
+    plans = []
+    monkeypatch.setattr(common, "durable", lambda df: plans.append(df._jdf.queryExecution().optimizedPlan().toString()) or df)
+    hashes = spark.createDataFrame([(x,) for x in (0, 63, 64, -1, (1 << 23) + 5, 7 << 40)], "h long")
+    lit = common.bit_set(hashes)
+    assert hashes.where(common.is_lit(lit, hashes.h)).count() == 6
+    assert spark.range(20).where(common.is_lit(lit, common.F.col("id"))).count() == 2  # 0 and 5
+    assert "Join" not in plans[0]
