@@ -161,3 +161,18 @@ def test_a_filter_of_wanted_hashes_needs_no_join(spark, monkeypatch):
     assert hashes.where(common.is_lit(lit, hashes.h)).count() == 6
     assert spark.range(20).where(common.is_lit(lit, common.F.col("id"))).count() == 2  # 0 and 5
     assert "Join" not in plans[0]
+
+
+def test_bitmaps_tell_small_sets_just_below_the_threshold_apart():
+    """Sets of 90 with a similarity of 0.82: two bits a shingle left room for 0.85 in nearly all."""
+    import numpy as np
+
+    r = np.random.default_rng(5)
+    passed = 0
+    for _ in range(50):
+        values = r.integers(1 << 63, size=99, dtype=np.uint64)
+        bits = (jaccard_join._bitmap(x) for x in (values[:90], values[9:]))
+        apart = sum(int(x).bit_count() for x in np.bitwise_xor(*bits).view(np.uint64))
+        assert apart <= 18
+        passed += (180 - apart) // 2 >= -(-85 * 180 // 185)
+    assert passed <= 25
