@@ -3,6 +3,7 @@
 Vectors are the distinct sign patterns of a table; multiplicities carry the counts of all rows. ``patterns`` takes the
 first d <= 10 coordinates as an integer, so that at most 2^d vectors come to the driver. ``whole_patterns`` takes every
 coordinate as a string of 0 and 1; its operators (``whole_*``) cut A into blocks; B is broadcast in groups, and nothing else comes to the driver but counts.
+``whole_pair_gadget`` returns every pair, so there each task has few patterns of either set, and its rows come in an order that compresses.
 """
 
 from __future__ import annotations
@@ -179,6 +180,10 @@ def whole_join(a: DataFrame, b: DataFrame) -> DataFrame:
 #: Patterns of B that one kernel call holds at once.
 QUERIES_AT_ONCE = 4096
 ROWS_OUT = 1 << 16
+#: Bytes of patterns of either set in a task that gives pairs: half of what a Parquet writer's dictionary holds by default; past that the patterns themselves are written, once a pair.
+DICTIONARY = 1 << 19
+#: Queries that follow one another for every vector where pairs are given, a multiple of 8: their codes recur byte by byte.
+RUN = 512
 #: Closes a vector that has no separator of its own.
 STOP = chr(g.SEPARATORS - 1)
 
@@ -199,15 +204,29 @@ def _blocks(a: DataFrame, b: DataFrame, size: int) -> DataFrame:
     return dealt.join(F.broadcast(us), "part").select("own", "us")
 
 
-def _block_map(rows: DataFrame, kernel: Callable[[list[str], list[str]], Iterable[list]], schema: str) -> DataFrame:
+def _tiles(a: DataFrame, b: DataFrame, size: int) -> tuple[DataFrame, DataFrame]:
+    """``(own, us, part)``: as ``_blocks``, but a task has one group of B and so many blocks of A as one dictionary holds; and the groups, ``(part, us)``."""
+    queries, d = b.agg(F.count(F.lit(1)), F.max(F.char_length("bits"))).first()
+    most = max(1, DICTIONARY // ((d or 0) + 4))  # a dictionary has four bytes more for each pattern
+    size = min(size, most)
+    groups, blocks = max(1, -(-queries // most)), max(1, -(-a.count() // size))
+    strips = min(blocks, max(-(-blocks * size // most), -(-4 * a.sparkSession.sparkContext.defaultParallelism // groups)))
+    us = b.groupBy(F.pmod(F.xxhash64("bits"), F.lit(groups)).alias("part")).agg(F.array_sort(F.collect_list("bits")).alias("us"))
+    own = a.groupBy(F.pmod(F.xxhash64("bits"), F.lit(blocks)).alias("block")).agg(F.array_sort(F.collect_list("bits")).alias("own"))
+    dealt = own.select("block", "own", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))).alias("part"))
+    dealt = dealt.repartitionById(groups * strips, (F.col("part") * strips + F.col("block") % strips).cast("int"))
+    return dealt.join(F.broadcast(us), "part").select("own", "us", "part"), us
+
+
+def _block_map(rows: DataFrame, kernel: Callable[..., Iterable[list]], schema: str) -> DataFrame:
     """``kernel`` on every pair of blocks; it gives whole columns."""
     kind = T._parse_datatype_string(schema)
     arrow = to_arrow_schema(kind)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for own, us in zip(batch.column(0), batch.column(1), strict=True):
-                for columns in kernel(own.as_py(), us.as_py()):
+            for row in zip(*batch.columns, strict=True):
+                for columns in kernel(*(x.as_py() for x in row)):
                     yield pa.record_batch([c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, arrow, strict=True)], schema=arrow)
 
     return rows.mapInArrow(run, kind)
@@ -254,8 +273,25 @@ def _walk(steps: np.ndarray, coordinate: np.ndarray, bits: np.ndarray, starts: n
     return count.reshape(len(starts), queries)
 
 
+def _counts_to_end(jump: np.ndarray, coordinate: np.ndarray, chosen: np.ndarray) -> np.ndarray:
+    """Phrases from the first place to the end, one row for each of some tails of one length, one column for each query.
+
+    ``jump``: where the phrase at a place of a tail ends, for either bit (bit, tail, place). ``chosen``: all ones where the query's
+    bit is set, else 0 (coordinate, query). Goes backwards, as the count at a place is one more than at its phrase's end.
+    """
+    _, tails, length = jump.shape
+    counts = np.zeros((length + 1, tails, chosen.shape[1]), chosen.dtype)
+    every = np.arange(tails)
+    for place in range(length - 1, -1, -1):
+        off, on = counts[jump[0, :, place], every], counts[jump[1, :, place], every]
+        on ^= off
+        on &= chosen[coordinate[place]]
+        np.add(np.bitwise_xor(off, on, out=off), 1, out=counts[place])
+    return counts[0]
+
+
 def _bits(us: list[str]) -> np.ndarray:
-    return np.array([list(u.encode()) for u in us], np.int32) - ord("0")
+    return np.frombuffer("".join(us).encode(), np.uint8).reshape(len(us), -1).astype(np.int32) - ord("0")
 
 
 def _counts(own: list[str], us: list[str]) -> np.ndarray:
@@ -304,21 +340,29 @@ def _simple_head(u: int, d: int) -> str:
 
 
 def whole_pair_gadget(a: DataFrame, b: DataFrame, size: int = 256) -> DataFrame:
-    """The single-pair construction for all pairs: d phrases cover an orthogonal vector's gadget, d + 1 another's."""
+    """The single-pair construction for all pairs: d phrases cover an orthogonal vector's gadget, d + 1 another's.
 
-    def kernel(own: list[str], us: list[str]) -> Iterator[list]:
-        d = len(us[0])
+    The kernel gives a vector's counts for ``RUN`` queries as one row; the queries' names are put to them in the JVM.
+    """
+
+    def kernel(own: list[str], us: list[str], part: int) -> Iterator[list]:
+        d, names = len(us[0]), pa.array(own)
         tails = [g.simple_vector(_vector(int(v, 2), d)) + STOP for v in own]
         steps = _steps([_simple_head(u, d) for u in (0, (1 << d) - 1)], tails)
-        ends = np.cumsum([len(tail) for tail in tails]) - 1
-        coordinate = _coordinates("".join(tails), d)
-        width = max(1, ROWS_OUT // len(us))
-        for i in range(0, len(own), width):
-            some = slice(i, i + width)
-            counts = _walk(steps, coordinate, _bits(us), ends[some] - 2 * d, ends[some])
-            yield from map(list, _pairs(own[some], us, counts))
-
-    return _block_map(_blocks(a, b, size), kernel, "u string, v string, phrases long")
+        jump = (steps.reshape(2, len(own), -1) - np.arange(0, steps.shape[1], 2 * d + 1)[:, None])[:, :, : 2 * d]
+        chosen = np.ascontiguousarray(-_bits(us).T).astype(np.min_scalar_type(2 * d))
+        coordinate = _coordinates(tails[0], d)
+        for first in range(0, len(us), RUN):
+            run = np.ascontiguousarray(chosen[:, first : first + RUN])
+            width = max(1, ROWS_OUT // run.shape[1])
+            for i in range(0, len(own), width):
+                counts = _counts_to_end(jump[:, i : i + width], coordinate, run)
+                lists = pa.ListArray.from_arrays(np.arange(len(counts) + 1, dtype=np.int32) * run.shape[1], counts.ravel().astype(np.int32))
+                yield [np.full(len(counts), part), np.full(len(counts), first), names[i : i + width], lists]
+
+    tiles, us = _tiles(a, b, size)
+    counted = _block_map(tiles, kernel, "part long, first int, v string, counts array<int>").join(F.broadcast(us), "part")
+    return counted.select("us", "first", "v", F.posexplode("counts").alias("at", "phrases")).select(F.expr("us[first + at]").alias("u"), "v", F.col("phrases").cast("long").alias("phrases"))
 
 
 def whole_naive_set(a: DataFrame, b: DataFrame, size: int = 256) -> DataFrame:
