@@ -1,4 +1,4 @@
-"""Every pair comes out, and on disk a column of patterns stays codes: past a dictionary's size each pair took both patterns."""
+"""Every pair comes out, and on disk a column of patterns stays codes: past a dictionary's size each pair took its query's pattern."""
 
 import random
 
